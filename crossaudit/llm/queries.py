@@ -2,9 +2,12 @@
 
 from __future__ import annotations
 
-from crossaudit.llm import mixing
+from crossaudit.llm import langid, mixing, ogg, packing
 
 QUERIES = {
+    "op1_pack_sequences": packing.query,
+    "op7_language": langid.query,
+    "op8_media_ogg": ogg.query,
     "op9_mix_sources": mixing.query,
 }
 
