@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
-from crossaudit.llm import langid, mixing, ogg, packing
+from crossaudit.llm import langid, mixing, ogg, packing, simhash, toxicity
 
 QUERIES = {
     "op1_pack_sequences": packing.query,
+    "op2_simhash_groups": simhash.query,
+    "op3_toxicity": toxicity.query,
     "op7_language": langid.query,
     "op8_media_ogg": ogg.query,
     "op9_mix_sources": mixing.query,
