@@ -4,7 +4,7 @@ Sequences hold 1024 tokens. Only the number of pieces of each length matters to
 so the search runs on the histogram of lengths, of at most 1024 rows whatever the input: for the longest length that
 is left, a subset-sum dynamic program over bitsets of reachable fills (one bit a token) finds the fullest feasible
 combination, which is then removed as often as the counts allow. Pieces find their places by their rank within their length,
-computed in salted groups, and a join with the plan, whose size has a fixed bound.
+computed in two levels of salted groups, and a join with the plan, whose size has a fixed bound.
 """
 
 from __future__ import annotations
@@ -23,8 +23,8 @@ from crossaudit.functions.storage import materialize
 
 CAPACITY = 1024
 END = 2
-SALTS = 4096
-_CACHE_WORDS = 1_000_000
+SALTS = 256
+_CACHE_WORDS = 700_000
 _TEXTS = 2000
 
 _BETWEEN = re.compile(r"(?<=\S)\n(?=\S)")
@@ -235,12 +235,20 @@ def pack(items: DataFrame, keys: list[str], capacity: int = CAPACITY) -> DataFra
             offset += n * k
         sequence += times
     plan = spark.createDataFrame(plan, "p_length long, p_from long, p_to long, p_each long, p_sequence long, p_offset long")
-    salted = items.withColumn("salt", F.pmod(F.xxhash64(*keys), F.lit(SALTS)))
-    sizes = salted.groupBy("length", "salt").agg(F.count(F.lit(1)).alias("n"))
-    before = Window.partitionBy("length").orderBy("salt").rowsBetween(Window.unboundedPreceding, -1)
-    sizes = materialize(sizes.select("length", "salt", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("base")), "pack-base")
-    place = Window.partitionBy("length", "salt").orderBy(*keys)
-    ranked = salted.join(sizes, ["length", "salt"]).withColumn("rank", F.col("base") + F.row_number().over(place) - 1)
+    spread = F.xxhash64(*keys)
+    salted = items.withColumns({"salt_a": F.pmod(spread, F.lit(SALTS)), "salt_b": F.pmod(F.shiftright(spread, 32), F.lit(SALTS))})
+    fine = salted.groupBy("length", "salt_a", "salt_b").agg(F.count(F.lit(1)).alias("n"))
+    coarse = salted.groupBy("length", "salt_a").agg(F.count(F.lit(1)).alias("n"))
+
+    def base(counts: DataFrame, name: str, inside: list[str], by: str) -> DataFrame:
+        before = Window.partitionBy(*inside).orderBy(by).rowsBetween(Window.unboundedPreceding, -1)
+        return counts.select(*inside, by, F.coalesce(F.sum("n").over(before), F.lit(0)).alias(name))
+
+    bases = base(fine, "base_b", ["length", "salt_a"], "salt_b").join(base(coarse, "base_a", ["length"], "salt_a"), ["length", "salt_a"])
+    bases = materialize(bases, "pack-base")
+    place = Window.partitionBy("length", "salt_a", "salt_b").orderBy(*keys)
+    ranked = salted.join(bases, ["length", "salt_a", "salt_b"])
+    ranked = ranked.withColumn("rank", F.col("base_a") + F.col("base_b") + F.row_number().over(place) - 1)
     there = (F.col("length") == F.col("p_length")) & (F.col("rank") >= F.col("p_from")) & (F.col("rank") < F.col("p_to"))
     k = F.col("rank") - F.col("p_from")
     return ranked.join(F.broadcast(plan), there).select(

@@ -202,7 +202,7 @@ def _compare_runs(batches):
 
 def links(nodes: DataFrame, bucket: int = BUCKET) -> DataFrame:
     """Edges ``src, dst`` between nodes (``fp``, all distinct, and ``node``) that span what links of 3 bits or less join."""
-    rows = nodes.select("fp", "node", F.explode(_table_keys(F.col("fp"))).alias("k")).select("fp", "node", "k.t", "k.key")
+    rows = nodes.where("node is not null").select("fp", "node", F.explode(_table_keys(F.col("fp"))).alias("k")).select("fp", "node", "k.t", "k.key")
     crowded = rows.groupBy("t", "key").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > bucket)
     crowded = materialize(crowded.select("t", "key", F.ceil(F.col("n") / F.lit(bucket // 2)).cast("int").alias("parts")), "simhash-crowded")
     spread = rows.join(crowded, ["t", "key"], "left").withColumn("own", F.pmod(F.hash("fp"), F.coalesce("parts", F.lit(1))))
