@@ -18,6 +18,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from crossaudit.functions.storage import materialize
+from crossaudit.llm.runs import whole_runs
 from crossaudit.operators.components import connected_components
 
 SEED = 42
@@ -151,53 +152,26 @@ def _table_keys(fp: Column) -> Column:
 
 
 def _compare_runs(batches):
-    """Rows sorted by ``t, key, part_a, part_b, mine``: edges of every run of equal keys."""
-    rest = None
+    """Rows sorted by ``t, key, part_a, part_b``: edges of every run of equal keys."""
     small = 16
-
-    def edges_of(table):
-        fps = table.column("fp").to_numpy().view(np.uint64)
-        node = table.column("node").to_numpy()
-        mine = table.column("mine").to_numpy(zero_copy_only=False)
-        keys = [table.column(c).to_numpy() for c in ("t", "key", "part_a", "part_b")]
-        new = np.ones(len(fps), bool)
-        new[1:] = np.any([k[1:] != k[:-1] for k in keys], axis=0)
-        starts = np.flatnonzero(new)
-        lengths = np.diff(np.append(starts, len(fps)))
-        cross = keys[2] != keys[3]
-        little = (lengths > 1) & (lengths <= small) & ~cross[starts]
+    for rows, starts, lengths in whole_runs(batches, ["t", "key", "part_a", "part_b"]):
+        fps = rows.column("fp").to_numpy().view(np.uint64)
+        node = rows.column("node").to_numpy()
+        later = rows.column("later").to_numpy(zero_copy_only=False)
+        cross = (rows.column("part_a").to_numpy() != rows.column("part_b").to_numpy())[starts]
+        little = (lengths > 1) & (lengths <= small) & ~cross
         i, j = _lanes(fps, starts[little], lengths[little])
         src, dst = [node[i]], [node[j]]
-        for a, n in zip(starts[(lengths > 1) & ~little].tolist(), lengths[(lengths > 1) & ~little].tolist(), strict=True):
-            f, m = fps[a : a + n], mine[a : a + n]
-            if cross[a]:
-                order = np.argsort(m, kind="stable")
-                pairs = forest(f[order][: int((~m).sum())], f[order][int((~m).sum()) :])
-                pairs = [(order[x], order[y]) for x, y in pairs]
-            else:
-                pairs = forest(f)
+        large = (lengths > 1) & ~little
+        for a, n, two in zip(starts[large].tolist(), lengths[large].tolist(), cross[large].tolist(), strict=True):
+            order = a + np.argsort(later[a : a + n], kind="stable")
+            first = int(n - later[a : a + n].sum())
+            pairs = forest(fps[order][:first], fps[order][first:]) if two else forest(fps[order])
             if pairs:
-                p = np.array(pairs)
-                src.append(node[a + p[:, 0]])
-                dst.append(node[a + p[:, 1]])
-        return pa.RecordBatch.from_arrays([pa.array(np.concatenate(src)), pa.array(np.concatenate(dst))], names=["src", "dst"]), starts[-1]
-
-    for b in batches:
-        if not b.num_rows:
-            continue
-        table = pa.Table.from_batches([b] if rest is None else [*rest, b]).combine_chunks().to_batches()[0]
-        keys = [table.column(c).to_numpy() for c in ("t", "key", "part_a", "part_b")]
-        last = np.all([k == k[-1] for k in keys], axis=0)
-        cut = int(np.flatnonzero(~last)[-1]) + 1 if not last.all() else 0
-        if cut:
-            out, _ = edges_of(table.slice(0, cut))
-            if out.num_rows:
-                yield out
-        rest = [table.slice(cut)]
-    if rest is not None and rest[0].num_rows:
-        out, _ = edges_of(rest[0])
-        if out.num_rows:
-            yield out
+                p = order[np.array(pairs)]
+                src.append(node[p[:, 0]])
+                dst.append(node[p[:, 1]])
+        yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(src)), pa.array(np.concatenate(dst))], names=["src", "dst"])
 
 
 def links(nodes: DataFrame, bucket: int = BUCKET) -> DataFrame:
@@ -211,7 +185,7 @@ def links(nodes: DataFrame, bucket: int = BUCKET) -> DataFrame:
         lambda p: F.struct(F.least(p, F.col("own")).alias("a"), F.greatest(p, F.col("own")).alias("b")),
     )
     spread = spread.select("t", "key", "fp", "node", "own", F.explode(pair).alias("p"))
-    spread = spread.select("t", "key", F.col("p.a").alias("part_a"), F.col("p.b").alias("part_b"), "fp", "node", (F.col("own") != F.col("p.a")).alias("mine"))
+    spread = spread.select("t", "key", F.col("p.a").alias("part_a"), F.col("p.b").alias("part_b"), "fp", "node", (F.col("own") != F.col("p.a")).alias("later"))
     where = ["t", "key", "part_a", "part_b"]
     return spread.repartition(*where).sortWithinPartitions(*where, "fp").mapInArrow(_compare_runs, "src long, dst long").distinct()
 
