@@ -8,7 +8,6 @@ down to one) and scores with their mean. A text's language has the largest sum.
 from __future__ import annotations
 
 import re
-from collections.abc import Callable
 from dataclasses import dataclass
 
 import numpy as np
@@ -148,14 +147,14 @@ class Scorer:
 _SCORERS: dict[int, Scorer] = {}
 
 
-def predict(df: DataFrame, model: Model, text: str = "text") -> DataFrame:
-    """``df`` with ``lang_pred`` and ``score`` added in place of any columns of these names.
+def predict(df: DataFrame, model: Model, text: str = "text", out: tuple[str, str] = ("lang_pred", "score")) -> DataFrame:
+    """``df`` with language and probability added as the columns ``out``, in place of any of these names.
 
     Null text and text without a letter is ``und`` with score 0, as is everything under an empty model.
     """
     shared = df.sparkSession.sparkContext.broadcast(model)
-    kept = [f for f in df.schema.fields if f.name not in ("lang_pred", "score")]
-    schema = type(df.schema)(list(kept)).add("lang_pred", "string").add("score", "double")
+    kept = [f for f in df.schema.fields if f.name not in out]
+    schema = type(df.schema)(list(kept)).add(out[0], "string").add(out[1], "double")
     names = [f.name for f in kept]
 
     def run(batches):
@@ -165,7 +164,7 @@ def predict(df: DataFrame, model: Model, text: str = "text") -> DataFrame:
             for i in range(0, b.num_rows, _TEXTS):
                 p = b.slice(i, _TEXTS)
                 langs, score = scorer.texts(p.column(p.schema.get_field_index(text)))
-                yield pa.RecordBatch.from_arrays([*(p.column(p.schema.get_field_index(n)) for n in names), pa.array(langs, pa.string()), pa.array(score, pa.float64())], names=[*names, "lang_pred", "score"])
+                yield pa.RecordBatch.from_arrays([*(p.column(p.schema.get_field_index(n)) for n in names), pa.array(langs, pa.string()), pa.array(score, pa.float64())], names=[*names, *out])
 
     return df.mapInArrow(run, schema)
 
@@ -175,13 +174,10 @@ def identify(df: DataFrame, training: DataFrame, **options) -> DataFrame:
     return predict(df, fit(training.select("text", "lang"), **options))
 
 
-Rejects = Callable[[DataFrame], DataFrame]
-
-
 def accepted(df: DataFrame, training: DataFrame, least: float = 0.5) -> DataFrame:
     """Rows whose language is clear: not ``und``, and of a probability of ``least`` or more. Columns stay as they are."""
-    marked = df.select(F.struct(*[F.col(c) for c in df.columns]).alias("row"), F.col("text").alias("text"))
-    return identify(marked, training).where((F.col("lang_pred") != UNKNOWN) & (F.col("score") >= least)).select("row.*")
+    marked = predict(df, fit(training.select("text", "lang")), out=("accepted_lang", "accepted_score"))
+    return marked.where((F.col("accepted_lang") != UNKNOWN) & (F.col("accepted_score") >= least)).select(*df.columns)
 
 
 def query(spark, sf_dir):

@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from crossaudit.llm import embeddings, langid, mixing, ogg, packing, simhash, toxicity
+from crossaudit.llm import embeddings, langid, linededup, mixing, ogg, packing, simhash, toxicity
 
 QUERIES = {
     "op1_pack_sequences": packing.query,
     "op2_simhash_groups": simhash.query,
     "op3_toxicity": toxicity.query,
+    "op4_line_dedup": linededup.query,
     "op6_vector_groups": embeddings.query,
     "op7_language": langid.query,
     "op8_media_ogg": ogg.query,
@@ -15,5 +16,6 @@ QUERIES = {
 }
 
 ORACLES = {
+    "op4_line_dedup": linededup.ORACLE,
     "op9_mix_sources": mixing.ORACLE,
 }
