@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
-from crossaudit.llm import embeddings, langid, linededup, mixing, ogg, packing, simhash, toxicity
+from crossaudit.llm import embeddings, langid, licenses, linededup, mixing, ogg, packing, simhash, toxicity
 
 QUERIES = {
+    "op10_license_scan": licenses.query,
     "op1_pack_sequences": packing.query,
     "op2_simhash_groups": simhash.query,
     "op3_toxicity": toxicity.query,
@@ -16,6 +17,7 @@ QUERIES = {
 }
 
 ORACLES = {
+    "op10_license_scan": licenses.oracle(),
     "op4_line_dedup": linededup.ORACLE,
     "op9_mix_sources": mixing.ORACLE,
 }
