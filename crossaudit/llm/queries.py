@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from crossaudit.llm import embeddings, langid, licenses, linededup, mixing, ogg, packing, simhash, toxicity
+from crossaudit.llm import embeddings, langid, licenses, linededup, mixing, ogg, packing, simhash, suffixes, toxicity
 
 QUERIES = {
     "op10_license_scan": licenses.query,
@@ -10,6 +10,7 @@ QUERIES = {
     "op2_simhash_groups": simhash.query,
     "op3_toxicity": toxicity.query,
     "op4_line_dedup": linededup.query,
+    "op5_repeated_passages": suffixes.query,
     "op6_vector_groups": embeddings.query,
     "op7_language": langid.query,
     "op8_media_ogg": ogg.query,
