@@ -1,10 +1,12 @@
-"""Queries of the audit, and their SQL twins."""
+"""All queries of the audit, and their SQL twins."""
 
 from __future__ import annotations
 
-QUERIES: dict = {}
-ORACLES: dict[str, str] = {}
+from crossaudit.plans import corpus  # noqa: F401  (registers its queries)
+from crossaudit.plans.registry import ORACLES, QUERIES
+
+__all__ = ["ORACLES", "QUERIES", "flagship"]
 
 
 def flagship(spark, sf_dir):
-    raise NotImplementedError
+    return QUERIES["transfer_matrix"](spark, sf_dir)
