@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from crossaudit.plans import corpus  # noqa: F401  (registers its queries)
+from crossaudit.plans import corpus, matrix  # noqa: F401  (they register their queries)
 from crossaudit.plans.registry import ORACLES, QUERIES
 
 __all__ = ["ORACLES", "QUERIES", "flagship"]
