@@ -173,6 +173,8 @@ class Group:
     """The texts of one group, its runs of windows, and the distinct snippets around anchors known to be shared."""
 
     def __init__(self, table: pa.Table, buckets: int):
+        # runs are cut where a chunk of the buffer ends, so every pass over a group must see its texts in one order
+        table = table.select(["doc", "text"]).sort_by([("doc", "ascending"), ("text", "ascending")])
         texts = table.column("text").combine_chunks()
         texts = (texts.chunk(0) if isinstance(texts, pa.ChunkedArray) else texts).cast(pa.large_string()).fill_null("")
         ends = np.frombuffer(texts.buffers()[1], np.int64)[texts.offset : texts.offset + len(texts) + 1]

@@ -76,3 +76,13 @@ def test_odd_rows(spark):
     assert got == {(None, 60): 60, (1, 60): 0, (None, 0): 0}
     assert suffixes.remove_repeats(frame.limit(0)).count() == 0
     assert suffixes.remove_repeats(frame, with_text=True).columns[-1] == "kept"
+
+
+def test_runs_do_not_depend_on_row_order(monkeypatch):
+    import pyarrow as pa
+
+    monkeypatch.setattr(suffixes, "_CHUNK", 512)
+    rows = [(d, t or "") for d, t in texts()]
+    shuffled = random.Random(6).sample(rows, len(rows))
+    a, b = (suffixes.Group(pa.table({"doc": [d for d, _ in r], "text": [t for _, t in r]}), 7) for r in (rows, shuffled))
+    assert (a.first == b.first).all() and (a.count == b.count).all() and (a.code == b.code).all()
