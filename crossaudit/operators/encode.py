@@ -39,7 +39,7 @@ def grams(text: Column, kind: str) -> Column:
     """Array of the grams that an encoder counts."""
     text = F.coalesce(text, F.lit(""))
     if kind == "char3":
-        return F.transform(F.sequence(F.lit(1), F.greatest(F.length(text) - 2, F.lit(1))), lambda i: F.substring(text, i, 3))
+        return F.when(F.length(text) < 3, F.array(text)).otherwise(F.regexp_extract_all(text, F.lit("(?s)(?=(...))"), 1))  # one pass over the text
     words = F.filter(F.split(F.lower(text), "[^\\p{L}0-9]+"), lambda w: w != "")
     if kind == "word":
         return words
