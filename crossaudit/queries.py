@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from crossaudit.plans import corpus, leaks, matrix, studies  # noqa: F401  (they register their queries)
+from crossaudit.plans import corpus, leaks, matrix, streams, studies  # noqa: F401  (they register their queries)
 from crossaudit.plans.registry import ORACLES, QUERIES
 
 __all__ = ["ORACLES", "QUERIES", "flagship"]
