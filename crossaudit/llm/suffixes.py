@@ -25,7 +25,7 @@ SPAN = WINDOW - ANCHOR + 1
 SNIPPET = WINDOW + SPAN - 1
 SHALLOW = 32
 #: Bytes of text in a group, about.
-GROUP_BYTES = 6_000_000
+GROUP_BYTES = 2_500_000
 _CHUNK = 1 << 19
 _LAST = (1 << 63) - 1
 _M1, _M2, _M3, _M4 = (np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93))
@@ -126,11 +126,17 @@ def blind_trie(tails: list[bytes]) -> list[int]:
 
 def sort_windows(data: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Order of the windows of ``data`` that start at ``at``, and which of them (in order) begin a new distinct window."""
-    padded = np.concatenate([data, np.zeros(8, np.uint8)])
-    words = _loads(padded).byteswap()
-    order = np.argsort(words[at], kind="stable")
+    eight = np.lib.stride_tricks.sliding_window_view(np.concatenate([data, np.zeros(8, np.uint8)]), 8)
+
+    def word(places: np.ndarray) -> np.ndarray:
+        return np.ascontiguousarray(eight[places]).view(">u8")[:, 0].astype(np.uint64)
+
+    key = word(at)
+    order = np.argsort(key, kind="stable")
+    key = key[order]
     new = np.ones(len(at), bool)
-    new[1:] = np.diff(words[at[order]]) != 0
+    new[1:] = key[1:] != key[:-1]
+    del key
 
     def tied() -> tuple[np.ndarray, np.ndarray]:
         """Places (in order) in groups of several, and their groups' numbers."""
@@ -143,7 +149,7 @@ def sort_windows(data: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarr
         place, group = tied()
         if not len(place):
             return order, new
-        key = words[at[order[place]] + depth]
+        key = word(at[order[place]] + depth)
         inner = np.lexsort((key, group))
         order[place] = order[place][inner]
         key, changed = key[inner], np.ones(len(place), bool)
@@ -152,9 +158,11 @@ def sort_windows(data: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarr
     place, group = tied()
     if len(place):
         rest = at[order[place]] + SHALLOW
-        keys = [words[rest + d] for d in (0, 8, WINDOW - SHALLOW - 8)]
         differ = np.zeros(len(place), bool)
-        differ[1:] = (group[1:] == group[:-1]) & np.any([k[1:] != k[:-1] for k in keys], axis=0)
+        for d in (0, 8, WINDOW - SHALLOW - 8):
+            key = word(rest + d)
+            differ[1:] |= key[1:] != key[:-1]
+        differ[1:] &= group[1:] == group[:-1]
         heads = np.flatnonzero(np.diff(group, prepend=-1))
         mixed = np.add.reduceat(differ, heads) > 0
         ends = np.append(heads[1:], len(place))
@@ -298,6 +306,8 @@ def _sort_bucket(table: pa.Table) -> pa.Table:
         matrices.append(np.frombuffer(zlib.decompress(r["a"]), np.uint8).reshape(n, SNIPPET + 1))
         owner.append(np.full(n, k))
     matrix, least, index, owner = (np.concatenate(x) for x in (matrices, least, index, owner))
+    parts = [(r["g"], r["p"]) for r in parts]
+    del matrices, table
     count = matrix[:, SNIPPET].astype(np.int64)
     row = np.repeat(np.arange(len(count)), count)
     offset = np.arange(len(row)) - np.repeat(np.cumsum(count) - count, count)
@@ -317,7 +327,7 @@ def _sort_bucket(table: pa.Table) -> pa.Table:
         own = owner[row[at]] == k
         if own.any():
             a = at[own]
-            rows.append((r["g"], 1, r["p"], np.stack([index[row[a]], offset[a], length[own]], axis=1).astype("<i4").tobytes(), best[a].astype("<i8").tobytes()))
+            rows.append((r[0], 1, r[1], np.stack([index[row[a]], offset[a], length[own]], axis=1).astype("<i4").tobytes(), best[a].astype("<i8").tobytes()))
     return _side(rows)
 
 
