@@ -89,8 +89,8 @@ def best_templates(lines: DataFrame, near: float = NEAR) -> DataFrame:
 
 
 def directory(path: Column) -> Column:
-    """All but the last part; the root is the empty path."""
-    return F.when(F.instr(path, "/") > 0, F.regexp_replace(path, "/[^/]*$", "")).otherwise(F.lit(""))
+    """All but the last part; the root is the empty path, a null path has none."""
+    return F.when(F.instr(path, "/") > 0, F.regexp_replace(path, "/[^/]*$", "")).when(path.isNotNull(), F.lit(""))
 
 
 def ancestors(path: Column) -> Column:
