@@ -1,10 +1,12 @@
 """Near-duplicate lines by an exact set-similarity join (native DataFrame operations only).
 
-A line is the set of its words. Lines with equal sets meet by a hash of the set. Distinct sets are ordered by rarity
-(words in few lines first, by counts in 65,536 buckets, ties by hash), and only the prefix that two sets of the wanted
-Jaccard similarity must share a word of is indexed. Pairs that meet under a word pass a length filter, a positional
-filter and a 64-bit parity sketch (whose differing bits are at most the sets' symmetric difference), and survivors
-are verified on the whole sets. A line is removed if any earlier line, by ``doc_id`` and place, matches it.
+A line is the set of its words. A word is a 64-bit key: the rank of its hash's bucket by how often words of the bucket
+occur (262,144 buckets, counted over all documents), then the rest of the hash; so the order of keys is the order of
+rarity, ties by hash. Lines with equal sets meet by a hash of the set. Of each distinct set only the prefix that two sets
+of the wanted Jaccard similarity must share a word of is kept and indexed. Pairs that meet under a word pass a length
+filter, a positional filter and a 64-bit parity sketch (whose differing bits are at most the sets' symmetric difference).
+Whole sets are never shuffled for the search: the lines of the surviving pairs are read from the documents again to be
+verified. A line is removed if any earlier line, by ``doc_id`` and place, matches it.
 
 Words shared by many prefixes are not paired in full at once: under them each line first meets the earliest lines,
 which settles groups of near copies, and only lines that nothing has removed yet meet all others.
@@ -16,31 +18,46 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from crossaudit.functions.storage import materialize
-from crossaudit.llm.words import split_words
+from crossaudit.llm.words import SPACES
 
 #: Similarity as a fraction of integers, so that thresholds are exact.
 NEAR = (4, 5)
-BUCKETS = 1 << 16
+#: Buckets of words that are ranked by their number of occurrences; the table of ranks (2 MB) is the same size for all inputs.
+BUCKET_BITS = 18
+#: Words of 64 bits in the filter of lines to read again.
+FILTER_WORDS = 1 << 17
 #: Most lines under a word that are paired in full at once.
 GROUP = 64
 _LAST = (1 << 63) - 1
 
 
 def lines(documents: DataFrame) -> DataFrame:
-    """``doc, pos, words`` of every line with a word; words are distinct 64-bit hashes. Null ids come last."""
-    rows = documents.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(_LAST)).alias("doc"), F.posexplode(F.split(F.coalesce("text", F.lit("")), "\n")).alias("pos", "line"))
-    words = F.array_distinct(F.transform(split_words(F.col("line")), lambda w: F.xxhash64(w)))
-    return rows.select("doc", "pos", words.alias("words")).where(F.size("words") > 0)
-
-
-def _frequencies(sets: DataFrame) -> Column:
-    """Scalar subquery: an array with the number of words in each bucket."""
-    spark = sets.sparkSession
-    seen = sets.select(F.explode("words").alias("w")).select(F.pmod("w", F.lit(BUCKETS)).alias("b")).groupBy("b").agg(F.count(F.lit(1)).alias("n"))
-    every = seen.unionAll(spark.range(BUCKETS).select(F.col("id").alias("b"), F.lit(0).cast("long").alias("n")))
-    every = every.groupBy("b").agg(F.sum("n").alias("n"))
-    table = materialize(every.agg(F.transform(F.array_sort(F.collect_list(F.struct("b", "n"))), lambda x: x["n"]).alias("counts")), "line-counts")
-    return table.scalar()
+    """``doc, pos, line`` of every line with a word, without spaces at its ends. Null ids come last."""
+    rows = documents.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(_LAST)).alias("doc"), F.posexplode(F.split("text", "\n")).alias("pos", "line"))
+    return rows.select("doc", "pos", F.btrim("line", F.lit("\t\n\x0b\x0c\r ")).alias("line")).where("line <> ''")
+
+
+def _ranks(documents: DataFrame) -> DataFrame:
+    """One row: for each bucket of words its rank by occurrences, shifted to the key's top bits."""
+    n = 1 << BUCKET_BITS
+    words = documents.select(F.explode(F.split("text", SPACES)).alias("w"))
+    seen = words.select(F.xxhash64("w").bitwiseAND(F.lit(n - 1)).alias("b")).groupBy("b").agg(F.count(F.lit(1)).alias("n"))
+    every = documents.sparkSession.range(n).select(F.col("id").alias("b")).join(seen, "b", "left")
+    # as many rows as there are buckets, whatever the input
+    rank = F.row_number().over(Window.orderBy(F.coalesce("n", F.lit(0)), "b")) - 1 - n // 2
+    table = every.select("b", F.call_function("shiftleft", rank.cast("long"), F.lit(64 - BUCKET_BITS)).alias("top"))
+    table = table.agg(F.sort_array(F.collect_list(F.struct("b", "top"))).alias("x")).select(F.col("x.top").alias("ranks"))
+    return materialize(table, "line-ranks")
+
+
+def _keyed(rows: DataFrame, ranks: DataFrame) -> DataFrame:
+    """Adds ``keys``, the line's distinct words from rare to frequent, and ``sig``, a hash of them."""
+    hashes = F.array_distinct(F.transform(F.split("line", SPACES), lambda w: F.xxhash64(w)))
+    table = ranks.scalar()
+    place = lambda h: h.bitwiseAND(F.lit((1 << BUCKET_BITS) - 1)).cast("int")
+    key = lambda h: F.coalesce(F.get(F.col("ranks"), place(h)), F.lit(0).cast("long")).bitwiseOR(F.call_function("shiftrightunsigned", h, F.lit(BUCKET_BITS)))
+    keyed = rows.withColumn("ranks", table).withColumn("keys", F.sort_array(F.transform(hashes, key))).drop("ranks")
+    return keyed.withColumn("sig", F.xxhash64("keys"))
 
 
 def _keep(n: Column, near: tuple[int, int]) -> Column:
@@ -60,30 +77,46 @@ def _plausible(a: dict[str, Column], b: dict[str, Column], near: tuple[int, int]
     )
 
 
-def _verified(pairs: DataFrame, sets: DataFrame, near: tuple[int, int]) -> DataFrame:
-    """``sig, doc, pos`` of the later line of every pair whose sets are similar enough."""
-    side = lambda k: sets.select(*[F.col(c).alias(f"{c}_{k}") for c in ("sig", "doc", "pos", "words")])
+def _filter(need: DataFrame) -> DataFrame:
+    """One row: a bitmap of fixed size over the places of the lines needed; others pass only by chance."""
+    slot = F.xxhash64("doc", "pos").bitwiseAND(F.lit(FILTER_WORDS * 64 - 1))
+    bit = F.call_function("shiftleft", F.lit(1).cast("long"), slot.bitwiseAND(F.lit(63)).cast("int"))
+    some = need.select(F.call_function("shiftright", slot, F.lit(6)).alias("at"), bit.alias("bit")).groupBy("at").agg(F.bit_or("bit").alias("bits"))
+    every = need.sparkSession.range(FILTER_WORDS).select(F.col("id").alias("at")).join(some, "at", "left").select("at", F.coalesce("bits", F.lit(0).cast("long")).alias("bits"))
+    return materialize(every.agg(F.sort_array(F.collect_list(F.struct("at", "bits"))).alias("x")).select(F.col("x.bits").alias("bitmap")), "line-filter")
+
+
+def _verified(pairs: DataFrame, sets: DataFrame, documents: DataFrame, ranks: DataFrame, near: tuple[int, int]) -> DataFrame:
+    """``sig`` of the later line of every pair whose sets are similar enough; the lines are read from the documents again."""
+    pairs = materialize(pairs, "line-pairs")
+    ends = pairs.select(F.explode(F.array("sig_a", "sig_b")).alias("sig")).distinct()
+    need = materialize(sets.select("sig", "doc", "pos").join(ends, "sig"), "line-need")
+    slot = F.xxhash64("doc", "pos").bitwiseAND(F.lit(FILTER_WORDS * 64 - 1))
+    word = F.get(_filter(need).scalar(), F.call_function("shiftright", slot, F.lit(6)).cast("int"))
+    again = lines(documents).where(F.call_function("shiftright", word, slot.bitwiseAND(F.lit(63)).cast("int")).bitwiseAND(F.lit(1)) == 1)
+    again = _keyed(again, ranks).select("sig", "doc", "pos", "keys").join(need, ["sig", "doc", "pos"])
+    again = again.groupBy("sig").agg(F.first(F.struct("doc", "pos", "keys")).alias("x")).select("sig", "x.*")  # one of rows that share an id
+    side = lambda k: again.select(*[F.col(c).alias(f"{c}_{k}") for c in ("sig", "doc", "pos", "keys")])
     whole = pairs.join(side("a"), "sig_a").join(side("b"), "sig_b")
-    shared = F.size(F.array_intersect("words_a", "words_b"))
-    similar = shared * near[1] >= (F.size("words_a") + F.size("words_b") - shared) * near[0]
-    at = lambda k: F.struct(F.col(f"doc_{k}").alias("doc"), F.col(f"pos_{k}").alias("pos"), F.col(f"sig_{k}").alias("sig"))
+    shared = F.size(F.array_intersect("keys_a", "keys_b"))
+    similar = shared * near[1] >= (F.size("keys_a") + F.size("keys_b") - shared) * near[0]
     # of two lines at the same place (rows that share an id), neither is later
-    later = F.when(F.struct("doc_a", "pos_a") < F.struct("doc_b", "pos_b"), at("b")).when(F.struct("doc_b", "pos_b") < F.struct("doc_a", "pos_a"), at("a"))
-    return whole.where(similar).select(later.alias("x")).where("x is not null").select("x.sig").distinct()
-
-
-def repeated_sets(documents: DataFrame, near: tuple[int, int] = NEAR, group: int = GROUP) -> tuple[DataFrame, DataFrame]:
-    """Sets of words by ``sig`` with their first place, and the ``sig`` of those that an earlier, different set matches."""
-    found = lines(documents).withColumn("sig", F.xxhash64(F.array_sort("words")))
-    sets = found.groupBy("sig").agg(F.min(F.struct("doc", "pos")).alias("first"), F.first("words").alias("words"))
-    sets = materialize(sets.select("sig", "first.doc", "first.pos", "words"), "line-sets")
-    counts = _frequencies(sets)
-    n = F.size("words").cast("long")
-    order = F.array_sort(F.transform("words", lambda w: F.struct(F.element_at(F.col("counts"), (F.pmod(w, F.lit(BUCKETS)) + 1).cast("int")).alias("f"), w.alias("w"))))
-    bits = F.aggregate("words", F.lit(0).cast("long"), lambda s, w: s.bitwiseXOR(F.call_function("shiftleft", F.lit(1).cast("long"), w.bitwiseAND(F.lit(63)).cast("int"))))
-    prefix = F.slice(order, F.lit(1), (n - _keep(n, near) + 1).cast("int"))
-    rows = sets.withColumn("counts", counts).select("sig", "doc", "pos", n.alias("n"), bits.alias("bits"), F.posexplode(prefix).alias("i", "p"))
-    rows = rows.select(F.col("p.w").alias("word"), "sig", "doc", "pos", "n", "i", "bits")
+    later = F.when(F.struct("doc_a", "pos_a") < F.struct("doc_b", "pos_b"), F.col("sig_b")).when(F.struct("doc_b", "pos_b") < F.struct("doc_a", "pos_a"), F.col("sig_a"))
+    return whole.where(similar).select(later.alias("sig")).where("sig is not null").distinct()
+
+
+def repeated_sets(documents: DataFrame, near: tuple[int, int] = NEAR, group: int = GROUP) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """All lines with the ``sig`` of their set, the sets with their first place, and the ``sig`` of those that an earlier, different set matches."""
+    ranks = _ranks(documents)
+    n = F.size("keys")
+    bits = F.aggregate("keys", F.lit(0).cast("long"), lambda s, w: s.bitwiseXOR(F.call_function("shiftleft", F.lit(1).cast("long"), w.bitwiseAND(F.lit(63)).cast("int"))))
+    prefix = F.slice("keys", F.lit(1), (n - _keep(n, near) + 1).cast("int"))
+    found = _keyed(lines(documents), ranks).select("doc", "pos", "sig", n.alias("n"), bits.alias("bits"), prefix.alias("prefix"))
+    found = materialize(found, "line-found")
+    whole = found.groupBy("sig").agg(F.min(F.struct("doc", "pos")).alias("first"), F.first(F.struct("n", "bits", "prefix")).alias("x"))
+    whole = materialize(whole.select("sig", "first.doc", "first.pos", "x.n", "x.bits", "x.prefix"), "line-sets")
+    sets = whole.select("sig", "doc", "pos")
+    rows = whole.select("sig", "doc", "pos", "n", "bits", F.posexplode("prefix").alias("i", "word"))
     under = Window.partitionBy("word")
     rows = rows.withColumn("lines", F.count(F.lit(1)).over(under)).where("lines > 1")
 
@@ -100,23 +133,21 @@ def repeated_sets(documents: DataFrame, near: tuple[int, int] = NEAR, group: int
     met = [F.first(first).over(by_age), *[F.lag(first, k).over(by_age) for k in (1, 2, 3)]]
     olds = many.select("sig", "n", "i", "bits", F.array(*met).alias("met")).select("sig", "n", "i", "bits", F.explode("met").alias("o")).where("o is not null and o.sig <> sig")
     olds = olds.where(_plausible(own, {c: F.col(f"o.{c}") for c in ("n", "i", "bits")}, near)).select(F.least("sig", "o.sig").alias("sig_a"), F.greatest("sig", "o.sig").alias("sig_b"))
-    gone = materialize(_verified(pairs.unionAll(olds).distinct(), sets, near), "line-gone")
+    gone = materialize(_verified(pairs.unionAll(olds).distinct(), sets, documents, ranks, near), "line-gone")
 
     open_rows = many.join(gone, "sig", "left_anti").select("word", F.col("sig").alias("sig_a"), F.col("doc").alias("doc_a"), *[F.col(c).alias(f"{c}_a") for c in ("n", "i", "bits")])
     all_rows = many.select("word", F.col("sig").alias("sig_b"), F.col("doc").alias("doc_b"), *[F.col(c).alias(f"{c}_b") for c in ("n", "i", "bits")])
     rest = open_rows.join(all_rows, "word").where((F.col("doc_b") <= F.col("doc_a")) & (F.col("sig_a") != F.col("sig_b")) & _plausible(*ends, near))
     rest = rest.select(F.least("sig_a", "sig_b").alias("sig_a"), F.greatest("sig_a", "sig_b").alias("sig_b")).distinct()
-    return sets, gone.unionAll(_verified(rest, sets, near)).distinct()
+    return found.select("doc", "pos", "sig"), sets, gone.unionAll(_verified(rest, sets, documents, ranks, near)).distinct()
 
 
 def removed_lines(documents: DataFrame, near: tuple[int, int] = NEAR, group: int = GROUP) -> DataFrame:
     """``doc, places``: for each document with lines to remove, their places in order."""
-    sets, gone = repeated_sets(documents, near, group)
-    marked = materialize(sets.select("sig", "doc", "pos").join(gone.withColumn("later", F.lit(True)), "sig", "left"), "line-marked")
+    every, sets, gone = repeated_sets(documents, near, group)
     # every copy of a matched set goes; of an unmatched one, all but the first
-    every = lines(documents).select("doc", "pos", F.xxhash64(F.array_sort("words")).alias("sig"))
-    first = marked.select("sig", F.col("doc").alias("d"), F.col("pos").alias("p"), F.coalesce("later", F.lit(False)).alias("later"))
-    out = every.join(first, "sig").where(F.col("later") | (F.struct("doc", "pos") != F.struct("d", "p")))
+    first = sets.select("sig", F.col("doc").alias("d"), F.col("pos").alias("p")).join(gone.withColumn("later", F.lit(True)), "sig", "left")
+    out = every.join(first, "sig").where(F.coalesce("later", F.lit(False)) | (F.struct("doc", "pos") != F.struct("d", "p")))
     return out.groupBy("doc").agg(F.array_sort(F.collect_set("pos")).alias("places"))
 
 
