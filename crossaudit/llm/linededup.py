@@ -1,7 +1,7 @@
 """Near-duplicate lines by an exact set-similarity join (native DataFrame operations only).
 
 A line is the set of its words. A word is a 64-bit key: the rank of its hash's bucket by how often words of the bucket
-occur (262,144 buckets, counted over all documents), then the rest of the hash; so the order of keys is the order of
+occur (1,048,576 buckets, counted over all documents), then the rest of the hash; so the order of keys is the order of
 rarity, ties by hash. Lines with equal sets meet by a hash of the set. Of each distinct set only the prefix that two sets
 of the wanted Jaccard similarity must share a word of is kept and indexed. Pairs that meet under a word pass a length
 filter, a positional filter and a 64-bit parity sketch (whose differing bits are at most the sets' symmetric difference).
@@ -22,8 +22,8 @@ from crossaudit.llm.words import SPACES
 
 #: Similarity as a fraction of integers, so that thresholds are exact.
 NEAR = (4, 5)
-#: Buckets of words that are ranked by their number of occurrences; the table of ranks (2 MB) is the same size for all inputs.
-BUCKET_BITS = 18
+#: Buckets of words that are ranked by their number of occurrences; the table of ranks (8 MB) is the same size for all inputs.
+BUCKET_BITS = 20
 #: Words of 64 bits in the filter of lines to read again.
 FILTER_WORDS = 1 << 17
 #: Most lines under a word that are paired in full at once.
@@ -65,11 +65,17 @@ def _keep(n: Column, near: tuple[int, int]) -> Column:
     return F.floor((n * near[0] + near[1] - 1) / near[1])
 
 
+def _overlap(both: Column, near: tuple[int, int]) -> Column:
+    """Words that two sets of together ``both`` words must share at least."""
+    up, down = near
+    return F.floor((both * up + up + down - 1) / (up + down))
+
+
 def _plausible(a: dict[str, Column], b: dict[str, Column], near: tuple[int, int]) -> Column:
     """Length, positional and sketch filters; no pair of the wanted similarity fails them."""
     up, down = near
     both = a["n"] + b["n"]
-    overlap = F.floor((both * up + up + down - 1) / (up + down))  # the least that the similarity needs
+    overlap = _overlap(both, near)
     return (
         (F.least(a["n"], b["n"]) * down >= F.greatest(a["n"], b["n"]) * up)
         & (F.least(a["n"] - a["i"], b["n"] - b["i"]) >= overlap - F.least(a["i"], b["i"]))
@@ -88,14 +94,20 @@ def _filter(need: DataFrame) -> DataFrame:
 
 def _verified(pairs: DataFrame, sets: DataFrame, documents: DataFrame, ranks: DataFrame, near: tuple[int, int]) -> DataFrame:
     """``sig`` of the later line of every pair whose sets are similar enough; the lines are read from the documents again."""
-    pairs = materialize(pairs, "line-pairs")
+    # the sketch in two halves of the words: their differing bits add up, and are at most the symmetric difference, too
+    ends = lambda k: sets.select(*[F.col(c).alias(f"{c}_{k}") for c in ("sig", "n", "bits", "half")])
+    both = F.col("n_a") + F.col("n_b")
+    half, other = F.col("half_a").bitwiseXOR(F.col("half_b")), F.col("bits_a").bitwiseXOR(F.col("bits_b"))
+    differ = F.bit_count(half) + F.bit_count(half.bitwiseXOR(other))
+    pairs = pairs.join(ends("a"), "sig_a").join(ends("b"), "sig_b").where(differ <= both - 2 * _overlap(both, near))
+    pairs = materialize(pairs.select("sig_a", "sig_b"), "line-pairs")
     ends = pairs.select(F.explode(F.array("sig_a", "sig_b")).alias("sig")).distinct()
     need = materialize(sets.select("sig", "doc", "pos").join(ends, "sig"), "line-need")
     slot = F.xxhash64("doc", "pos").bitwiseAND(F.lit(FILTER_WORDS * 64 - 1))
     word = F.get(_filter(need).scalar(), F.call_function("shiftright", slot, F.lit(6)).cast("int"))
     again = lines(documents).where(F.call_function("shiftright", word, slot.bitwiseAND(F.lit(63)).cast("int")).bitwiseAND(F.lit(1)) == 1)
-    again = _keyed(again, ranks).select("sig", "doc", "pos", "keys").join(need, ["sig", "doc", "pos"])
-    again = again.groupBy("sig").agg(F.first(F.struct("doc", "pos", "keys")).alias("x")).select("sig", "x.*")  # one of rows that share an id
+    again = _keyed(again, ranks).select("sig", "doc", "pos", "keys").join(need.select("sig", F.col("doc").alias("d"), F.col("pos").alias("p")), "sig")
+    again = again.where("doc = d and pos = p").groupBy("sig").agg(F.first(F.struct("doc", "pos", "keys")).alias("x")).select("sig", "x.*")  # one of rows that share an id
     side = lambda k: again.select(*[F.col(c).alias(f"{c}_{k}") for c in ("sig", "doc", "pos", "keys")])
     whole = pairs.join(side("a"), "sig_a").join(side("b"), "sig_b")
     shared = F.size(F.array_intersect("keys_a", "keys_b"))
@@ -110,24 +122,28 @@ def repeated_sets(documents: DataFrame, near: tuple[int, int] = NEAR, group: int
     ranks = _ranks(documents)
     n = F.size("keys")
     bits = F.aggregate("keys", F.lit(0).cast("long"), lambda s, w: s.bitwiseXOR(F.call_function("shiftleft", F.lit(1).cast("long"), w.bitwiseAND(F.lit(63)).cast("int"))))
+    upper = lambda w: F.call_function("shiftright", w, F.lit(6)).bitwiseAND(F.lit(1))
+    half = F.aggregate("keys", F.lit(0).cast("long"), lambda s, w: s.bitwiseXOR(F.call_function("shiftleft", upper(w), w.bitwiseAND(F.lit(63)).cast("int"))))
     prefix = F.slice("keys", F.lit(1), (n - _keep(n, near) + 1).cast("int"))
-    found = _keyed(lines(documents), ranks).select("doc", "pos", "sig", n.alias("n"), bits.alias("bits"), prefix.alias("prefix"))
+    found = _keyed(lines(documents), ranks).select("doc", "pos", "sig", n.alias("n"), bits.alias("bits"), half.alias("half"), prefix.alias("prefix"))
     found = materialize(found, "line-found")
-    whole = found.groupBy("sig").agg(F.min(F.struct("doc", "pos")).alias("first"), F.first(F.struct("n", "bits", "prefix")).alias("x"))
-    whole = materialize(whole.select("sig", "first.doc", "first.pos", "x.n", "x.bits", "x.prefix"), "line-sets")
-    sets = whole.select("sig", "doc", "pos")
-    rows = whole.select("sig", "doc", "pos", "n", "bits", F.posexplode("prefix").alias("i", "word"))
+    whole = found.groupBy("sig").agg(F.min(F.struct("doc", "pos")).alias("first"), F.first(F.struct("n", "bits", "half", "prefix")).alias("x"))
+    whole = materialize(whole.select("sig", "first.doc", "first.pos", "x.n", "x.bits", "x.half", "x.prefix"), "line-sets")
+    sets = whole.select("sig", "doc", "pos", "n", "bits", "half")
+    rows = whole.select("sig", "n", "bits", F.posexplode("prefix").alias("i", "word"))
     under = Window.partitionBy("word")
     rows = rows.withColumn("lines", F.count(F.lit(1)).over(under)).where("lines > 1")
 
     own = {c: F.col(c) for c in ("n", "i", "bits")}
-    few = rows.where(F.col("lines") <= group)
-    left = few.select("word", *[F.col(c).alias(f"{c}_a") for c in ("sig", "n", "i", "bits")])
-    right = few.select("word", *[F.col(c).alias(f"{c}_b") for c in ("sig", "n", "i", "bits")])
     ends = [{c: F.col(f"{c}_{k}") for c in ("n", "i", "bits")} for k in "ab"]
-    pairs = left.join(right, "word").where((F.col("sig_a") < F.col("sig_b")) & _plausible(*ends, near)).select("sig_a", "sig_b")
-
-    many = materialize(rows.where(F.col("lines") > group).drop("lines"), "line-many")
+    side = lambda k: rows.where(F.col("lines") <= group).select("word", *[F.col(c).alias(f"{c}_{k}") for c in ("sig", "n", "i", "bits")])
+    pairs = side("a").join(side("b"), "word").where((F.col("sig_a") < F.col("sig_b")) & _plausible(*ends, near))
+    # pairs under words of few lines and the rows of the others are written by one job, so that the prefixes are shuffled once
+    pairs = pairs.select(F.lit(None).cast("long").alias("word"), F.col("sig_a").alias("sig"), F.col("sig_b").alias("other"), *[F.lit(None).cast(t).alias(c) for c, t in (("n", "int"), ("i", "int"), ("bits", "long"))], F.lit(0).alias("busy"))
+    busy = rows.where(F.col("lines") > group).select("word", "sig", F.lit(None).cast("long").alias("other"), "n", "i", "bits", F.lit(1).alias("busy"))
+    met = materialize(pairs.unionAll(busy), "line-met", "busy")
+    pairs = met.where("busy = 0").select(F.col("sig").alias("sig_a"), F.col("other").alias("sig_b"))
+    many = materialize(met.where("busy = 1").select("word", "sig", "n", "i", "bits").join(sets.select("sig", "doc", "pos"), "sig"), "line-many")
     by_age = under.orderBy("doc", "pos", "sig")
     first = F.struct("sig", "n", "i", "bits")
     met = [F.first(first).over(by_age), *[F.lag(first, k).over(by_age) for k in (1, 2, 3)]]
