@@ -131,6 +131,8 @@ def repeated_sets(documents: DataFrame, near: tuple[int, int] = NEAR, group: int
     whole = materialize(whole.select("sig", "first.doc", "first.pos", "x.n", "x.bits", "x.half", "x.prefix"), "line-sets")
     sets = whole.select("sig", "doc", "pos", "n", "bits", "half")
     rows = whole.select("sig", "n", "bits", F.posexplode("prefix").alias("i", "word"))
+    # columns that can't be null get no null filters below the exchange, so that all three readers share it
+    rows = rows.select(*[F.coalesce(F.col(c), F.lit(0).cast(t)).alias(c) for c, t in (("word", "long"), ("sig", "long"), ("n", "int"), ("i", "int"), ("bits", "long"))])
     under = Window.partitionBy("word")
     rows = rows.withColumn("lines", F.count(F.lit(1)).over(under)).where("lines > 1")
 
