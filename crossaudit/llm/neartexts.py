@@ -1,0 +1,183 @@
+"""Near-copy groups of documents by the exact Jaccard similarity of their sets of word shingles.
+
+A document is the set of the 64-bit hashes of its shingles, in the order of the hashes. Two sets of the wanted similarity
+share a hash among the first ones of each (the prefix), so documents meet under the hashes of their prefixes and no pair
+is missed by chance. Equal sets are one node. First every set is compared with one set under each of its hashes only,
+which settles groups of near copies with as many pairs as there are rows; then sets that are still in different groups
+meet under each hash, in blocks of bounded size, and pass a length filter and a parity sketch (whose differing bits are
+at most the sets' symmetric difference). All pairs are verified on the whole sets, made again from the texts that need it.
+"""
+
+from __future__ import annotations
+
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
+from crossaudit.functions.storage import materialize
+from crossaudit.llm.linededup import _LAST, FILTER_WORDS, _filter, _overlap
+from crossaudit.llm.runs import whole_runs
+from crossaudit.llm.simhash import SEED, shingle_hashes
+from crossaudit.operators.components import connected_components
+
+SHINGLE = 5
+#: Similarity as a fraction of integers, so that thresholds are exact.
+NEAR = (4, 5)
+#: Most sets under a hash that one task compares with each other.
+BUCKET = 4096
+#: 64-bit words of a set's sketch.
+SKETCH = 8
+
+
+def _set(text: str | None, words: int) -> tuple[int, np.ndarray]:
+    """Hash of the set, and the set in order."""
+    import xxhash
+
+    hashes = np.unique(shingle_hashes(text, words))
+    return xxhash.xxh64_intdigest(hashes.tobytes(), SEED), hashes
+
+
+def _longs(values) -> pa.Array:
+    return pa.array(np.asarray(values, np.uint64).view(np.int64))
+
+
+def _lists(sets: list[np.ndarray]) -> pa.Array:
+    ends = np.cumsum([0, *map(len, sets)])
+    return pa.ListArray.from_arrays(pa.array(ends, pa.int32()), _longs(np.concatenate([np.zeros(0, np.uint64), *sets])))
+
+
+def _sketch(hashes: np.ndarray) -> np.ndarray:
+    """For each of its bits, whether an odd number of hashes falls on it."""
+    return np.packbits(np.bincount((hashes & np.uint64(64 * SKETCH - 1)).astype(np.int64), minlength=64 * SKETCH) & 1).view(np.uint64)
+
+
+def _described(documents: DataFrame, words: int, near: tuple[int, int]) -> DataFrame:
+    """``doc_id, sig, n, sketch, prefix`` of every row."""
+    up, down = near
+
+    def run(batches):
+        for batch in batches:
+            for at in range(0, batch.num_rows, 1000):
+                b = batch.slice(at, 1000)
+                sets = [_set(t, words) for t in b.column(1).to_pylist()]
+                prefix = [h[: len(h) - -(-len(h) * up // down) + 1] for _, h in sets]
+                columns = [b.column(0), _longs([s for s, _ in sets]), pa.array([len(h) for _, h in sets], pa.int32()), _lists([_sketch(h) for _, h in sets]), _lists(prefix)]
+                yield pa.RecordBatch.from_arrays(columns, names=["doc_id", "sig", "n", "sketch", "prefix"])
+
+    return documents.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, "doc_id long, sig long, n int, sketch array<long>, prefix array<long>")
+
+
+def _whole(documents: DataFrame, words: int) -> DataFrame:
+    """``sig, hashes`` of every row."""
+
+    def run(batches):
+        for batch in batches:
+            for at in range(0, batch.num_rows, 1000):
+                sets = [_set(t, words) for t in batch.slice(at, 1000).column(0).to_pylist()]
+                yield pa.RecordBatch.from_arrays([_longs([s for s, _ in sets]), _lists([h for _, h in sets])], names=["sig", "hashes"])
+
+    return documents.select("text").mapInArrow(run, "sig long, hashes array<long>")
+
+
+def _verified(pairs: DataFrame, sets: DataFrame, documents: DataFrame, words: int, near: tuple[int, int]) -> DataFrame:
+    """``src, dst``: the pairs ``sig_a, sig_b`` that are similar enough."""
+    up, down = near
+    side = lambda k: sets.select(*[F.col(c).alias(f"{c}_{k}") for c in ("sig", "n", "sketch")])
+    both = F.col("n_a") + F.col("n_b")
+    differ = F.aggregate(F.zip_with("sketch_a", "sketch_b", lambda a, b: F.bit_count(a.bitwiseXOR(b))), F.lit(0), lambda x, y: x + y)
+    near_size = F.least("n_a", "n_b") * down >= F.greatest("n_a", "n_b") * up
+    pairs = pairs.join(side("a"), "sig_a").join(side("b"), "sig_b").where(near_size & (differ <= both - 2 * _overlap(both, near)))
+    pairs = materialize(pairs.select("sig_a", "sig_b"), "near-pairs")
+    ends = materialize(pairs.select(F.explode(F.array("sig_a", "sig_b")).alias("sig")).distinct(), "near-ends")
+    # documents outside a bitmap of fixed size over the ids are not needed; no text is shuffled
+    place = lambda c: F.coalesce(c.cast("long"), F.lit(_LAST))
+    need = sets.join(ends, "sig").select(place(F.col("doc_id")).alias("doc"), F.lit(0).alias("pos"))
+    slot = F.xxhash64(place(documents["doc_id"]), F.lit(0)).bitwiseAND(F.lit(FILTER_WORDS * 64 - 1))
+    word = F.get(_filter(need).scalar(), F.call_function("shiftright", slot, F.lit(6)).cast("int"))
+    again = documents.where(F.call_function("shiftright", word, slot.bitwiseAND(F.lit(63)).cast("int")).bitwiseAND(F.lit(1)) == 1)
+    again = _whole(again, words).join(ends, "sig", "left_semi")
+    again = materialize(again.groupBy("sig").agg(F.first("hashes").alias("hashes")), "near-whole")
+    side = lambda k: again.select(*[F.col(c).alias(f"{c}_{k}") for c in ("sig", "hashes")])
+    both = F.size("hashes_a") + F.size("hashes_b")
+    shared = F.size(F.array_intersect("hashes_a", "hashes_b"))
+    out = pairs.join(side("a"), "sig_a").join(side("b"), "sig_b").where(shared * (up + down) >= both * up)
+    return out.select(F.col("sig_a").alias("src"), F.col("sig_b").alias("dst"))
+
+
+def _compare(near: tuple[int, int]):
+    """Rows sorted by ``h, part_a, part_b``: pairs of different groups under a hash that pass the filters."""
+    up, down = near
+
+    def run(batches):
+        for rows, starts, lengths in whole_runs(batches, ["h", "part_a", "part_b"]):
+            sig, group, n = (rows.column(c).to_numpy() for c in ("sig", "component", "n"))
+            later = rows.column("later").to_numpy(zero_copy_only=False)
+            cross = rows.column("part_a").to_numpy() != rows.column("part_b").to_numpy()
+            bits = rows.column("sketch").flatten().to_numpy().view(np.uint64).reshape(-1, SKETCH)
+            left, right = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
+            for a, k in zip(starts.tolist(), lengths.tolist(), strict=True):
+                for i in range(a, a + k - 1):
+                    j = np.arange(i + 1, a + k)
+                    j = j[(group[j] != group[i]) & (np.minimum(n[i], n[j]) * down >= np.maximum(n[i], n[j]) * up)]
+                    if cross[a]:
+                        j = j[later[j] != later[i]]
+                    both = n[i].astype(np.int64) + n[j]
+                    j = j[np.bitwise_count(bits[j] ^ bits[i]).sum(axis=1) <= both - 2 * (-(-both * up // (up + down)))]
+                    left.append(np.full(len(j), sig[i]))
+                    right.append(sig[j])
+            i, j = np.concatenate(left), np.concatenate(right)
+            yield pa.RecordBatch.from_arrays([pa.array(np.minimum(i, j)), pa.array(np.maximum(i, j))], names=["sig_a", "sig_b"])
+
+    return run
+
+
+def _rest(met: DataFrame, sets: DataFrame, found: DataFrame, near: tuple[int, int], bucket: int) -> DataFrame:
+    """Pairs under the same hash that the groups ``found`` leave apart, without those of a hash's first set."""
+    groups = met.where("sig <> hub").join(found.withColumnRenamed("node", "sig"), "sig", "left").select("h", "sig", F.coalesce("component", "sig").alias("component"))
+    groups = materialize(groups, "near-groups")
+    apart = groups.groupBy("h").agg(F.count(F.lit(1)).alias("k"), F.min("component").alias("c"), F.max("component").alias("d")).where("c <> d")
+    apart = materialize(apart.select("h", F.when(F.col("k") > bucket, F.ceil(F.col("k") / F.lit(max(1, bucket // 2)))).otherwise(F.lit(1)).cast("int").alias("parts")), "near-apart")
+    rows = groups.join(apart, "h").join(sets.select("sig", "n", "sketch"), "sig").withColumn("own", F.pmod(F.xxhash64("sig"), F.col("parts")).cast("int"))
+    pair = F.transform(F.sequence(F.lit(0), F.col("parts") - 1), lambda p: F.struct(F.least(p, F.col("own")).alias("a"), F.greatest(p, F.col("own")).alias("b")))
+    rows = rows.select("h", "sig", "component", "n", "sketch", "own", F.explode(pair).alias("p"))
+    rows = rows.select("h", F.col("p.a").alias("part_a"), F.col("p.b").alias("part_b"), "sig", "component", "n", "sketch", (F.col("own") != F.col("p.a")).alias("later"))
+    where = ["h", "part_a", "part_b"]
+    return rows.repartition(*where).sortWithinPartitions(*where, "sig").mapInArrow(_compare(near), "sig_a long, sig_b long").distinct()
+
+
+def near_copies(documents: DataFrame, words: int = SHINGLE, near: tuple[int, int] = NEAR, bucket: int = BUCKET) -> DataFrame:
+    """``doc_id, component_id`` of every row: the smallest id among the documents that links of ``near`` or more join.
+
+    A text of fewer words than a shingle is one shingle; null and wordless texts are equal to each other. Rows with the
+    same ``doc_id`` are one document. Ids that are null take part through their texts but never name a component.
+    """
+    docs = documents.select("doc_id", "text")
+    rows = materialize(_described(docs, words, near), "near-rows")
+    sets = rows.groupBy("sig").agg(F.min("doc_id").alias("doc_id"), F.first("n").alias("n"), F.first("sketch").alias("sketch"))
+    sets = materialize(sets, "near-sets")
+    prefix = rows.select("sig", F.explode("prefix").alias("h"))
+    hubs = prefix.groupBy("h").agg(F.min("sig").alias("hub"), F.max("sig").alias("last")).where("hub <> last").drop("last")
+    met = materialize(prefix.join(materialize(hubs, "near-hubs"), "h").select("h", "sig", "hub").distinct(), "near-met")
+    # of each hash, all sets meet the first one
+    first = met.where("sig <> hub").select(F.col("hub").alias("sig_a"), F.col("sig").alias("sig_b")).distinct()
+    same = rows.where("doc_id is not null").select("doc_id", "sig").groupBy("doc_id").agg(F.min("sig").alias("src"), F.max("sig").alias("dst"), F.collect_set("sig").alias("all"))
+    same = same.where("src <> dst").select("src", F.explode("all").alias("dst"))
+    edges = materialize(_verified(first, sets, docs, words, near).unionAll(same), "near-edges")
+    found = materialize(connected_components(edges), "near-found")
+    more = materialize(_verified(_rest(met, sets, found, near, bucket), sets, docs, words, near), "near-more")
+    if not more.isEmpty():
+        found = connected_components(edges.unionAll(more))
+    named = sets.select("sig", "doc_id").join(found.withColumnRenamed("node", "sig"), "sig", "left").select("sig", "doc_id", F.coalesce("component", "sig").alias("component"))
+    named = materialize(named, "near-named")
+    names = named.groupBy("component").agg(F.min("doc_id").alias("component_id"))
+    return rows.select("doc_id", "sig").join(named.select("sig", "component"), "sig").join(names, "component").select("doc_id", "component_id")
+
+
+def representatives(documents: DataFrame, words: int = SHINGLE, near: tuple[int, int] = NEAR) -> DataFrame:
+    """The documents that stay when one of each group does: those of the smallest id. Columns stay as they are.
+
+    Documents without an id stay.
+    """
+    leave = near_copies(documents, words, near).where("component_id < doc_id").select(F.col("doc_id").alias("leave_id")).distinct()
+    return documents.join(leave, documents["doc_id"] == leave["leave_id"], "left_anti")

@@ -31,19 +31,24 @@ BUCKET = 4096
 _ALL = np.uint64(0xFFFFFFFFFFFFFFFF)
 
 
-def fingerprint(text: str | None, words: int = SHINGLE, seed: int = SEED) -> int:
-    """Bit k is 1 if it is set in over half of the shingles' hashes; 0 for no words."""
+def shingle_hashes(text: str | None, words: int = SHINGLE, seed: int = SEED) -> np.ndarray:
+    """64-bit hashes of all shingles in order, with repeats; a text of fewer words is one shingle, none without words."""
     import xxhash
 
     parts = (text or "").encode().lower().split()
     if not parts:
-        return 0
+        return np.zeros(0, np.uint64)
     joined = b" ".join(parts)
     ends = np.cumsum(np.fromiter(map(len, parts), np.int64, len(parts)) + 1) - 1
     starts = np.concatenate([[0], ends[:-1] + 1])
     k = min(words, len(parts))
     h = xxhash.xxh64_intdigest
-    hashes = np.array([h(joined[a:b], seed) for a, b in zip(starts[: len(parts) - k + 1].tolist(), ends[k - 1 :].tolist(), strict=True)], np.uint64)
+    return np.array([h(joined[a:b], seed) for a, b in zip(starts[: len(parts) - k + 1].tolist(), ends[k - 1 :].tolist(), strict=True)], np.uint64)
+
+
+def fingerprint(text: str | None, words: int = SHINGLE, seed: int = SEED) -> int:
+    """Bit k is 1 if it is set in over half of the shingles' hashes; 0 for no words."""
+    hashes = shingle_hashes(text, words, seed)
     total = np.zeros(64, np.int64)
     for i in range(0, len(hashes), 65536):
         part = hashes[i : i + 65536]
