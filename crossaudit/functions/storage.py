@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder named by ``spark.checkpoint.dir``; only where none is set (tests on one machine), a fresh temporary one."""
+    """The folder named by ``spark.checkpoint.dir``; only where none is set and all runs in one process (tests), a fresh temporary one."""
     folder = spark.conf.get("spark.checkpoint.dir", None)
     if folder:
         return folder.rstrip("/")
@@ -17,20 +17,35 @@ def shared_folder(spark: SparkSession) -> str:
     own = context._jsc.sc().getCheckpointDir()
     if own.isDefined():
         return own.get().rstrip("/")
+    if not context.master.startswith("local") or context.master.startswith("local-cluster"):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     context.setCheckpointDir(tempfile.mkdtemp(prefix="crossaudit-"))
     return context._jsc.sc().getCheckpointDir().get().rstrip("/")
 
 
+def _file_system(spark: SparkSession, path: str):
+    where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    return where, where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+
+
 def materialize(df: DataFrame, name: str, *partition_by: str) -> DataFrame:
     """Write ``df`` as Parquet to the shared folder and read it back: the result survives lost executors and is computed once.
 
-    The folder is deleted when the session's JVM ends.
+    The folder is deleted by `discard`, or when the session's JVM ends.
     """
     spark = df.sparkSession
     path = f"{shared_folder(spark)}/crossaudit/{name}-{uuid.uuid4().hex}"
     writer = df.write.mode("errorifexists")
     (writer.partitionBy(*partition_by) if partition_by else writer).parquet(path)
-    jvm = spark.sparkContext._jvm
-    where = jvm.org.apache.hadoop.fs.Path(path)
-    where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).deleteOnExit(where)
-    return spark.read.schema(df.schema).parquet(path)
+    where, store = _file_system(spark, path)
+    store.deleteOnExit(where)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._written_at = path
+    return out
+
+
+def discard(*tables: DataFrame) -> None:
+    """Delete tables that `materialize` wrote and that nothing reads any more."""
+    for df in tables:
+        where, store = _file_system(df.sparkSession, df._written_at)
+        store.delete(where, True)
