@@ -2,14 +2,15 @@
 
 A line is the set of its words. A word is a 64-bit key: the rank of its hash's bucket by how often words of the bucket
 occur (1,048,576 buckets, counted over all documents), then the rest of the hash; so the order of keys is the order of
-rarity, ties by hash. Lines with equal sets meet by a hash of the set. Of each distinct set only the prefix that two sets
-of the wanted Jaccard similarity must share a word of is kept and indexed. Pairs that meet under a word pass a length
-filter, a positional filter and a 64-bit parity sketch (whose differing bits are at most the sets' symmetric difference).
-Whole sets are never shuffled for the search: the lines of the surviving pairs are read from the documents again to be
-verified. A line is removed if any earlier line, by ``doc_id`` and place, matches it.
+rarity, ties by hash. Lines with equal sets meet by a hash of the set. Of two similar sets, the rarest word that both
+have stands in the probe prefix of the longer and in the still shorter index prefix of the other, so distinct sets meet
+under the words of their prefixes. Pairs that meet pass a length filter, a positional filter and a 128-bit parity sketch (whose
+differing bits are at most the sets' symmetric difference). Whole sets are never shuffled for the search: the lines of the
+surviving pairs are read from the documents again to be verified. A line is removed if any earlier line, by ``doc_id``
+and place, matches it.
 
 Words shared by many prefixes are not paired in full at once: under them each line first meets the earliest lines,
-which settles groups of near copies, and only lines that nothing has removed yet meet all others.
+which settles groups of near copies, and only lines that nothing has removed yet meet all earlier ones of a like length.
 """
 
 from __future__ import annotations
@@ -17,31 +18,46 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from crossaudit.functions.storage import materialize
-from crossaudit.llm.words import SPACES
+from crossaudit.functions.storage import discard, materialize
+from crossaudit.llm.places import only_needed
+from crossaudit.llm.words import free_names
 
 #: Similarity as a fraction of integers, so that thresholds are exact.
 NEAR = (4, 5)
 #: Buckets of words that are ranked by their number of occurrences; the table of ranks (8 MB) is the same size for all inputs.
 BUCKET_BITS = 20
-#: Words of 64 bits in the filter of lines to read again.
-FILTER_WORDS = 1 << 17
 #: Most lines under a word that are paired in full at once.
 GROUP = 64
+#: Sets of more words have the second half of the sketch, too.
+WIDE = 64
 _LAST = (1 << 63) - 1
 
 
+def spaced(text: Column) -> Column:
+    """Text whose white space inside lines is spaces; null is empty."""
+    text = F.coalesce(text, F.lit(""))
+    odd = F.contains(text, F.lit("\t")) | F.contains(text, F.lit("\r")) | F.contains(text, F.lit("\x0b")) | F.contains(text, F.lit("\x0c"))
+    return F.when(odd, F.regexp_replace(text, "[\\t\\x0b\\x0c\\r]", " ")).otherwise(text)
+
+
+def _doc(documents: DataFrame) -> Column:
+    return F.coalesce(documents["doc_id"].cast("long"), F.lit(_LAST))
+
+
 def lines(documents: DataFrame) -> DataFrame:
-    """``doc, pos, line`` of every line with a word, without spaces at its ends. Null ids come last."""
-    rows = documents.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(_LAST)).alias("doc"), F.posexplode(F.split("text", "\n")).alias("pos", "line"))
-    return rows.select("doc", "pos", F.btrim("line", F.lit("\t\n\x0b\x0c\r ")).alias("line")).where("line <> ''")
+    """``doc, pos, line`` of every line; null ids come last."""
+    return documents.select(_doc(documents).alias("doc"), F.posexplode(F.split(spaced(documents["text"]), "\n")).alias("pos", "line"))
+
+
+def _slot(word: Column) -> Column:
+    return F.xxhash64(word).bitwiseAND(F.lit((1 << BUCKET_BITS) - 1))
 
 
 def _ranks(documents: DataFrame) -> DataFrame:
     """One row: for each bucket of words its rank by occurrences, shifted to the key's top bits."""
     n = 1 << BUCKET_BITS
-    words = documents.select(F.explode(F.split("text", SPACES)).alias("w"))
-    seen = words.select(F.xxhash64("w").bitwiseAND(F.lit(n - 1)).alias("b")).groupBy("b").agg(F.count(F.lit(1)).alias("n"))
+    words = lines(documents).select(F.explode(F.split("line", " ")).alias("w"))
+    seen = words.select(_slot(F.col("w")).alias("b")).groupBy("b").agg(F.count(F.lit(1)).alias("n"))
     every = documents.sparkSession.range(n).select(F.col("id").alias("b")).join(seen, "b", "left")
     # as many rows as there are buckets, whatever the input
     rank = F.row_number().over(Window.orderBy(F.coalesce("n", F.lit(0)), "b")) - 1 - n // 2
@@ -51,13 +67,15 @@ def _ranks(documents: DataFrame) -> DataFrame:
 
 
 def _keyed(rows: DataFrame, ranks: DataFrame) -> DataFrame:
-    """Adds ``keys``, the line's distinct words from rare to frequent, and ``sig``, a hash of them."""
-    hashes = F.array_distinct(F.transform(F.split("line", SPACES), lambda w: F.xxhash64(w)))
-    table = ranks.scalar()
-    place = lambda h: h.bitwiseAND(F.lit((1 << BUCKET_BITS) - 1)).cast("int")
-    key = lambda h: F.coalesce(F.get(F.col("ranks"), place(h)), F.lit(0).cast("long")).bitwiseOR(F.call_function("shiftrightunsigned", h, F.lit(BUCKET_BITS)))
-    keyed = rows.withColumn("ranks", table).withColumn("keys", F.sort_array(F.transform(hashes, key))).drop("ranks")
-    return keyed.withColumn("sig", F.xxhash64("keys"))
+    """Adds ``keys``, the line's distinct words from rare to frequent, and ``sig``, a hash of them; lines without a word go."""
+
+    def key(w: Column) -> Column:
+        top = F.coalesce(F.get(F.col("ranks"), _slot(w).cast("int")), F.lit(0).cast("long"))
+        return top.bitwiseOR(F.call_function("shiftrightunsigned", F.xxhash64(w), F.lit(BUCKET_BITS)))
+
+    keys = F.sort_array(F.array_except(F.transform(F.split("line", " "), key), F.array(key(F.lit("")))))
+    keyed = rows.withColumn("ranks", ranks.scalar()).withColumn("keys", keys).drop("ranks", "line")
+    return keyed.where(F.size("keys") > 0).withColumn("sig", F.xxhash64("keys"))
 
 
 def _keep(n: Column, near: tuple[int, int]) -> Column:
@@ -71,41 +89,33 @@ def _overlap(both: Column, near: tuple[int, int]) -> Column:
     return F.floor((both * up + up + down - 1) / (up + down))
 
 
+_META = ("sig", "n", "i", "bits", "half")
+
+
 def _plausible(a: dict[str, Column], b: dict[str, Column], near: tuple[int, int]) -> Column:
-    """Length, positional and sketch filters; no pair of the wanted similarity fails them."""
+    """Length, positional and sketch filters at the rarest word that both have; no pair of the wanted similarity fails them there."""
     up, down = near
     both = a["n"] + b["n"]
     overlap = _overlap(both, near)
+    whole, half = a["bits"].bitwiseXOR(b["bits"]), a["half"].bitwiseXOR(b["half"])
+    differ = F.when(F.least(a["n"], b["n"]) > WIDE, F.bit_count(half) + F.bit_count(half.bitwiseXOR(whole))).otherwise(F.bit_count(whole))
     return (
         (F.least(a["n"], b["n"]) * down >= F.greatest(a["n"], b["n"]) * up)
-        & (F.least(a["n"] - a["i"], b["n"] - b["i"]) >= overlap - F.least(a["i"], b["i"]))
-        & (F.bit_count(a["bits"].bitwiseXOR(b["bits"])) <= both - 2 * overlap)
+        & (F.least(a["n"] - a["i"], b["n"] - b["i"]) >= overlap)
+        & (a["i"] + b["i"] <= both - 2 * overlap)
+        & (differ <= both - 2 * overlap)
     )
 
 
-def _filter(need: DataFrame) -> DataFrame:
-    """One row: a bitmap of fixed size over the places of the lines needed; others pass only by chance."""
-    slot = F.xxhash64("doc", "pos").bitwiseAND(F.lit(FILTER_WORDS * 64 - 1))
-    bit = F.call_function("shiftleft", F.lit(1).cast("long"), slot.bitwiseAND(F.lit(63)).cast("int"))
-    some = need.select(F.call_function("shiftright", slot, F.lit(6)).alias("at"), bit.alias("bit")).groupBy("at").agg(F.bit_or("bit").alias("bits"))
-    every = need.sparkSession.range(FILTER_WORDS).select(F.col("id").alias("at")).join(some, "at", "left").select("at", F.coalesce("bits", F.lit(0).cast("long")).alias("bits"))
-    return materialize(every.agg(F.sort_array(F.collect_list(F.struct("at", "bits"))).alias("x")).select(F.col("x.bits").alias("bitmap")), "line-filter")
-
-
-def _verified(pairs: DataFrame, sets: DataFrame, documents: DataFrame, ranks: DataFrame, near: tuple[int, int]) -> DataFrame:
+def _verified(pairs: DataFrame, sets: DataFrame, documents: DataFrame, ranks: DataFrame, near: tuple[int, int]) -> DataFrame | None:
     """``sig`` of the later line of every pair whose sets are similar enough; the lines are read from the documents again."""
-    # the sketch in two halves of the words: their differing bits add up, and are at most the symmetric difference, too
-    ends = lambda k: sets.select(*[F.col(c).alias(f"{c}_{k}") for c in ("sig", "n", "bits", "half")])
-    both = F.col("n_a") + F.col("n_b")
-    half, other = F.col("half_a").bitwiseXOR(F.col("half_b")), F.col("bits_a").bitwiseXOR(F.col("bits_b"))
-    differ = F.bit_count(half) + F.bit_count(half.bitwiseXOR(other))
-    pairs = pairs.join(ends("a"), "sig_a").join(ends("b"), "sig_b").where(differ <= both - 2 * _overlap(both, near))
-    pairs = materialize(pairs.select("sig_a", "sig_b"), "line-pairs")
+    pairs = materialize(pairs.select(F.least("sig_a", "sig_b").alias("sig_a"), F.greatest("sig_a", "sig_b").alias("sig_b")).distinct(), "line-pairs")
+    if pairs.isEmpty():
+        return None
     ends = pairs.select(F.explode(F.array("sig_a", "sig_b")).alias("sig")).distinct()
     need = materialize(sets.select("sig", "doc", "pos").join(ends, "sig"), "line-need")
-    slot = F.xxhash64("doc", "pos").bitwiseAND(F.lit(FILTER_WORDS * 64 - 1))
-    word = F.get(_filter(need).scalar(), F.call_function("shiftright", slot, F.lit(6)).cast("int"))
-    again = lines(documents).where(F.call_function("shiftright", word, slot.bitwiseAND(F.lit(63)).cast("int")).bitwiseAND(F.lit(1)) == 1)
+    some = only_needed(need.select("doc"), documents, _doc(documents))
+    again = only_needed(need.select("doc", "pos"), lines(some), F.col("doc"), F.col("pos"))
     again = _keyed(again, ranks).select("sig", "doc", "pos", "keys").join(need.select("sig", F.col("doc").alias("d"), F.col("pos").alias("p")), "sig")
     again = again.where("doc = d and pos = p").groupBy("sig").agg(F.first(F.struct("doc", "pos", "keys")).alias("x")).select("sig", "x.*")  # one of rows that share an id
     side = lambda k: again.select(*[F.col(c).alias(f"{c}_{k}") for c in ("sig", "doc", "pos", "keys")])
@@ -114,54 +124,71 @@ def _verified(pairs: DataFrame, sets: DataFrame, documents: DataFrame, ranks: Da
     similar = shared * near[1] >= (F.size("keys_a") + F.size("keys_b") - shared) * near[0]
     # of two lines at the same place (rows that share an id), neither is later
     later = F.when(F.struct("doc_a", "pos_a") < F.struct("doc_b", "pos_b"), F.col("sig_b")).when(F.struct("doc_b", "pos_b") < F.struct("doc_a", "pos_a"), F.col("sig_a"))
-    return whole.where(similar).select(later.alias("sig")).where("sig is not null").distinct()
+    out = materialize(whole.where(similar).select(later.alias("sig")).where("sig is not null").distinct(), "line-gone")
+    discard(pairs, need)
+    return out
 
 
 def repeated_sets(documents: DataFrame, near: tuple[int, int] = NEAR, group: int = GROUP) -> tuple[DataFrame, DataFrame, DataFrame]:
     """All lines with the ``sig`` of their set, the sets with their first place, and the ``sig`` of those that an earlier, different set matches."""
+    up, down = near
     ranks = _ranks(documents)
-    n = F.size("keys")
-    bits = F.aggregate("keys", F.lit(0).cast("long"), lambda s, w: s.bitwiseXOR(F.call_function("shiftleft", F.lit(1).cast("long"), w.bitwiseAND(F.lit(63)).cast("int"))))
+    size, one = F.size("keys"), F.lit(1).cast("long")
+    place = lambda w: w.bitwiseAND(F.lit(63)).cast("int")
     upper = lambda w: F.call_function("shiftright", w, F.lit(6)).bitwiseAND(F.lit(1))
-    half = F.aggregate("keys", F.lit(0).cast("long"), lambda s, w: s.bitwiseXOR(F.call_function("shiftleft", upper(w), w.bitwiseAND(F.lit(63)).cast("int"))))
-    prefix = F.slice("keys", F.lit(1), (n - _keep(n, near) + 1).cast("int"))
-    found = _keyed(lines(documents), ranks).select("doc", "pos", "sig", n.alias("n"), bits.alias("bits"), half.alias("half"), prefix.alias("prefix"))
+    bits = F.aggregate("keys", F.lit(0).cast("long"), lambda s, w: s.bitwiseXOR(F.call_function("shiftleft", one, place(w))))
+    half = F.when(size > WIDE, F.aggregate("keys", F.lit(0).cast("long"), lambda s, w: s.bitwiseXOR(F.call_function("shiftleft", upper(w), place(w))))).otherwise(F.lit(0).cast("long"))
+    prefix = F.slice("keys", F.lit(1), (size - _keep(size, near) + 1).cast("int"))
+    found = _keyed(lines(documents), ranks).select("doc", "pos", "sig", size.alias("n"), bits.alias("bits"), half.alias("half"), prefix.alias("prefix"))
     found = materialize(found, "line-found")
-    whole = found.groupBy("sig").agg(F.min(F.struct("doc", "pos")).alias("first"), F.first(F.struct("n", "bits", "half", "prefix")).alias("x"))
-    whole = materialize(whole.select("sig", "first.doc", "first.pos", "x.n", "x.bits", "x.half", "x.prefix"), "line-sets")
-    sets = whole.select("sig", "doc", "pos", "n", "bits", "half")
-    rows = whole.select("sig", "n", "bits", F.posexplode("prefix").alias("i", "word"))
+    sets = materialize(found.groupBy("sig").agg(F.min(F.struct("doc", "pos")).alias("first")).select("sig", "first.*"), "line-sets")
+    # equal sets have equal prefixes: any of their rows will do
+    whole = found.groupBy("sig").agg(F.first(F.struct("n", "bits", "half", "prefix")).alias("x")).select("sig", "x.*")
+    rows = whole.select("sig", "n", "bits", "half", F.posexplode("prefix").alias("i", "word"))
     # columns that can't be null get no null filters below the exchange, so that all three readers share it
-    rows = rows.select(*[F.coalesce(F.col(c), F.lit(0).cast(t)).alias(c) for c, t in (("word", "long"), ("sig", "long"), ("n", "int"), ("i", "int"), ("bits", "long"))])
+    kinds = {"word": "long", "sig": "long", "n": "int", "i": "int", "bits": "long", "half": "long"}
+    rows = rows.select(*[F.coalesce(F.col(c), F.lit(0).cast(t)).alias(c) for c, t in kinds.items()])
     under = Window.partitionBy("word")
-    rows = rows.withColumn("lines", F.count(F.lit(1)).over(under)).where("lines > 1")
-
-    own = {c: F.col(c) for c in ("n", "i", "bits")}
-    ends = [{c: F.col(f"{c}_{k}") for c in ("n", "i", "bits")} for k in "ab"]
-    side = lambda k: rows.where(F.col("lines") <= group).select("word", *[F.col(c).alias(f"{c}_{k}") for c in ("sig", "n", "i", "bits")])
-    pairs = side("a").join(side("b"), "word").where((F.col("sig_a") < F.col("sig_b")) & _plausible(*ends, near))
+    counted = rows.withColumn("lines", F.count(F.lit(1)).over(under))
+
+    own = {c: F.col(c) for c in _META}
+    ends = [{c: F.col(f"{c}_{k}") for c in _META} for k in "ab"]
+    longer = (F.col("n_a") > F.col("n_b")) | ((F.col("n_a") == F.col("n_b")) & (F.col("sig_a") > F.col("sig_b")))
+    side = lambda df, k: df.select("word", *[F.col(c).alias(f"{c}_{k}") for c in _META])
+    index = rows.where(F.col("i") <= F.col("n") - F.floor((F.col("n") * 2 * up + up + down - 1) / (up + down)))
+    pairs = side(counted.where(F.col("lines").between(2, group)), "a").join(side(index, "b"), "word").where(longer & _plausible(*ends, near))
     # pairs under words of few lines and the rows of the others are written by one job, so that the prefixes are shuffled once
-    pairs = pairs.select(F.lit(None).cast("long").alias("word"), F.col("sig_a").alias("sig"), F.col("sig_b").alias("other"), *[F.lit(None).cast(t).alias(c) for c, t in (("n", "int"), ("i", "int"), ("bits", "long"))], F.lit(0).alias("busy"))
-    busy = rows.where(F.col("lines") > group).select("word", "sig", F.lit(None).cast("long").alias("other"), "n", "i", "bits", F.lit(1).alias("busy"))
+    none = lambda *names: [F.lit(None).cast(kinds[c]).alias(c) for c in names]
+    pairs = pairs.select(*none("word"), F.col("sig_a").alias("sig"), F.col("sig_b").alias("other"), *none("n", "i", "bits", "half"), F.lit(0).alias("busy"))
+    busy = counted.where(F.col("lines") > group).select("word", "sig", F.lit(None).cast("long").alias("other"), "n", "i", "bits", "half", F.lit(1).alias("busy"))
     met = materialize(pairs.unionAll(busy), "line-met", "busy")
-    pairs = met.where("busy = 0").select(F.col("sig").alias("sig_a"), F.col("other").alias("sig_b"))
-    many = materialize(met.where("busy = 1").select("word", "sig", "n", "i", "bits").join(sets.select("sig", "doc", "pos"), "sig"), "line-many")
+    many = materialize(met.where("busy = 1").select("word", *_META).join(sets, "sig"), "line-many")
     by_age = under.orderBy("doc", "pos", "sig")
-    first = F.struct("sig", "n", "i", "bits")
-    met = [F.first(first).over(by_age), *[F.lag(first, k).over(by_age) for k in (1, 2, 3)]]
-    olds = many.select("sig", "n", "i", "bits", F.array(*met).alias("met")).select("sig", "n", "i", "bits", F.explode("met").alias("o")).where("o is not null and o.sig <> sig")
-    olds = olds.where(_plausible(own, {c: F.col(f"o.{c}") for c in ("n", "i", "bits")}, near)).select(F.least("sig", "o.sig").alias("sig_a"), F.greatest("sig", "o.sig").alias("sig_b"))
-    gone = materialize(_verified(pairs.unionAll(olds).distinct(), sets, documents, ranks, near), "line-gone")
-
-    open_rows = many.join(gone, "sig", "left_anti").select("word", F.col("sig").alias("sig_a"), F.col("doc").alias("doc_a"), *[F.col(c).alias(f"{c}_a") for c in ("n", "i", "bits")])
-    all_rows = many.select("word", F.col("sig").alias("sig_b"), F.col("doc").alias("doc_b"), *[F.col(c).alias(f"{c}_b") for c in ("n", "i", "bits")])
-    rest = open_rows.join(all_rows, "word").where((F.col("doc_b") <= F.col("doc_a")) & (F.col("sig_a") != F.col("sig_b")) & _plausible(*ends, near))
-    rest = rest.select(F.least("sig_a", "sig_b").alias("sig_a"), F.greatest("sig_a", "sig_b").alias("sig_b")).distinct()
-    return found.select("doc", "pos", "sig"), sets, gone.unionAll(_verified(rest, sets, documents, ranks, near)).distinct()
+    first = F.struct(*_META)
+    olds = [F.first(first).over(by_age), *[F.lag(first, k).over(by_age) for k in (1, 2, 3)]]
+    olds = many.select(*_META, F.array(*olds).alias("met")).select(*_META, F.explode("met").alias("o")).where("o is not null and o.sig <> sig")
+    olds = olds.where(_plausible(own, {c: F.col(f"o.{c}") for c in _META}, near)).select(F.col("sig").alias("sig_a"), F.col("o.sig").alias("sig_b"))
+    none_gone = sets.where("false").select("sig")
+    gone = _verified(met.where("busy = 0").select(F.col("sig").alias("sig_a"), F.col("other").alias("sig_b")).unionAll(olds), sets, documents, ranks, near)
+    gone = none_gone if gone is None else gone
+
+    # lengths within the wanted ratio lie in one band or in neighbouring ones
+    band = F.floor(F.log("n") / F.log(F.lit(down / up))).cast("int")
+    asks = many.join(gone, "sig", "left_anti").select("word", F.explode(F.array(band - 1, band, band + 1)).alias("band"), F.col("doc").alias("doc_a"), F.col("pos").alias("pos_a"), *[F.col(c).alias(f"{c}_a") for c in _META])
+    told = many.select("word", band.alias("band"), F.col("doc").alias("doc_b"), F.col("pos").alias("pos_b"), *[F.col(c).alias(f"{c}_b") for c in _META])
+    older = (F.col("doc_b") < F.col("doc_a")) | ((F.col("doc_b") == F.col("doc_a")) & (F.col("pos_b") <= F.col("pos_a")))
+    rest = asks.join(told, ["word", "band"]).where(older & (F.col("sig_a") != F.col("sig_b")) & _plausible(*ends, near)).select("sig_a", "sig_b")
+    more = _verified(rest, sets, documents, ranks, near)
+    discard(met, many)
+    return found.select("doc", "pos", "sig"), sets, gone if more is None else gone.unionAll(more).distinct()
 
 
 def removed_lines(documents: DataFrame, near: tuple[int, int] = NEAR, group: int = GROUP) -> DataFrame:
-    """``doc, places``: for each document with lines to remove, their places in order."""
+    """``doc, places``: for each document with lines to remove, their places in order.
+
+    Null text has no lines; of rows that share a ``doc_id`` places are joined; an empty table gives an empty result; of
+    equal lines the first by ``doc_id`` and place stays, so ties cannot arise but between rows that share an id.
+    """
     every, sets, gone = repeated_sets(documents, near, group)
     # every copy of a matched set goes; of an unmatched one, all but the first
     first = sets.select("sig", F.col("doc").alias("d"), F.col("pos").alias("p")).join(gone.withColumn("later", F.lit(True)), "sig", "left")
@@ -174,15 +201,15 @@ def remove_lines(documents: DataFrame, near: tuple[int, int] = NEAR) -> DataFram
 
     Lines without a word stay where they are, unless nothing else is left: a document whose every line with a word
     is removed goes. Documents that had no word stay. Null text stays null. Rows that share a ``doc_id`` lose the lines
-    at the same places.
+    at the same places. Columns of any name may come along. An empty table stays empty.
     """
-    gone = removed_lines(documents, near).select(F.col("doc").alias("gone_doc"), "places")
-    key = F.coalesce(F.col("doc_id").cast("long"), F.lit(_LAST))
-    out = documents.join(gone, key == F.col("gone_doc"), "left")
+    doc, places = free_names(documents, "gone_doc", "gone_places")
+    gone = removed_lines(documents.select("doc_id", "text"), near).select(F.col("doc").alias(doc), F.col("places").alias(places))
+    out = documents.join(gone, _doc(documents) == F.col(doc), "left")
     parts = F.split(F.col("text"), "\n")
-    kept = F.filter(F.transform(parts, lambda x, i: F.struct(x.alias("x"), i.alias("i"))), lambda s: ~F.array_contains("places", s["i"]))
-    text = F.when(F.col("places").isNull(), F.col("text")).otherwise(F.array_join(F.transform(kept, lambda s: s["x"]), "\n"))
-    out = out.withColumn("text", text).where(F.col("places").isNull() | F.coalesce(F.col("text").rlike(r"[^\x20\x09-\x0D]"), F.lit(True)))
+    kept = F.filter(F.transform(parts, lambda x, i: F.struct(x.alias("x"), i.alias("i"))), lambda s: ~F.array_contains(places, s["i"]))
+    text = F.when(F.col(places).isNull(), F.col("text")).otherwise(F.array_join(F.transform(kept, lambda s: s["x"]), "\n"))
+    out = out.withColumn("text", text).where(F.col(places).isNull() | F.coalesce(F.col("text").rlike(r"[^\x20\x09-\x0D]"), F.lit(True)))
     if "n_chars" in documents.columns:
         out = out.withColumn("n_chars", F.length("text").cast("long"))
     return out.select(*documents.columns)
