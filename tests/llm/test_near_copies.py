@@ -3,7 +3,7 @@ import random
 import pytest
 
 import corpus_pipeline
-from crossaudit.llm import neartexts
+from crossaudit.llm import simhash
 
 SCHEMA = "doc_id long, text string, lang string, source string, n_chars long"
 
@@ -52,7 +52,7 @@ def near_rows(rng):
 @pytest.mark.parametrize("bucket", [4096, 4])
 def test_near_texts_against_all_pairs(spark, bucket):
     rows = near_rows(random.Random(bucket))
-    got = {r["doc_id"]: r["component_id"] for r in neartexts.near_copies(spark.createDataFrame(rows, "doc_id long, text string"), bucket=bucket).collect()}
+    got = {r["doc_id"]: r["component_id"] for r in simhash.near_copies(spark.createDataFrame(rows, "doc_id long, text string"), bucket=bucket).collect()}
     want = brute_components(rows)
     assert got == want and 10 < len(set(want.values())) < len(rows) - 10
 
@@ -79,7 +79,7 @@ def test_near_texts_odd_rows(spark):
     text = "a b c d e f g h"
     rows = [(1, text), (1, "other words"), (2, None), (3, ""), (None, text), (4, text), (5, "other words"), (None, "alone")]
     docs = spark.createDataFrame([(d, t, "en", "s", 1) for d, t in rows], SCHEMA)
-    out = neartexts.representatives(docs)
+    out = simhash.representatives(docs)
     assert out.columns == docs.columns
     assert sorted((r["doc_id"] for r in out.collect()), key=repr) == [1, 1, 2, None, None]
-    assert neartexts.representatives(docs.limit(0)).count() == 0
+    assert simhash.representatives(docs.limit(0)).count() == 0
