@@ -67,7 +67,10 @@ def _ranks(documents: DataFrame) -> DataFrame:
 
 
 def _keyed(rows: DataFrame, ranks: DataFrame) -> DataFrame:
-    """Adds ``keys``, the line's distinct words from rare to frequent, and ``sig``, a hash of them; lines without a word go."""
+    """Adds ``keys``, the line's distinct words from rare to frequent, and ``sig``, a hash of them.
+
+    A filter on the keys would compute them twice, or copy the ranks into every row: put it behind a written table.
+    """
 
     def key(w: Column) -> Column:
         top = F.coalesce(F.get(F.col("ranks"), _slot(w).cast("int")), F.lit(0).cast("long"))
@@ -75,7 +78,7 @@ def _keyed(rows: DataFrame, ranks: DataFrame) -> DataFrame:
 
     keys = F.sort_array(F.array_except(F.transform(F.split("line", " "), key), F.array(key(F.lit("")))))
     keyed = rows.withColumn("ranks", ranks.scalar()).withColumn("keys", keys).drop("ranks", "line")
-    return keyed.where(F.size("keys") > 0).withColumn("sig", F.xxhash64("keys"))
+    return keyed.withColumn("sig", F.xxhash64("keys"))
 
 
 def _keep(n: Column, near: tuple[int, int]) -> Column:
@@ -140,7 +143,7 @@ def repeated_sets(documents: DataFrame, near: tuple[int, int] = NEAR, group: int
     half = F.when(size > WIDE, F.aggregate("keys", F.lit(0).cast("long"), lambda s, w: s.bitwiseXOR(F.call_function("shiftleft", upper(w), place(w))))).otherwise(F.lit(0).cast("long"))
     prefix = F.slice("keys", F.lit(1), (size - _keep(size, near) + 1).cast("int"))
     found = _keyed(lines(documents), ranks).select("doc", "pos", "sig", size.alias("n"), bits.alias("bits"), half.alias("half"), prefix.alias("prefix"))
-    found = materialize(found, "line-found")
+    found = materialize(found, "line-found").where("n > 0")
     sets = materialize(found.groupBy("sig").agg(F.min(F.struct("doc", "pos")).alias("first")).select("sig", "first.*"), "line-sets")
     # equal sets have equal prefixes: any of their rows will do
     whole = found.groupBy("sig").agg(F.first(F.struct("n", "bits", "half", "prefix")).alias("x")).select("sig", "x.*")
