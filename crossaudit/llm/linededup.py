@@ -15,6 +15,8 @@ which settles groups of near copies, and only lines that nothing has removed yet
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -34,10 +36,10 @@ _LAST = (1 << 63) - 1
 
 
 def spaced(text: Column) -> Column:
-    """Text whose white space inside lines is spaces; null is empty."""
+    """Text whose white space inside lines is single spaces; null is empty."""
     text = F.coalesce(text, F.lit(""))
-    odd = F.contains(text, F.lit("\t")) | F.contains(text, F.lit("\r")) | F.contains(text, F.lit("\x0b")) | F.contains(text, F.lit("\x0c"))
-    return F.when(odd, F.regexp_replace(text, "[\\t\\x0b\\x0c\\r]", " ")).otherwise(text)
+    odd = [F.contains(text, F.lit(x)) for x in ("\t", "\r", "\x0b", "\x0c", "  ")]
+    return F.when(reduce(Column.__or__, odd), F.regexp_replace(text, "[\\t\\x0b\\x0c\\r ]+", " ")).otherwise(text)
 
 
 def _doc(documents: DataFrame) -> Column:
@@ -45,8 +47,9 @@ def _doc(documents: DataFrame) -> Column:
 
 
 def lines(documents: DataFrame) -> DataFrame:
-    """``doc, pos, line`` of every line; null ids come last."""
-    return documents.select(_doc(documents).alias("doc"), F.posexplode(F.split(spaced(documents["text"]), "\n")).alias("pos", "line"))
+    """``doc, pos, line`` of every line, its words a space apart; null ids come last."""
+    rows = documents.select(_doc(documents).alias("doc"), F.posexplode(F.split(spaced(documents["text"]), "\n")).alias("pos", "line"))
+    return rows.withColumn("line", F.trim("line"))
 
 
 def _slot(word: Column) -> Column:
@@ -67,18 +70,17 @@ def _ranks(documents: DataFrame) -> DataFrame:
 
 
 def _keyed(rows: DataFrame, ranks: DataFrame) -> DataFrame:
-    """Adds ``keys``, the line's distinct words from rare to frequent, and ``sig``, a hash of them.
+    """Adds ``keys``, the line's distinct words from rare to frequent, and ``sig``, a hash of them; a line without a word has the empty word.
 
-    A filter on the keys would compute them twice, or copy the ranks into every row: put it behind a written table.
+    The ranks must be named once in one projection and no filter may follow it: else they are copied into every row.
     """
 
     def key(w: Column) -> Column:
         top = F.coalesce(F.get(F.col("ranks"), _slot(w).cast("int")), F.lit(0).cast("long"))
         return top.bitwiseOR(F.call_function("shiftrightunsigned", F.xxhash64(w), F.lit(BUCKET_BITS)))
 
-    keys = F.sort_array(F.array_except(F.transform(F.split("line", " "), key), F.array(key(F.lit("")))))
-    keyed = rows.withColumn("ranks", ranks.scalar()).withColumn("keys", keys).drop("ranks", "line")
-    return keyed.withColumn("sig", F.xxhash64("keys"))
+    keys = F.sort_array(F.array_distinct(F.transform(F.split("line", " "), key)))
+    return rows.withColumn("ranks", ranks.scalar()).withColumn("keys", keys).drop("ranks").withColumn("sig", F.xxhash64("keys"))
 
 
 def _keep(n: Column, near: tuple[int, int]) -> Column:
@@ -142,7 +144,7 @@ def repeated_sets(documents: DataFrame, near: tuple[int, int] = NEAR, group: int
     bits = F.aggregate("keys", F.lit(0).cast("long"), lambda s, w: s.bitwiseXOR(F.call_function("shiftleft", one, place(w))))
     half = F.when(size > WIDE, F.aggregate("keys", F.lit(0).cast("long"), lambda s, w: s.bitwiseXOR(F.call_function("shiftleft", upper(w), place(w))))).otherwise(F.lit(0).cast("long"))
     prefix = F.slice("keys", F.lit(1), (size - _keep(size, near) + 1).cast("int"))
-    found = _keyed(lines(documents), ranks).select("doc", "pos", "sig", size.alias("n"), bits.alias("bits"), half.alias("half"), prefix.alias("prefix"))
+    found = _keyed(lines(documents), ranks).select("doc", "pos", "sig", F.when(F.col("line") == "", 0).otherwise(size).alias("n"), bits.alias("bits"), half.alias("half"), prefix.alias("prefix"))
     found = materialize(found, "line-found").where("n > 0")
     sets = materialize(found.groupBy("sig").agg(F.min(F.struct("doc", "pos")).alias("first")).select("sig", "first.*"), "line-sets")
     # equal sets have equal prefixes: any of their rows will do
