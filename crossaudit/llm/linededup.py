@@ -48,8 +48,7 @@ def _doc(documents: DataFrame) -> Column:
 
 def lines(documents: DataFrame) -> DataFrame:
     """``doc, pos, line`` of every line, its words a space apart; null ids come last."""
-    rows = documents.select(_doc(documents).alias("doc"), F.posexplode(F.split(spaced(documents["text"]), "\n")).alias("pos", "line"))
-    return rows.withColumn("line", F.trim("line"))
+    return documents.select(_doc(documents).alias("doc"), F.posexplode(F.split(spaced(documents["text"]), "\n")).alias("pos", "line"))
 
 
 def _slot(word: Column) -> Column:
@@ -72,14 +71,15 @@ def _ranks(documents: DataFrame) -> DataFrame:
 def _keyed(rows: DataFrame, ranks: DataFrame) -> DataFrame:
     """Adds ``keys``, the line's distinct words from rare to frequent, and ``sig``, a hash of them; a line without a word has the empty word.
 
-    The ranks must be named once in one projection and no filter may follow it: else they are copied into every row.
+    The ranks must be named once, in a projection that Catalyst can merge with theirs (its other inputs are plain columns), and
+    no filter may follow: else they are copied into every row.
     """
 
     def key(w: Column) -> Column:
         top = F.coalesce(F.get(F.col("ranks"), _slot(w).cast("int")), F.lit(0).cast("long"))
         return top.bitwiseOR(F.call_function("shiftrightunsigned", F.xxhash64(w), F.lit(BUCKET_BITS)))
 
-    keys = F.sort_array(F.array_distinct(F.transform(F.split("line", " "), key)))
+    keys = F.sort_array(F.array_distinct(F.transform(F.split(F.trim("line"), " "), key)))
     return rows.withColumn("ranks", ranks.scalar()).withColumn("keys", keys).drop("ranks").withColumn("sig", F.xxhash64("keys"))
 
 
@@ -144,7 +144,7 @@ def repeated_sets(documents: DataFrame, near: tuple[int, int] = NEAR, group: int
     bits = F.aggregate("keys", F.lit(0).cast("long"), lambda s, w: s.bitwiseXOR(F.call_function("shiftleft", one, place(w))))
     half = F.when(size > WIDE, F.aggregate("keys", F.lit(0).cast("long"), lambda s, w: s.bitwiseXOR(F.call_function("shiftleft", upper(w), place(w))))).otherwise(F.lit(0).cast("long"))
     prefix = F.slice("keys", F.lit(1), (size - _keep(size, near) + 1).cast("int"))
-    found = _keyed(lines(documents), ranks).select("doc", "pos", "sig", F.when(F.col("line") == "", 0).otherwise(size).alias("n"), bits.alias("bits"), half.alias("half"), prefix.alias("prefix"))
+    found = _keyed(lines(documents), ranks).select("doc", "pos", "sig", F.when(F.trim("line") == "", 0).otherwise(size).alias("n"), bits.alias("bits"), half.alias("half"), prefix.alias("prefix"))
     found = materialize(found, "line-found").where("n > 0")
     sets = materialize(found.groupBy("sig").agg(F.min(F.struct("doc", "pos")).alias("first")).select("sig", "first.*"), "line-sets")
     # equal sets have equal prefixes: any of their rows will do

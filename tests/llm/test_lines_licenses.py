@@ -37,6 +37,12 @@ def test_lines_against_all_pairs(spark, group):
     assert got == brute_removed(rows)
 
 
+def test_ranks_are_not_copied_into_rows(spark, tiny):
+    docs = spark.read.parquet(f"{tiny}/documents.parquet")
+    keyed = linededup._keyed(linededup.lines(docs), linededup._ranks(docs)).select("sig", linededup.F.trim("line").alias("t"), linededup.F.size("keys").alias("n"))
+    assert " AS ranks#" not in keyed._jdf.queryExecution().optimizedPlan().toString()
+
+
 def test_lines_odd_rows(spark):
     rows = [(1, "a b c d e\nsame line here now yes", "en", "s", 9), (2, "same line here now yes", "en", "s", 9), (3, None, None, None, None), (4, "", "en", "s", 0), (4, "", "en", "s", 0), (None, "a b c d e\nnew words stand here", "en", "s", 1)]
     docs = spark.createDataFrame(rows, SCHEMA)
