@@ -4,21 +4,27 @@ Every window of 50 bytes has an anchor: of its 31 substrings of 20 bytes the one
 have equal anchors, and neighbouring windows share theirs. Documents lie in groups of bounded size. First the anchors'
 hashes of all groups meet, and each group learns which of its anchors another document has too; about 5 bytes an anchor are
 shuffled. Only around those, each group sends its distinct snippets (the bytes of a run of windows with one anchor) to the bucket of
-the anchor. There all windows are sorted as suffixes: multikey quicksort, vectorised over eight bytes at a time, to a
-shallow depth; groups that are still tied and differ further on go through blind tries. Equal windows
+the anchor. There snippets that several groups sent are one, and all windows of the distinct ones are sorted as suffixes, deep-shallow:
+to a shallow depth a multikey sort splits each tied group by its next eight bytes at once (numpy sorts words faster than it could partition three ways
+by single characters, and the order is the same); groups that are still tied and differ further on go through blind tries. Equal windows
 give the smallest document each occurs in, which goes back to the groups as runs.
+
+Where there are more than ``cell`` groups, anchors meet in two steps, within cells of that many groups and then between cells, so no
+task hears from all groups; and windows around an anchor that more than ``hot`` cells have are combined by Spark's own aggregation, one row a
+window, instead of in the anchor's bucket.
 """
 
 from __future__ import annotations
 
 import hashlib
-import zlib
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from crossaudit.functions.storage import materialize
+
 WINDOW = 50
 ANCHOR = 20
 SPAN = WINDOW - ANCHOR + 1
@@ -26,6 +32,8 @@ SNIPPET = WINDOW + SPAN - 1
 SHALLOW = 32
 #: Bytes of text in a group, about.
 GROUP_BYTES = 2_500_000
+#: Groups whose anchors meet in one place, and cells that may have an anchor before its windows go a way of their own.
+CELL, HOT = 1000, 64
 _CHUNK = 1 << 19
 _LAST = (1 << 63) - 1
 _M1, _M2, _M3, _M4 = (np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93))
@@ -61,7 +69,6 @@ def anchor_runs(buffer: np.ndarray, starts: np.ndarray) -> tuple[np.ndarray, np.
     """
     firsts, counts, hashes = [], [], []
     low = np.uint64(_CHUNK * 2 - 1)
-    lengths = np.diff(starts)
     for at in range(0, max(0, len(buffer) - WINDOW + 1), _CHUNK):
         piece = buffer[at : at + _CHUNK + WINDOW - 1]
         h = _hashes(piece)
@@ -70,21 +77,45 @@ def anchor_runs(buffer: np.ndarray, starts: np.ndarray) -> tuple[np.ndarray, np.
         for step in (2, 4, 8):
             m = np.minimum(m[:-step], m[step:])
         m = np.minimum(m[: -(SPAN - 16)], m[SPAN - 16 :])  # of 16 and 31 places
-        anchor = (m & low).astype(np.int64)
-        window = np.arange(at, at + len(anchor))
-        doc = np.searchsorted(starts, window, side="right") - 1
-        inside = window + WINDOW <= starts[doc] + lengths[doc]
+        anchor = m & low
         new = np.ones(len(anchor), bool)
-        new[1:] = (anchor[1:] != anchor[:-1]) | (doc[1:] != doc[:-1])
-        first = np.flatnonzero(new & inside)
-        count = np.add.reduceat(inside.astype(np.int64), np.flatnonzero(new))[inside[np.flatnonzero(new)]]
+        np.not_equal(anchor[1:], anchor[:-1], out=new[1:])
+        new[starts[np.searchsorted(starts, at) : np.searchsorted(starts, at + len(anchor))] - at] = True
+        first = np.flatnonzero(new)
+        # a run's windows are those that end inside its document
+        doc = np.searchsorted(starts, first + at, side="right") - 1
+        count = np.minimum(np.append(first[1:], len(anchor)), starts[doc + 1] - WINDOW + 1 - at) - first
+        first, count = first[count > 0], count[count > 0]
         firsts.append(first + at)
         counts.append(count)
-        hashes.append(h[anchor[first]])
+        hashes.append(h[anchor[first].astype(np.int64)])
     cat = lambda x, t: np.concatenate(x) if x else np.zeros(0, t)
     return cat(firsts, np.int64), cat(counts, np.int64), cat(hashes, np.uint64)
 
 
+def distinct_rows(matrix: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """One place of each distinct row of a byte matrix, and for every row the number of its like among them.
+
+    Rows are brought together by a hash and compared whole; should a hash collide, equal rows may count as several.
+    """
+    n, width = matrix.shape
+    words = np.zeros((n, -(-width // 8) * 8), np.uint8)
+    words[:, :width] = matrix
+    words = words.view(np.uint64)
+    h = np.zeros(n, np.uint64)
+    for c in range(words.shape[1]):
+        h = (h ^ words[:, c]) * _M1
+        h ^= h >> np.uint64(29)
+    order = np.argsort(h, kind="stable")
+    new = np.ones(n, bool)
+    new[1:] = h[order[1:]] != h[order[:-1]]
+    like = np.flatnonzero(~new)
+    new[like] = (words[order[like]] != words[order[like - 1]]).any(axis=1)
+    number = np.empty(n, np.int64)
+    number[order] = np.cumsum(new) - 1
+    return order[new], number
+
+
 def blind_trie(tails: list[bytes]) -> list[int]:
     """Rank of each string among the distinct ones, in order; strings have one length.
 
@@ -195,8 +226,8 @@ class Group:
         self.codes, self.place = np.unique(self.code, return_inverse=True)
         self.doc = self.docs[np.searchsorted(self.starts, self.first, side="right") - 1]
 
-    def share(self, elsewhere: np.ndarray) -> None:
-        """``elsewhere`` tells of each of ``codes`` whether another group has it."""
+    def share(self, elsewhere: np.ndarray, hot: np.ndarray) -> None:
+        """``elsewhere`` tells of each of ``codes`` whether another group has it, ``hot`` whether very many have."""
         low, high = np.full(len(self.codes), _LAST), np.full(len(self.codes), -_LAST - 1)
         np.minimum.at(low, self.place, self.doc)
         np.maximum.at(high, self.place, self.doc)
@@ -208,10 +239,10 @@ class Group:
         matrix[:, :SNIPPET] = view[self.first[self.runs]]
         matrix[:, :SNIPPET][np.arange(SNIPPET)[None, :] >= (n + WINDOW - 1)[:, None]] = 0
         matrix[:, SNIPPET] = n
-        rows = matrix.view(np.dtype((np.void, SNIPPET + 1)))[:, 0]
-        _, chosen, self.snippet = np.unique(rows, return_index=True, return_inverse=True)
+        chosen, self.snippet = distinct_rows(matrix)
         self.snippets = matrix[chosen]
         self.snippet_bucket = self.code[self.runs[chosen]] >> 40
+        self.hot = hot[self.place[self.runs[chosen]]]
         self.least = np.full(len(chosen), _LAST)
         np.minimum.at(self.least, self.snippet, self.doc[self.runs])
 
@@ -238,14 +269,28 @@ def _side(rows: list[tuple]) -> pa.Table:
     return pa.Table.from_pylist([dict(zip(_SIDE_TYPES.names, r, strict=True)) for r in rows], schema=_SIDE_TYPES)
 
 
-def _known(group: Group, side: pa.Table) -> np.ndarray:
-    """Flags of the group's codes from the buckets' answers."""
-    flags = np.zeros(len(group.codes), bool)
+def _known(group: Group, side: pa.Table) -> tuple[np.ndarray, np.ndarray]:
+    """Flags of the group's codes from the buckets' answers: another group has it, very many have it."""
+    flags, hot = np.zeros(len(group.codes), bool), np.zeros(len(group.codes), bool)
     for r in side.to_pylist():
         if r["kind"] == 0:
             a, b = np.searchsorted(group.codes, [r["p"] << 40, (r["p"] + 1) << 40])
-            flags[a:b] = np.unpackbits(np.frombuffer(r["a"], np.uint8))[: b - a].astype(bool)
-    return flags
+            flags[a:b] = np.unpackbits(np.frombuffer(r["a"], np.uint8))[: b - a]
+            if r["b"] is not None:
+                hot[a:b] = np.unpackbits(np.frombuffer(r["b"], np.uint8))[: b - a]
+    return flags, hot
+
+
+def _pack(codes: np.ndarray) -> bytes:
+    """Codes without their bucket, five bytes each."""
+    return np.ascontiguousarray(codes.astype("<i8").view(np.uint8).reshape(-1, 8)[:, :5]).tobytes()
+
+
+def _unpack(data: bytes) -> np.ndarray:
+    own = np.frombuffer(data, np.uint8).reshape(-1, 5)
+    full = np.zeros((len(own), 8), np.uint8)
+    full[:, :5] = own
+    return full.view("<i8")[:, 0]
 
 
 def _send_codes(buckets: int):
@@ -253,43 +298,71 @@ def _send_codes(buckets: int):
         group = Group(table, buckets)
         g, rows = table.column("g")[0].as_py(), []
         cut = np.searchsorted(group.codes, np.arange(buckets + 1) << 40)
-        packed = np.ascontiguousarray(group.codes.astype("<i8").view(np.uint8).reshape(-1, 8)[:, :5])
-        for p in range(buckets):
-            if cut[p] < cut[p + 1]:
-                rows.append((g, 0, p, packed[cut[p] : cut[p + 1]].tobytes(), None))
+        for p in np.flatnonzero(np.diff(cut)).tolist():
+            rows.append((g, 0, p, _pack(group.codes[cut[p] : cut[p + 1]]), None))
         return _side(rows)
 
     return run
 
 
-def _meet_codes(table: pa.Table) -> pa.Table:
-    """For each group, a bit for each of its codes in this bucket: whether another group has it."""
-    parts = table.to_pylist()
-    wide = []
-    for r in parts:
-        own = np.frombuffer(r["a"], np.uint8).reshape(-1, 5)
-        full = np.zeros((len(own), 8), np.uint8)
-        full[:, :5] = own
-        wide.append(full.view("<i8")[:, 0])
+def _meet_codes(hot: int | None):
+    """For each sender, a bit for each of its codes in this bucket: whether another one has it, and whether over ``hot`` have."""
+
+    def run(table: pa.Table) -> pa.Table:
+        parts = table.to_pylist()
+        wide = [_unpack(r["a"]) for r in parts]
+        values, counts = np.unique(np.concatenate(wide), return_counts=True)
+        shared, many = values[counts > 1], values[counts > hot] if hot is not None else None
+        bits = lambda w, v: np.packbits(np.isin(w, v, assume_unique=True)).tobytes()
+        return _side([(r["g"], 0, r["p"], bits(w, shared), None if many is None else bits(w, many)) for r, w in zip(parts, wide, strict=True)])
+
+    return run
+
+
+def _merge_codes(cell: tuple[pa.Scalar, ...], table: pa.Table) -> pa.Table:
+    """The distinct codes of a cell, as one sender."""
+    return _side([(cell[1].as_py(), 0, cell[0].as_py(), _pack(np.unique(np.concatenate([_unpack(x) for x in table.column("a").to_pylist()]))), None)])
+
+
+def _tell_cell(codes: pa.Table, told: pa.Table) -> pa.Table:
+    """Answers for the groups of a cell: a code is shared inside the cell, or by another one."""
+    if not codes.num_rows:
+        return _side([])
+    parts, (answer,) = codes.to_pylist(), told.to_pylist()
+    wide = [_unpack(r["a"]) for r in parts]
     values, counts = np.unique(np.concatenate(wide), return_counts=True)
-    shared = values[counts > 1]
-    return _side([(r["g"], 0, r["p"], np.packbits(np.isin(w, shared, assume_unique=True)).tobytes(), None) for r, w in zip(parts, wide, strict=True)])
+    flag = lambda name: np.unpackbits(np.frombuffer(answer[name], np.uint8))[: len(values)].astype(bool)
+    shared, many = flag("a") | (counts > 1), flag("b")
+    rows = []
+    for r, w in zip(parts, wide, strict=True):
+        at = np.searchsorted(values, w)
+        rows.append((r["g"], 0, r["p"], np.packbits(shared[at]).tobytes(), np.packbits(many[at]).tobytes()))
+    return _side(rows)
+
+
+def _codec():
+    return pa.Codec("zstd", compression_level=1)
 
 
 def _send_snippets(buckets: int):
+    """Snippets by bucket (kind 1); windows of those around hot anchors one by one (kind 2: ``p`` is the document, ``a`` the bytes)."""
+
     def run(text: pa.Table, side: pa.Table) -> pa.Table:
         if not text.num_rows:
             return _side([])
         group = Group(text, buckets)
-        group.share(_known(group, side))
+        group.share(*_known(group, side))
         g, rows = text.column("g")[0].as_py(), []
-        order = np.argsort(group.snippet_bucket, kind="stable")
+        cold = np.flatnonzero(~group.hot)
+        order = cold[np.argsort(group.snippet_bucket[cold], kind="stable")]
         cut = np.searchsorted(group.snippet_bucket[order], np.arange(buckets + 1))
-        for p in range(buckets):
+        for p in np.flatnonzero(np.diff(cut)).tolist():
             own = order[cut[p] : cut[p + 1]]
-            if len(own):
-                head = np.int64(len(own)).tobytes() + own.astype("<i4").tobytes() + group.least[own].astype("<i8").tobytes()
-                rows.append((g, 1, p, zlib.compress(group.snippets[own].tobytes(), 1), head))
+            head = np.int64(len(own)).tobytes() + own.astype("<i4").tobytes() + group.least[own].astype("<i8").tobytes()
+            rows.append((g, 1, p, _codec().compress(group.snippets[own].tobytes(), asbytes=True), head))
+        for k in np.flatnonzero(group.hot).tolist():
+            raw = group.snippets[k].tobytes()
+            rows += [(g, 2, int(group.least[k]), raw[o : o + WINDOW], np.array([k, o], "<i4").tobytes()) for o in range(raw[SNIPPET])]
         return _side(rows)
 
     return run
@@ -303,31 +376,39 @@ def _sort_bucket(table: pa.Table) -> pa.Table:
         n = int(np.frombuffer(r["b"], np.int64, 1)[0])
         index.append(np.frombuffer(r["b"], "<i4", n, 8))
         least.append(np.frombuffer(r["b"], "<i8", n, 8 + 4 * n))
-        matrices.append(np.frombuffer(zlib.decompress(r["a"]), np.uint8).reshape(n, SNIPPET + 1))
+        matrices.append(np.frombuffer(_codec().decompress(r["a"], n * (SNIPPET + 1)), np.uint8).reshape(n, SNIPPET + 1))
         owner.append(np.full(n, k))
     matrix, least, index, owner = (np.concatenate(x) for x in (matrices, least, index, owner))
     parts = [(r["g"], r["p"]) for r in parts]
-    del matrices, table
+    chosen, number = distinct_rows(matrix)
+    matrix = matrix[chosen]
+    low = np.full(len(chosen), _LAST)
+    np.minimum.at(low, number, least)
     count = matrix[:, SNIPPET].astype(np.int64)
     row = np.repeat(np.arange(len(count)), count)
     offset = np.arange(len(row)) - np.repeat(np.cumsum(count) - count, count)
     order, new = sort_windows(matrix.ravel(), row * (SNIPPET + 1) + offset)
     heads = np.flatnonzero(new)
-    lowest = np.minimum.reduceat(least[row[order]], heads)
-    best = np.empty(len(row), np.int64)
-    best[order] = np.repeat(lowest, np.diff(np.append(heads, len(row))))
-    earlier = best < least[row]
-    begin = earlier.copy()
-    begin[1:] &= ~(earlier[:-1] & (row[1:] == row[:-1]) & (best[1:] == best[:-1]))
-    at = np.flatnonzero(begin)
-    run = np.cumsum(begin)[earlier] - 1
-    length = np.bincount(run, minlength=len(at))
+    lowest = np.minimum.reduceat(low[row[order]], heads)
+    best = np.full((len(chosen), SPAN), _LAST)
+    best[row[order], offset[order]] = np.repeat(lowest, np.diff(np.append(heads, len(row))))
+    del matrix, matrices, table, order, new
+    out: list[list[np.ndarray]] = [[] for _ in range(5)]
+    for at in range(0, len(least), 50_000):
+        own = best[number[at : at + 50_000]]
+        earlier = own < least[at : at + 50_000, None]
+        begin = earlier.copy()
+        begin[:, 1:] &= ~(earlier[:, :-1] & (own[:, 1:] == own[:, :-1]))
+        r, o = np.nonzero(begin)
+        length = np.bincount(np.cumsum(begin.ravel())[earlier.ravel()] - 1, minlength=len(r))
+        for x, y in zip(out, (r + at, o, length, own[r, o], owner[at + r]), strict=True):
+            x.append(y)
+    r, o, length, doc, by = (np.concatenate(x) for x in out)
+    cut = np.searchsorted(by, np.arange(len(parts) + 1))
     rows = []
-    for k, r in enumerate(parts):
-        own = owner[row[at]] == k
-        if own.any():
-            a = at[own]
-            rows.append((r[0], 1, r[1], np.stack([index[row[a]], offset[a], length[own]], axis=1).astype("<i4").tobytes(), best[a].astype("<i8").tobytes()))
+    for (g, p), a, b in zip(parts, cut.tolist(), cut[1:].tolist(), strict=False):
+        if a < b:
+            rows.append((g, 1, p, np.stack([index[r[a:b]], o[a:b], length[a:b]], axis=1).astype("<i4").tobytes(), doc[a:b].astype("<i8").tobytes()))
     return _side(rows)
 
 
@@ -341,8 +422,12 @@ def _finish(buckets: int, with_text: bool):
         if not text.num_rows:
             return pa.Table.from_arrays([pa.array([], t) for t in types], names=names)
         group = Group(text, buckets)
-        group.share(_known(group, side))
-        runs = [(np.frombuffer(r["a"], "<i4").reshape(-1, 3), np.frombuffer(r["b"], "<i8")) for r in side.to_pylist() if r["kind"] == 1]
+        group.share(*_known(group, side))
+        rows = side.to_pylist()
+        runs = [(np.frombuffer(r["a"], "<i4").reshape(-1, 3), np.frombuffer(r["b"], "<i8")) for r in rows if r["kind"] == 1]
+        if alone := [r for r in rows if r["kind"] == 3]:
+            where = np.stack([np.frombuffer(r["b"], "<i4") for r in alone])
+            runs.append((np.column_stack([where, np.ones(len(where), "<i4")]), np.array([r["p"] for r in alone])))
         where = np.concatenate([a for a, _ in runs]).astype(np.int64) if runs else np.zeros((0, 3), np.int64)
         docs = np.concatenate([b for _, b in runs]) if runs else np.zeros(0, np.int64)
         gone = group.covered(where[:, 0], where[:, 1], where[:, 2], docs)
@@ -357,7 +442,7 @@ def _finish(buckets: int, with_text: bool):
     return run
 
 
-def remove_repeats(documents: DataFrame, group_bytes: int = GROUP_BYTES, with_text: bool = False) -> DataFrame:
+def remove_repeats(documents: DataFrame, group_bytes: int = GROUP_BYTES, with_text: bool = False, cell: int = CELL, hot: int = HOT) -> DataFrame:
     """``doc_id, n_bytes, n_removed, n_spans, kept_sha256`` (and ``kept``, the bytes left) of every row of ``doc_id, text``.
 
     A byte goes if a window of 50 bytes over it also starts in a document with a smaller id, judged on the input.
@@ -368,9 +453,24 @@ def remove_repeats(documents: DataFrame, group_bytes: int = GROUP_BYTES, with_te
     total = documents.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     groups = max(1, -(-total // group_bytes))
     texts = rows.select(F.pmod(F.xxhash64("doc", F.octet_length("text")), F.lit(groups)).alias("g"), "doc", "text")
-    answers = texts.groupBy("g").applyInArrow(_send_codes(groups), SIDE).groupBy("p").applyInArrow(_meet_codes, SIDE)
+    codes = texts.groupBy("g").applyInArrow(_send_codes(groups), SIDE)
+    if groups <= cell:
+        answers = codes.groupBy("p").applyInArrow(_meet_codes(None), SIDE)
+    else:
+        codes = codes.withColumn("cell", F.pmod("g", F.lit(-(-groups // cell))))
+        merged = codes.groupBy("p", "cell").applyInArrow(_merge_codes, SIDE)
+        told = merged.groupBy("p").applyInArrow(_meet_codes(hot), SIDE)
+        answers = codes.groupBy("p", "cell").cogroup(told.groupBy("p", "g")).applyInArrow(_tell_cell, SIDE)
     snippets = texts.groupBy("g").cogroup(answers.groupBy("g")).applyInArrow(_send_snippets(groups), SIDE)
-    found = snippets.groupBy("p").applyInArrow(_sort_bucket, SIDE)
+    if groups <= cell:
+        found = snippets.groupBy("p").applyInArrow(_sort_bucket, SIDE)
+    else:
+        answers, snippets = materialize(answers, "repeat-answers"), materialize(snippets, "repeat-snippets")
+        found = snippets.where("kind = 1").groupBy("p").applyInArrow(_sort_bucket, SIDE)
+        alone = snippets.where("kind = 2")
+        first = alone.groupBy("a").agg(F.min("p").alias("first"))
+        alone = alone.join(first, "a").where("first < p").select("g", F.lit(3).alias("kind"), F.col("first").alias("p"), "a", "b")
+        found = found.unionAll(alone)
     return texts.groupBy("g").cogroup(answers.unionAll(found).groupBy("g")).applyInArrow(_finish(groups, with_text), RESULT + ", kept binary" * with_text)
 
 

@@ -46,6 +46,20 @@ def test_against_every_window(spark, size):
     assert sorted(tuple(r) for r in got) == brute(rows)
 
 
+@pytest.mark.parametrize("hot", [64, 1])
+def test_cells_and_hot_anchors(spark, hot):
+    rows = texts() + [(1000 + i, "z" * i + "the very same passage stands in a great many of the documents here, word for word.") for i in range(40)]
+    got = suffixes.remove_repeats(spark.createDataFrame(rows, "doc_id long, text string"), group_bytes=1500, cell=4, hot=hot).collect()
+    assert sorted(tuple(r) for r in got) == brute(rows)
+
+
+def test_distinct_rows():
+    rng = np.random.default_rng(6)
+    matrix = rng.integers(0, 2, (500, 9)).astype(np.uint8)
+    chosen, number = suffixes.distinct_rows(matrix)
+    assert (matrix[chosen][number] == matrix).all() and len(chosen) == len(np.unique(matrix, axis=0))
+
+
 def test_given_table(spark, tiny):
     rows = [(r["doc_id"], r["text"]) for r in spark.read.parquet(f"{tiny}/documents.parquet").collect()]
     assert sorted(tuple(r) for r in suffixes.query(spark, tiny).collect()) == brute(rows)
