@@ -11,7 +11,6 @@ from __future__ import annotations
 
 import re
 import zlib
-from functools import cache
 
 import numpy as np
 import pyarrow as pa
@@ -20,11 +19,13 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from crossaudit.functions.storage import materialize
+from crossaudit.llm.kept import Memo, held
 
 CAPACITY = 1024
 END = 2
 SALTS = 256
-_CACHE_WORDS = 1_000_000
+#: Bytes, about, that the kept words of a worker may take.
+_KEPT_BYTES = 180_000_000
 _TEXTS = 2000
 
 _BETWEEN = re.compile(r"(?<=\S)\n(?=\S)")
@@ -32,17 +33,14 @@ _BETWEEN = re.compile(r"(?<=\S)\n(?=\S)")
 _ODD = r"[ \n][ \n]|^[ \n]|[ \n]$|[\t\v\f\r\x1c-\x1f\x{85}\x{a0}\x{1680}\x{2000}-\x{200a}\x{2028}\x{2029}\x{202f}\x{205f}\x{3000}]"
 
 
-@cache
 def tokenizer(path: str):
-    """The tokenizer of a file, once for each worker; texts that look like special tokens are ordinary text."""
+    """The tokenizer of a file, as it stands: its added tokens are found in texts."""
     import os
 
     os.environ["TOKENIZERS_PARALLELISM"] = "false"
     from tokenizers import Tokenizer
 
-    t = Tokenizer.from_file(path)
-    t.encode_special_tokens = True
-    return t
+    return Tokenizer.from_file(path)
 
 
 class Encoder:
@@ -51,19 +49,20 @@ class Encoder:
     The pre-tokenizer of byte-level BPE always starts a new pre-token before a space that follows a non-space, and
     treats a single line break between non-spaces as one of its own. So a text whose white space is lone spaces and
     line breaks is the concatenation of its words' ids, and new words are encoded together, a line each. Texts with
-    other spacing are encoded whole, but for such line breaks. A word that ends in one punctuation mark is its
-    letters and the mark.
+    other spacing are encoded whole, but for such line breaks; texts that hold one of the vocabulary's added tokens are encoded whole
+    as they are. A word that ends in one punctuation mark is its letters and the mark.
 
     A word is kept with what stands before it: nothing for a space, a line break, or a vertical tab for a text's start.
     """
 
     def __init__(self, path: str):
         self.t = tokenizer(path)
+        self.added = [x.content for x in self.t.get_added_tokens_decoder().values()]
         self.newline = self.raw("\n")
-        self.kept: dict[str, bytes] = {}
+        self.kept = Memo(_KEPT_BYTES)
 
     def ids(self, text: str) -> np.ndarray:
-        return np.array(self.t.encode(text, add_special_tokens=False).ids, "<u4")
+        return np.array(self.t.encode_batch_fast([text], add_special_tokens=False)[0].ids, "<u4")
 
     def raw(self, text: str) -> bytes:
         return self.ids(text).tobytes()
@@ -86,26 +85,31 @@ class Encoder:
         after_break, after_space = [], []
         for w in plain:
             (after_break if w[:1] in ("\n", "\v") else after_space).append(w)
-        kept.update(zip(after_space, self.together(" ", after_space), strict=True))
+        for w, ids in zip(after_space, self.together(" ", after_space), strict=True):
+            kept.add(w, ids, len(ids))
         for w, ids in zip(after_break, self.together("", [w[1:] for w in after_break]), strict=True):
-            kept[w] = self.newline + ids if w[0] == "\n" else ids
+            kept.add(w, self.newline + ids if w[0] == "\n" else ids, len(ids) + 4)
         marks = {m: self.raw(m) for m in {w[-1] for w in marked}}
         for w in marked:
-            kept[w] = kept[w[:-1]] + marks[w[-1]]
+            ids = kept[w[:-1]] + marks[w[-1]]
+            kept.add(w, ids, len(ids))
 
     def texts(self, texts: pa.Array) -> list[bytes]:
         """Ids of each text; null is empty."""
         texts = pc.fill_null(texts, "").cast(pa.large_string())
         odd = pc.or_(pc.match_substring_regex(texts, _ODD), pc.equal(texts, "")).to_numpy(zero_copy_only=False)
+        whole = np.zeros(len(texts), bool)
+        for x in self.added:
+            whole |= pc.match_substring(texts, x).to_numpy(zero_copy_only=False)
+        odd = odd | whole
         out: list[bytes] = [b""] * len(texts)
         for i in np.flatnonzero(odd).tolist():
             if t := texts[i].as_py():
-                out[i] = self.newline.join(map(self.raw, _BETWEEN.split(t)))
+                out[i] = self.raw(t) if whole[i] else self.newline.join(map(self.raw, _BETWEEN.split(t)))
         even = np.flatnonzero(~odd)
         if not len(even):
             return out
-        if len(self.kept) > _CACHE_WORDS:
-            self.kept.clear()
+        self.kept.trim()
         plain = texts.take(pa.array(even))
         words = pc.split_pattern(pc.binary_join_element_wise(*(pa.scalar(x, pa.large_string()) if isinstance(x, str) else x for x in ("\v", pc.replace_substring(plain, "\n", " \n"), ""))), " ")
         coded = pc.list_flatten(words).dictionary_encode()
@@ -123,9 +127,9 @@ class Encoder:
         return out
 
 
-@cache
 def encoder(path: str) -> Encoder:
-    return Encoder(path)
+    """The worker's encoder of a vocabulary file; what other operators keep there is dropped."""
+    return held(f"encoder {path}", lambda: Encoder(path))
 
 
 def vocabulary_path() -> str:
@@ -142,7 +146,8 @@ def pieces(documents: DataFrame, capacity: int = CAPACITY, end: int = END, path:
     """Token pieces of whole documents: ``doc_id, piece, start, length, ids_crc32`` (and ``ids`` on request).
 
     Null or empty text is the end token alone. A document of up to ``capacity`` tokens is one piece; a longer one is
-    cut into full pieces after a first one that takes the remainder.
+    cut into full pieces after a first one that takes the remainder. Repeated rows give repeated pieces, null ids stay null,
+    and an empty table has no piece.
     """
     vocabulary = path or vocabulary_path()
     stop = end.to_bytes(4, "little")
@@ -218,8 +223,8 @@ def minimum_slack(counts: dict[int, int], capacity: int = CAPACITY) -> list[tupl
 def pack(items: DataFrame, keys: list[str], capacity: int = CAPACITY) -> DataFrame:
     """``items`` with ``sequence_id`` and ``offset`` added; their ``length`` is 1 to ``capacity``.
 
-    ``keys`` order the items of one length; items equal in them may change places. Any number of items, also all of one
-    length, spreads over salted groups.
+    ``keys`` order the items of one length; items equal in them (repeated rows, ties) may change places, and each has its own.
+    Any number of items, also all of one length, spreads over salted groups. An empty table gives an empty result.
     """
     spark = items.sparkSession
     items = materialize(items, "pack-items")
