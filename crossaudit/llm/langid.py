@@ -16,7 +16,8 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from crossaudit.llm.words import fold_doc_id
+from crossaudit.llm.kept import content_id, held
+from crossaudit.llm.words import fold_doc_id, free_names
 
 UNKNOWN = "und"
 LONGEST = 4
@@ -24,8 +25,10 @@ LONGEST = 4
 SAMPLE = 4000
 #: A word or n-gram is kept from one part in so many of its language's, so a language keeps at most so many.
 PARTS = 30_000
-#: Natural logs that a level of backing off costs, the same for every language.
-_CACHE_WORDS = 400_000
+#: Most languages of a model; more is an error. With ``SAMPLE`` and ``PARTS`` this bounds what is collected and broadcast.
+LANGUAGES = 8192
+#: Bytes, about, that the kept words of a worker may take.
+_KEPT_BYTES = 60_000_000
 _TEXTS = 2000
 _NOT_LETTERS = r"[^\p{L}\p{M}]+"
 
@@ -41,16 +44,19 @@ class Model:
 
 
 def _words(text):
-    return F.filter(F.split(F.lower(F.coalesce(text, F.lit(""))), _NOT_LETTERS), lambda w: w != "")
+    return F.filter(F.split(F.lower(F.coalesce(text, F.lit(""))), _NOT_LETTERS), lambda w: w.rlike("\\p{L}"))
 
 
 def fit(rows: DataFrame, sample: int = SAMPLE, parts: int = PARTS, longest: int = LONGEST) -> Model:
     """Model of ``text, lang`` rows; rows without language are ignored.
 
-    From each language about ``sample`` rows are drawn by a hash of the text, or all if there are fewer.
+    From each language about ``sample`` rows are drawn by a hash of the text, or all if there are fewer: equal texts together.
+    Null and empty texts teach nothing but their language's share; no rows give a model that knows no language.
     """
     rows = rows.where("lang is not null")
     share = {r["lang"]: sample / r["n"] for r in rows.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).collect()}
+    if len(share) > LANGUAGES:
+        raise ValueError(f"{len(share)} languages; a model has {LANGUAGES} at most")
     if not share:
         return Model([], np.zeros(0), [{} for _ in range(longest + 1)], [np.zeros(0)] * (longest + 1))
     part = rows.sparkSession.createDataFrame(sorted(share.items()), "lang string, share double")
@@ -105,7 +111,7 @@ class Scorer:
 
     def index(self, words: list[str]) -> np.ndarray:
         """Rows of ``self.rows`` for the words."""
-        if len(self.row) > _CACHE_WORDS:
+        if len(self.row) * (4 * self.rows.shape[1] + 150) > _KEPT_BYTES:
             self.clear()
         out = np.empty(len(words), np.int64)
         for i, w in enumerate(words):
@@ -129,7 +135,7 @@ class Scorer:
         ends = np.asarray(words.offsets)
         doc = np.repeat(np.arange(n), np.diff(ends))
         codes = coded.indices.to_numpy()
-        real = np.array([bool(w) for w in names], bool)[codes] if len(codes) else np.zeros(0, bool)
+        real = np.array([any(map(str.isalpha, w)) for w in names], bool)[codes] if len(codes) else np.zeros(0, bool)
         held = np.bincount(doc[real], minlength=n) > 0
         sums = np.zeros((n, len(m.languages)))
         values = self.rows[index]
@@ -144,22 +150,20 @@ class Scorer:
         return [m.languages[b] if h else UNKNOWN for b, h in zip(best, held, strict=True)], np.where(held, top, 0.0)
 
 
-_SCORERS: dict[int, Scorer] = {}
-
-
 def predict(df: DataFrame, model: Model, text: str = "text", out: tuple[str, str] = ("lang_pred", "score")) -> DataFrame:
     """``df`` with language and probability added as the columns ``out``, in place of any of these names.
 
-    Null text and text without a letter is ``und`` with score 0, as is everything under an empty model.
+    Null text and text without a letter is ``und`` with score 0, as is everything under an empty model. Ties go to the first
+    language by name; equal texts get equal answers; an empty table gives an empty result.
     """
     shared = df.sparkSession.sparkContext.broadcast(model)
     kept = [f for f in df.schema.fields if f.name not in out]
     schema = type(df.schema)(list(kept)).add(out[0], "string").add(out[1], "double")
     names = [f.name for f in kept]
+    key = f"language {content_id(model)}"
 
     def run(batches):
-        key = shared.id if hasattr(shared, "id") else id(shared)
-        scorer = _SCORERS.get(key) or _SCORERS.setdefault(key, Scorer(shared.value))
+        scorer = held(key, lambda: Scorer(shared.value))
         for b in batches:
             for i in range(0, b.num_rows, _TEXTS):
                 p = b.slice(i, _TEXTS)
@@ -175,9 +179,10 @@ def identify(df: DataFrame, training: DataFrame, **options) -> DataFrame:
 
 
 def accepted(df: DataFrame, training: DataFrame, least: float = 0.5) -> DataFrame:
-    """Rows whose language is clear: not ``und``, and of a probability of ``least`` or more. Columns stay as they are."""
-    marked = predict(df, fit(training.select("text", "lang")), out=("accepted_lang", "accepted_score"))
-    return marked.where((F.col("accepted_lang") != UNKNOWN) & (F.col("accepted_score") >= least)).select(*df.columns)
+    """Rows whose language is clear: not ``und``, and of a probability of ``least`` or more. Columns stay as they are, whatever their names."""
+    lang, score = free_names(df, "accepted_lang", "accepted_score")
+    marked = predict(df, fit(training.select("text", "lang")), out=(lang, score))
+    return marked.where((F.col(lang) != UNKNOWN) & (F.col(score) >= least)).select(*df.columns)
 
 
 def query(spark, sf_dir):
