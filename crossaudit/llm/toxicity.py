@@ -1,10 +1,12 @@
 """Toxicity by noisy-channel deobfuscation: restore disguised words first, then score the restored text.
 
-A word that shows digits or signs among its letters, letters repeated three times or more, signs between single letters, or single
-letters set apart by spaces becomes a lattice: each run of an observed character may stand for one or two of its
-possible letters, a sign between letters also for nothing. Viterbi decoding takes the path that is likeliest under
-a character trigram model times the channel. The lattice of any other word has one path, the word itself. The
-restored words' presence feeds a logistic model whose words are chosen by their likelihood ratio with the label.
+A token becomes a lattice of what its characters may stand for: digits and signs for letters, a doubled letter for one and a longer repetition
+for one or two, a sign between letters for nothing or a word's end, a sign that hides for any letter, signs at the ends for nothing. Where
+a token is a single character among such, or a piece of three characters or less that is no known word, the spaces beside it may be noise, and the
+tokens that such spaces join are one lattice in which each of them stands for a word's end or for nothing. Viterbi decoding
+finds the path that is likeliest under a character trigram model times the channel, over all states and lengths. The trigrams are counted over
+all documents. The presence of words, as they stand and restored, feeds a logistic model whose words are chosen by their likelihood
+ratio with the label.
 """
 
 from __future__ import annotations
@@ -20,31 +22,36 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from crossaudit.functions.storage import materialize
+from crossaudit.llm.kept import Memo, content_id, held
 from crossaudit.llm.words import fold_doc_id
 
-#: Expected labelled rows that the model is fitted on: the documented bound of its sample.
+#: Expected labelled rows that the logistic model is fitted on: the documented bound of its sample.
 SAMPLE = 20_000
 #: Words that the logistic model may use.
 FEATURES = 256
-#: A character trigram is kept from one part in so many.
+#: A character trigram is kept from one part in so many, which bounds the model that is broadcast.
 PARTS = 1_000_000
-_BEAM, _LONGEST, _CACHE_WORDS, _TEXTS = 24, 40, 400_000, 2000
+#: Share of all words from which a word of so many letters is known, and a space beside it no noise.
+KNOWN = {1: 1e-3, 2: 2e-5, 3: 2e-5}
+#: Hidden letters in a row; a longer run of such signs is a separator.
+HIDDEN = 8
+_KEPT_BYTES, _TEXTS = 60_000_000, 2000
 
 #: Letters that a digit or sign is commonly written for.
 STANDS_FOR = {
     "0": "o", "1": "il", "2": "z", "3": "e", "4": "a", "5": "s", "6": "gb", "7": "t", "8": "b", "9": "gq",
-    "@": "a", "$": "s", "!": "il", "|": "il", "+": "t", "(": "c", "€": "e", "£": "l",
+    "@": "a", "$": "s", "!": "il", "|": "il", "+": "t", "(": "c", "\u20ac": "e", "\u00a3": "l",
 }
 #: Signs set between letters; ``*`` and ``#`` may also hide a letter.
 BETWEEN = "._-*#~'/\\,:^="
 HIDES = "*#"
-_SUBST, _OPEN, _DROP, _SECOND = math.log(0.2), math.log(0.02), math.log(0.3), math.log(0.15)
+#: Logs of what the channel does: a letter by a sign, by a hidden sign or a digit as itself, a sign as nothing or as a word's end, a
+#: repetition meant twice, a doubled letter meant once, a space as noise.
+_SUBST, _OPEN, _DROP, _SPLIT, _SECOND, _ONCE, _GLUE = (math.log(x) for x in (0.2, 0.02, 0.3, 0.1, 0.15, 0.02, 0.1))
 
-_TRIM = re.compile(r"^[^\w@$€£|+(]+|[^\w@$€£|+]+$")
+_RUN = re.compile(r"(.)\1*", re.S)
 _PLAIN = re.compile(r"[^\W\d_]+\Z")
-_RUN = re.compile(r"(.)\1*")
-_THREE = re.compile(r"([^\W\d_])\1\1")
-_STARS = re.compile(r"[*!]+$")
+_DOUBLED = re.compile(r"([^\W\d_])\1")
 
 
 @dataclass
@@ -52,18 +59,21 @@ class CharacterModel:
     """Interpolated trigrams over words written as ``^word$``."""
 
     counts: dict[str, float]
+    known: frozenset[str] = frozenset()
     letters: list[str] = field(default_factory=list)
     memo: dict[str, float] = field(default_factory=dict)
 
     def __post_init__(self):
         self.total = sum(n for g, n in self.counts.items() if len(g) == 1) or 1.0
-        self.letters = sorted(g for g in self.counts if len(g) == 1 and g not in "^$")
+        self.letters = sorted(g for g in self.counts if len(g) == 1 and g.isalpha())
 
     def log(self, a: str, b: str, c: str) -> float:
         """Log probability of ``c`` after ``ab``."""
         key = a + b + c
         got = self.memo.get(key)
         if got is None:
+            if len(self.memo) > 500_000:
+                self.memo.clear()
             n = self.counts.get
             one = (n(c, 0.0) + 0.1) / (self.total + 10)
             two = (n(b + c, 0.0) + 20 * one) / (n(b, 0.0) + 20)
@@ -71,46 +81,105 @@ class CharacterModel:
         return got
 
 
+def core_of(token: str) -> str:
+    """A lower-case token without the signs around it that stand for no letter."""
+    a, b = 0, len(token)
+    while a < b and not (token[a].isalnum() or token[a] in STANDS_FOR or token[a] in HIDES):
+        a += 1
+    while a < b and not (token[b - 1].isalnum() or token[b - 1] in STANDS_FOR or token[b - 1] in HIDES):
+        b -= 1
+    return token[a:b]
+
+
 def disguised(token: str) -> bool:
-    """Whether a lower-case token's lattice has more than one path."""
-    core = _STARS.sub("", _TRIM.sub("", token))
+    """Whether the lattice of a lower-case token has more than one path; a token without a letter is taken as it is."""
+    core = core_of(token)
     if _PLAIN.match(core):
-        return bool(_THREE.search(core))
-    return 1 < len(core) <= _LONGEST and any(c.isalpha() for c in core) and any(c in STANDS_FOR or c in BETWEEN for c in core)
+        return bool(_DOUBLED.search(core))
+    return any(c.isalpha() for c in core) and any(c in STANDS_FOR or c in BETWEEN for c in core)
 
 
-def restore(token: str, model: CharacterModel) -> str:
-    """Likeliest plain word behind a token; an undisguised one is only stripped of the signs around it."""
-    core = _STARS.sub("", _TRIM.sub("", token))
-    if not disguised(token):
-        return core
-    beam: dict[tuple[str, str], tuple[float, str]] = {("^", "^"): (0.0, "")}
+def lattice(core: str, letters: list[str]) -> list[list[tuple[str, float]]]:
+    """What each run of a character may stand for, with the channel's log probability; a space is a word's end."""
+    steps = []
     for run in _RUN.finditer(core):
         c, n = run.group(1), len(run.group())
+        edge = run.start() == 0 or run.end() == len(core)
         if c.isalpha():
-            options = [(c, 0.0)]
+            steps.append([(c, 0.0)] if n == 1 else [(c + c, 0.0), (c, _ONCE)] if n == 2 else [(c, 0.0), (c + c, _SECOND)])
+        elif c in HIDES and n <= HIDDEN:
+            steps += [[("", 0.0 if edge else _DROP), *((x, _OPEN) for x in letters)]] * n
+        elif c in STANDS_FOR:
+            options = [(x * k, _SUBST + (_SECOND if k == 2 else 0.0)) for x in STANDS_FOR[c] for k in ((1, 2) if n > 1 else (1,))]
+            steps.append([*options, (c * min(n, 2), _OPEN) if c.isdigit() else ("", 0.0 if edge else _DROP)])
+        elif c in BETWEEN:
+            steps.append([("", _DROP), (" ", _SPLIT)])
         else:
-            options = [(x, _SUBST) for x in STANDS_FOR.get(c, "")] + [(c, _OPEN)] * (c.isdigit())
-            if c in HIDES:
-                options += [(x, _OPEN) for x in model.letters]
-            if c in BETWEEN:
-                options.append(("", _DROP))
-            options = options or [(c, _OPEN)]
-        grown: dict[tuple[str, str], tuple[float, str]] = {}
-        for (a, b), (score, word) in beam.items():
+            steps.append([(c, _OPEN)])
+    return steps
+
+
+def path_score(steps: list[str], model: CharacterModel) -> float:
+    """Log probability of what a path's steps spell, as words."""
+    a = b = "^"
+    total = 0.0
+    for x in "".join(steps):
+        if x == " ":
+            if b != "^":
+                total += model.log(a, b, "$")
+            a = b = "^"
+        else:
+            total += model.log(a, b, x)
+            a, b = b, x
+    return total + (model.log(a, b, "$") if b != "^" else 0.0)
+
+
+def viterbi(steps: list[list[tuple[str, float]]], model: CharacterModel) -> str:
+    """What the likeliest path spells; a state is the last two letters of the word so far. Ties go to the later option."""
+    scores, back = {("^", "^"): 0.0}, []
+    for options in steps:
+        grown, came = {}, {}
+        for state, score in scores.items():
             for x, cost in options:
-                if not x:
-                    steps = [((a, b), score + cost, word)]
-                else:
-                    once = score + cost + model.log(a, b, x)
-                    steps = [((b, x), once, word + x)]
-                    if n > 1:
-                        steps.append(((x, x), once + model.log(b, x, x) + (_SECOND if n > 2 else 0.0), word + x + x))
-                for state, s, w in steps:
-                    if state not in grown or s > grown[state][0]:
-                        grown[state] = (s, w)
-        beam = dict(sorted(grown.items(), key=lambda e: -e[1][0])[:_BEAM])
-    return max((s + model.log(a, b, "$"), w) for (a, b), (s, w) in beam.items())[1]
+                (a, b), s = state, score + cost
+                for c in x:
+                    if c == " ":
+                        s += model.log(a, b, "$") if b != "^" else 0.0
+                        a = b = "^"
+                    else:
+                        s += model.log(a, b, c)
+                        a, b = b, c
+                if (a, b) not in grown or s >= grown[a, b]:
+                    grown[a, b], came[a, b] = s, (state, x)
+        scores = grown
+        back.append(came)
+    state = max(scores, key=lambda k: scores[k] + (model.log(*k, "$") if k[1] != "^" else 0.0))
+    out = []
+    for came in reversed(back):
+        state, x = came[state]
+        out.append(x)
+    return "".join(reversed(out))
+
+
+def restore(text: str, model: CharacterModel) -> str:
+    """Likeliest plain words behind one lower-case token, or several whose spaces may be noise."""
+    cores = [c for c in map(core_of, text.split()) if c]
+    if len(cores) == 1 and not disguised(text):
+        return cores[0]
+    steps: list[list[tuple[str, float]]] = []
+    for core in cores:
+        steps += [[("", _GLUE), (" ", 0.0)]] * bool(steps) + (lattice(core, model.letters) if disguised(core) or len(core) == 1 else [[(c, 0.0)] for c in core])
+    return " ".join(viterbi(steps, model).split())
+
+
+def piece_kind(token: str, known: frozenset[str]) -> int:
+    """1 if spaces beside the token may be noise, 2 if only beside another single character, else 0."""
+    core = core_of(token)
+    if not core or len(core) > 3 or not any(c.isalnum() for c in core):
+        return 0
+    if core in known or core.isdigit():
+        return 2 if len(core) == 1 else 0
+    return 1
 
 
 @dataclass
@@ -123,46 +192,74 @@ class Toxicity:
     bias: float
 
 
+def _squeezed(word: str) -> str:
+    return _RUN.sub(r"\1", word)
+
+
 class Restorer:
-    """Features of whole texts, with what tokens stand for kept up to a bound."""
+    """Features of whole texts, with what tokens and runs of tokens stand for kept up to a bound."""
 
     def __init__(self, characters: CharacterModel, words: dict[str, int]):
         self.characters, self.words = characters, words
-        self.known: dict[str, int] = {}
+        squeezed = sorted({_squeezed(w) for w in words})
+        self.near = re.compile("|".join(map(re.escape, squeezed))) if squeezed else None
+        self.kept = Memo(_KEPT_BYTES)
+
+    def found(self, text: str) -> tuple[int, ...]:
+        """Features among the restored words. Letters alone can only restore to what they spell but for repetition."""
+        plain = text.replace(" ", "")
+        if self.near is None or (_PLAIN.match(plain) and not self.near.search(_squeezed(plain))):
+            return ()
+        return tuple({self.words[w] for w in restore(text, self.characters).split() if w in self.words})
+
+    def token(self, token: str) -> tuple[tuple[int, ...], int]:
+        got = self.kept.get(token)
+        if got is None:
+            got = (self.found(token), piece_kind(token, self.characters.known))
+            self.kept.add(token, got, 100)
+        return got
 
-    def feature(self, token: str) -> int:
-        got = self.known.get(token)
+    def run(self, text: str) -> tuple[int, ...]:
+        got = self.kept.get(" " + text)
         if got is None:
-            got = self.known[token] = self.words.get(restore(token, self.characters), -1)
+            got = self.found(text)
+            self.kept.add(" " + text, got, 100)
         return got
 
     def texts(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
-        """Distinct (text, feature) pairs as two arrays."""
-        if len(self.known) > _CACHE_WORDS:
-            self.known.clear()
+        """Distinct (text, feature) pairs as two arrays, in order."""
+        self.kept.trim()
         lower = pc.utf8_lower(pc.fill_null(texts, "").cast(pa.large_string()))
         words = pc.split_pattern_regex(lower, r"\s+")
         coded = pc.list_flatten(words).dictionary_encode()
         names = coded.dictionary.to_pylist()
-        feature = np.fromiter((self.feature(w) for w in names), np.int64, len(names))
-        single = np.fromiter((len(w) == 1 and w.isalnum() for w in names), bool, len(names))
-        ends = np.asarray(words.offsets)
-        doc = np.repeat(np.arange(len(texts)), np.diff(ends))
+        told = [self.token(w) for w in names]
         codes = coded.indices.to_numpy()
-        found = feature[codes]
-        pairs = [np.stack([doc[found >= 0], found[found >= 0]], axis=1)]
-        alone = single[codes] if len(codes) else np.zeros(0, bool)
-        edge = np.flatnonzero(np.diff(np.concatenate([[0], (alone * (doc + 1)), [0]])))
-        for a, b in zip(edge, edge[1:], strict=False):
-            if b - a >= 3 and alone[a]:
-                spaced = "".join(names[k] for k in codes[a:b])
-                f = self.feature(spaced) if len(spaced) <= _LONGEST else -1
-                if f >= 0:
-                    pairs.append(np.array([[doc[a], f]]))
-        both = np.unique(np.concatenate(pairs), axis=0)
+        doc = np.repeat(np.arange(len(texts)), np.diff(np.asarray(words.offsets)))
+        pairs = [(-1, -1)]
+        some = np.fromiter((bool(f) for f, _ in told), bool, len(told))
+        for k in np.flatnonzero(some[codes]).tolist():
+            pairs += [(doc[k], f) for f in told[codes[k]][0]]
+        for a, b in joined_runs(np.fromiter((k for _, k in told), np.int8, len(told))[codes], np.fromiter((len(core_of(w)) for w in names), np.int64, len(names))[codes], doc):
+            pairs += [(doc[a], f) for f in self.run(" ".join(names[c] for c in codes[a:b]))]
+        both = np.unique(np.array(pairs, np.int64), axis=0)[1:]
         return both[:, 0], both[:, 1]
 
 
+def joined_runs(kind: np.ndarray, length: np.ndarray, doc: np.ndarray) -> list[tuple[int, int]]:
+    """Stretches of tokens (from, to) that spaces which may be noise join; ``kind`` is that of `piece_kind`, an empty token has no length."""
+    if len(kind) < 2:
+        return []
+    beside = np.zeros(len(kind), bool)
+    pair = (doc[1:] == doc[:-1]) & (length[1:] == 1) & (length[:-1] == 1)
+    beside[1:] |= pair
+    beside[:-1] |= pair
+    noisy = (kind == 1) | ((kind == 2) & beside)
+    open_ = (doc[1:] == doc[:-1]) & (noisy[1:] | noisy[:-1]) & (length[1:] > 0) & (length[:-1] > 0)
+    edge = np.flatnonzero(np.diff(np.concatenate([[False], open_, [False]]).astype(np.int8)))
+    return [(a, b + 1) for a, b in zip(edge[::2].tolist(), edge[1::2].tolist(), strict=True)]
+
+
 def _logistic(rows: np.ndarray, cols: np.ndarray, y: np.ndarray, k: int, ridge: float = 1.0) -> tuple[np.ndarray, float]:
     """Ridge logistic regression on a presence matrix, by Newton steps; the bias is not shrunk."""
     x = np.zeros((len(y), k + 1))
@@ -178,11 +275,30 @@ def _logistic(rows: np.ndarray, cols: np.ndarray, y: np.ndarray, k: int, ridge:
     return w[:k], float(w[k])
 
 
+def character_model(documents: DataFrame, parts: int = PARTS) -> CharacterModel:
+    """Character trigrams and short known words of all documents (``text``), counted by Spark; the kept ones have a bounded number."""
+    tokens = F.filter(F.split(F.lower("text"), r"[^\p{L}\p{M}]+"), lambda w: w != "")
+    words = documents.select(F.explode(tokens).alias("w")).groupBy("w").agg(F.count(F.lit(1)).cast("double").alias("n"))
+    padded = F.concat(F.lit("^^"), "w", F.lit("$"))
+    grams = F.flatten(F.transform(F.sequence(F.lit(1), F.lit(3)), lambda k: F.transform(F.sequence(F.lit(1), F.length("p") - k + 1), lambda i: F.substring("p", i, k))))
+    short = F.when(F.length("w") <= max(KNOWN), F.array(F.concat(F.lit("="), "w"))).otherwise(F.array().cast("array<string>"))
+    grams = words.select("n", "w", padded.alias("p")).select("n", F.explode(F.concat(grams, short)).alias("g")).groupBy("g").agg(F.sum("n").alias("n"))
+    grams = materialize(grams, "toxic-grams")
+    total = grams.agg(F.sum("n")).first()[0] or 0.0
+    counts = {r["g"]: r["n"] for r in grams.where(F.col("n") * parts >= total).collect()}
+    every = counts.get("$", 0.0)
+    known = frozenset(g[1:] for g, n in counts.items() if g[0] == "=" and len(g) > 1 and n >= KNOWN[len(g) - 1] * every)
+    return CharacterModel({g: n for g, n in counts.items() if g[0] != "="}, known)
+
+
 def fit(documents: DataFrame, labels: DataFrame, sample: int = SAMPLE, features: int = FEATURES, parts: int = PARTS) -> Toxicity:
-    """Model of ``documents`` (``doc_id, text``) with a ``labels`` row (``doc_id, toxic``); null labels are ignored.
+    """Model of ``documents`` (``doc_id, text``) and their ``labels`` (``doc_id, toxic``); null labels and ids are ignored.
 
-    About ``sample`` labelled rows are drawn by a hash of the id, or all if there are fewer; their ids are what is broadcast.
+    Characters are counted over all documents. About ``sample`` labelled rows are drawn for the logistic model by a hash of the id, or all if there
+    are fewer; their ids are what is broadcast. Of several labels of an id the largest counts. Without labels of both kinds every text
+    gets the prior's score.
     """
+    characters = character_model(documents, parts)
     marked = labels.where("toxic is not null and doc_id is not null").groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
     marked = materialize(marked, "toxic-labels")
     n = marked.count()
@@ -194,13 +310,6 @@ def fit(documents: DataFrame, labels: DataFrame, sample: int = SAMPLE, features:
     bad, good = float(size.get(1, 0)), float(size.get(0, 0))
     tokens = F.filter(F.split(F.lower("text"), r"[^\p{L}\p{M}]+"), lambda w: w != "")
     seen = rows.select("toxic", F.explode(F.array_distinct(tokens)).alias("w")).groupBy("w").agg(F.sum((F.col("toxic") == 1).cast("double")).alias("a"), F.sum((F.col("toxic") == 0).cast("double")).alias("b"))
-    seen = materialize(seen, "toxic-words")
-    grams = seen.select((F.col("a") + F.col("b")).alias("n"), F.concat(F.lit("^^"), "w", F.lit("$")).alias("p"))
-    grams = grams.select("n", F.explode(F.flatten(F.transform(F.sequence(F.lit(1), F.lit(3)), lambda k: F.transform(F.sequence(F.lit(1), F.length("p") - k + 1), lambda i: F.substring("p", i, k))))).alias("g"))
-    grams = grams.groupBy("g").agg(F.sum("n").alias("n"))
-    total = grams.agg(F.sum("n")).first()[0] or 0.0
-    counts = {r["g"]: r["n"] for r in grams.where(F.col("n") * parts >= total).collect()}
-    characters = CharacterModel(counts)
     prior = math.log((bad + 0.5) / (good + 0.5))
     if not bad or not good:
         return Toxicity(characters, {}, np.zeros(0), prior)
@@ -221,9 +330,6 @@ def fit(documents: DataFrame, labels: DataFrame, sample: int = SAMPLE, features:
     return Toxicity(characters, words, weights, bias)
 
 
-_RESTORERS: dict[int, Restorer] = {}
-
-
 def _features(rows: DataFrame, characters: CharacterModel, words: dict[str, int]) -> DataFrame:
     shared = rows.sparkSession.sparkContext.broadcast((characters, words))
 
@@ -242,17 +348,18 @@ def _features(rows: DataFrame, characters: CharacterModel, words: dict[str, int]
 def score(df: DataFrame, model: Toxicity, text: str = "text") -> DataFrame:
     """``df`` with ``score`` (0 to 1) and ``predicted`` (1 from 0.5 on) added in place of any columns of these names.
 
-    Null and empty texts get the score of a text without any of the model's words.
+    Null and empty texts get the score of a text without any of the model's words; equal texts get equal scores; an empty table gives
+    an empty result.
     """
     shared = df.sparkSession.sparkContext.broadcast(model)
     kept = [f for f in df.schema.fields if f.name not in ("score", "predicted")]
     schema = type(df.schema)(list(kept)).add("score", "double").add("predicted", "integer")
     names = [f.name for f in kept]
+    key = f"toxicity {content_id(model.characters.counts, sorted(model.characters.known), model.words)}"
 
     def run(batches):
         m = shared.value
-        key = shared.id if hasattr(shared, "id") else id(shared)
-        restorer = _RESTORERS.get(key) or _RESTORERS.setdefault(key, Restorer(m.characters, m.words))
+        restorer = held(key, lambda: Restorer(m.characters, m.words))
         for b in batches:
             for i in range(0, b.num_rows, _TEXTS):
                 p = b.slice(i, _TEXTS)
@@ -264,6 +371,32 @@ def score(df: DataFrame, model: Toxicity, text: str = "text") -> DataFrame:
     return df.mapInArrow(run, schema)
 
 
+def restore_texts(df: DataFrame, characters: CharacterModel, text: str = "text", out: str = "restored") -> DataFrame:
+    """``df`` with the restored text added as ``out`` (in place of a column of this name): lower case, words a space apart; null is empty."""
+    shared = df.sparkSession.sparkContext.broadcast(characters)
+    kept = [f for f in df.schema.fields if f.name != out]
+    names = [f.name for f in kept]
+
+    def restored(t: str | None) -> str:
+        model = shared.value
+        tokens = (t or "").lower().split()
+        kind = np.array([piece_kind(w, model.known) for w in tokens], np.int8)
+        runs = joined_runs(kind, np.array([len(core_of(w)) for w in tokens], np.int64), np.zeros(len(tokens), np.int64))
+        parts, at = [], 0
+        for a, b in [*runs, (len(tokens), len(tokens))]:
+            parts += [restore(w, model) for w in tokens[at:a] if core_of(w)]
+            parts += [restore(" ".join(tokens[a:b]), model)] * (a < b)
+            at = b
+        return " ".join(parts)
+
+    def run(batches):
+        for b in batches:
+            texts = pa.array([restored(t) for t in b.column(b.schema.get_field_index(text)).to_pylist()], pa.string())
+            yield pa.RecordBatch.from_arrays([*(b.column(b.schema.get_field_index(n)) for n in names), texts], names=[*names, out])
+
+    return df.mapInArrow(run, type(df.schema)(list(kept)).add(out, "string"))
+
+
 def query(spark, sf_dir):
     """op3: toxicity of every document, by a model of the labelled rows outside the held-out fold."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
