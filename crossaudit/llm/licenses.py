@@ -1,15 +1,16 @@
-"""Licence scan: TF-IDF cosine of licence lines to templates, and inheritance from the nearest ancestor directory
+"""Licence scan: TF-IDF cosine of headers and licence files to templates, and inheritance from the nearest ancestor directory
 (native DataFrame operations only).
 
-Every line of a text that speaks of licences is a sparse TF-IDF vector; its best template at or above a cosine
-threshold names the file's licence. A licence file speaks for its directory: by its name, or because at least half of
-its words stand in such lines. Files without a licence of their own take that of the nearest ancestor directory that has one.
-Directories are resolved once each, by joining their ancestor paths, before files look theirs up.
+Every line of a text and every block of lines between blank ones (a wrapped header, a paragraph of a licence file) is a sparse TF-IDF vector over
+its words, with document frequencies counted over all files; the best template at or above a cosine threshold names the file's
+licence. Whole texts are read and nothing gates them but an exact bound: a vector's norm is at least what its template words and one
+for each other word make of it, so only those whose cosine may reach the threshold get their exact norm. A licence file speaks for its
+directory: by its name, or because at least half of its words stand in lines or blocks that match. Files without a licence of their own take
+that of the nearest ancestor directory that has one. Directories are resolved once each, by joining their ancestor paths, before files look theirs up.
 """
 
 from __future__ import annotations
 
-import math
 import re
 from collections import Counter
 
@@ -17,30 +18,35 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from crossaudit.functions.storage import materialize
-from crossaudit.llm.words import count_words
+from crossaudit.llm.places import only_needed
+from crossaudit.llm.words import free_names
 
 NEAR = 0.6
-#: Lines that speak of licences.
-SPEAKS = r"licen[cs]e|copyright|rights reserved|spdx|public domain|copyleft"
 NAMED = r"(?i)(^|/)(un)?(licen[cs]e|copying|copyright|notice)[^/]*$"
 WORD = "[a-z0-9]+"
+BLANK = "\n[ \t\r]*\n"
+#: Words without weight.
+STOP = ("a", "an", "and", "any", "are", "as", "at", "be", "by", "for", "from", "in", "is", "it", "may", "not", "of", "on", "or", "that", "the", "this", "to", "with", "you")
 
-#: Sentences by which licences are commonly granted.
+#: Sentences and paragraphs by which licences are commonly granted.
 TEMPLATES = (
     ("MIT", "Released under the MIT License."),
-    ("MIT", "Permission is hereby granted, free of charge, to any person obtaining a copy of this software, MIT License"),
+    ("MIT", "Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files (the Software), to deal in the Software without restriction, including without limitation the rights to use, copy, modify, merge, publish, distribute, sublicense, and/or sell copies of the Software, and to permit persons to whom the Software is furnished to do so, subject to the following conditions:"),
     ("MIT", "SPDX-License-Identifier: MIT"),
     ("Apache-2.0", "Licensed under the Apache License, Version 2.0."),
     ("Apache-2.0", "Licensed under the Apache License, Version 2.0 (the License); you may not use this file except in compliance with the License."),
+    ("Apache-2.0", "Licensed under the Apache License, Version 2.0 (the License); you may not use this file except in compliance with the License. You may obtain a copy of the License at http://www.apache.org/licenses/LICENSE-2.0 Unless required by applicable law or agreed to in writing, software distributed under the License is distributed on an AS IS BASIS, WITHOUT WARRANTIES OR CONDITIONS OF ANY KIND, either express or implied. See the License for the specific language governing permissions and limitations under the License."),
     ("Apache-2.0", "SPDX-License-Identifier: Apache-2.0"),
     ("GPL-3.0", "This work is licensed under the GNU General Public License, version 3."),
-    ("GPL-3.0", "This program is free software: you can redistribute it and/or modify it under the terms of the GNU General Public License, version 3"),
+    ("GPL-3.0", "This program is free software: you can redistribute it and/or modify it under the terms of the GNU General Public License as published by the Free Software Foundation, either version 3 of the License, or (at your option) any later version."),
     ("GPL-3.0", "SPDX-License-Identifier: GPL-3.0-or-later"),
     ("LGPL-3.0", "Licensed under the GNU Lesser General Public License, version 3."),
     ("AGPL-3.0", "Licensed under the GNU Affero General Public License, version 3."),
     ("BSD-3-Clause", "Use of this source code is governed by a BSD-style license that can be found in the LICENSE file."),
+    ("BSD-3-Clause", "Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met:"),
     ("BSD-3-Clause", "SPDX-License-Identifier: BSD-3-Clause"),
-    ("MPL-2.0", "This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0."),
+    ("ISC", "Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted, provided that the above copyright notice and this permission notice appear in all copies."),
+    ("MPL-2.0", "This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0. If a copy of the MPL was not distributed with this file, You can obtain one at http://mozilla.org/MPL/2.0/."),
     ("CC-BY-4.0", "Licensed under CC BY 4.0."),
     ("CC-BY-4.0", "This work is licensed under a Creative Commons Attribution 4.0 International License."),
     ("CC-BY-SA-4.0", "Licensed under CC BY-SA 4.0."),
@@ -53,41 +59,87 @@ TEMPLATES = (
 )
 
 
-def template_weights() -> tuple[list[tuple[int, str, str, float]], dict[str, float], float]:
-    """Unit-length template vectors ``(template, licence, word, weight)``, idf by word, and that of any other word."""
-    bags = [Counter(re.findall(WORD, text.lower())) for _, text in TEMPLATES]
-    seen = Counter(w for bag in bags for w in bag)
-    n = len(bags)
-    idf = {w: math.log((1 + n) / (1 + c)) + 1 for w, c in seen.items()}
-    rows = []
-    for k, ((name, _), bag) in enumerate(zip(TEMPLATES, bags, strict=True)):
-        norm = math.sqrt(sum((c * idf[w]) ** 2 for w, c in bag.items()))
-        rows += [(k, name, w, c * idf[w] / norm) for w, c in sorted(bag.items())]
-    return rows, idf, math.log(1 + n) + 1
-
-
-def licence_lines(files: DataFrame) -> DataFrame:
-    """``path, total, pos, line`` of lines that speak of licences, in lower case; ``total`` words has the whole text."""
-    rows = files.where(F.lower("text").rlike(SPEAKS)).select("path", count_words(F.col("text")).alias("total"), F.posexplode(F.split("text", "\n")).alias("pos", "line"))
-    return rows.select("path", "total", "pos", F.lower("line").alias("line")).where(F.col("line").rlike(SPEAKS))
-
-
-def best_templates(lines: DataFrame, near: float = NEAR) -> DataFrame:
-    """``path, licence, similarity``: best template of any line of a file, if near enough; ties by template order."""
-    spark = lines.sparkSession
-    weights, idf, other = template_weights()
-    table = F.broadcast(spark.createDataFrame(weights, "template int, licence string, word string, weight double"))  # fixed size
-    known = F.broadcast(spark.createDataFrame(sorted(idf.items()), "word string, idf double"))
-    words = lines.select("path", "pos", F.explode(F.regexp_extract_all("line", F.lit(f"({WORD})"), 1)).alias("word"))
-    words = words.groupBy("path", "pos", "word").agg(F.count(F.lit(1)).alias("n")).join(known, "word", "left")
-    words = words.withColumn("x", F.col("n") * F.coalesce("idf", F.lit(other)))
-    norms = words.groupBy("path", "pos").agg(F.sqrt(F.sum(F.col("x") * F.col("x"))).alias("norm"))
-    dots = words.join(table, "word").groupBy("path", "pos", "template", "licence").agg(F.sum(F.col("x") * F.col("weight")).alias("dot"))
-    cosine = dots.join(norms, ["path", "pos"]).select("path", "template", "licence", F.round(F.col("dot") / F.col("norm"), 6).alias("similarity"))
-    best = cosine.where(F.col("similarity") >= near).groupBy("path").agg(F.min(F.struct((-F.col("similarity")).alias("s"), "template", "licence")).alias("b"))
+def template_words() -> list[tuple[int, str, str, int]]:
+    """``template, licence, word, n``: how often each word that has weight stands in each template."""
+    bags = [Counter(w for w in re.findall(WORD, text.lower()) if w not in STOP) for _, text in TEMPLATES]
+    return [(k, name, w, n) for k, ((name, _), bag) in enumerate(zip(TEMPLATES, bags, strict=True)) for w, n in sorted(bag.items())]
+
+
+_UNIT = ("path", "h", "block", "line")
+
+
+def units(files: DataFrame) -> DataFrame:
+    """``path, h, block, n_lines, block_words, line, words`` of every line; ``h`` tells texts of one path apart."""
+    found = lambda x: F.filter(F.regexp_extract_all(x, F.lit(f"({WORD})"), 1), lambda w: ~w.isin(*STOP))
+    rows = files.select("path", F.xxhash64("text").alias("h"), F.posexplode(F.split(F.lower("text"), BLANK)).alias("block", "body"))
+    rows = rows.select("path", "h", "block", F.transform(F.split("body", "\n"), found).alias("lines"))
+    total = F.aggregate("lines", F.lit(0), lambda s, x: s + F.size(x))
+    return rows.select("path", "h", "block", F.size("lines").alias("n_lines"), total.alias("block_words"), F.posexplode("lines").alias("line", "words"))
+
+
+def _counted(rows: DataFrame) -> DataFrame:
+    """``path, h, block, line, unit_words, word, n`` of lines, and of blocks of several lines as line -1, from rows with ``word``."""
+    keys = ["path", "h", "block", "line", "n_lines", "line_words", "block_words", "word"]
+    lines = materialize(rows.groupBy(*keys).agg(F.count(F.lit(1)).alias("n")), "licence-words")
+    blocks = lines.where("n_lines > 1").groupBy("path", "h", "block", "block_words", "word").agg(F.sum("n").alias("n"))
+    return lines.select(*_UNIT, F.col("line_words").alias("unit_words"), "word", "n").unionByName(blocks.select("path", "h", "block", F.lit(-1).alias("line"), F.col("block_words").alias("unit_words"), "word", "n"))
+
+
+def _words(files: DataFrame) -> DataFrame:
+    return units(files).select("path", "h", "block", "line", "n_lines", F.size("words").alias("line_words"), "block_words", F.explode("words").alias("word"))
+
+
+def _idf(rows: DataFrame, files: int) -> DataFrame:
+    """``word, idf`` from rows with ``path, word`` over ``files`` files."""
+    seen = rows.select("path", "word").distinct().groupBy("word").agg(F.count(F.lit(1)).alias("df"))
+    return seen.select("word", (F.log(F.lit(1.0 + files) / (1 + F.col("df"))) + 1).alias("idf"))
+
+
+def matches(files: DataFrame, near: float = NEAR) -> DataFrame:
+    """``path, h, block, line, unit_words, template, licence, similarity`` of lines and blocks (line -1) as near as that to a template.
+
+    Null and empty texts have none; rows that share a path and a text are one file with its words twice, which changes no cosine.
+    """
+    spark = files.sparkSession
+    files = files.select("path", "text")
+    n = files.select("path").distinct().count()
+    table = F.broadcast(spark.createDataFrame(template_words(), "template int, licence string, word string, tn int"))  # fixed size
+    known = F.broadcast(table.select("word").distinct())
+    some = _counted(_words(files).join(known, "word"))
+    idf = materialize(_idf(some, n), "licence-idf")
+    weights = table.join(idf, "word").withColumn("x", F.col("tn") * F.col("idf"))
+    weights = weights.join(weights.groupBy("template").agg(F.sqrt(F.sum(F.col("x") * F.col("x"))).alias("norm")), "template").select("template", "licence", "word", (F.col("x") / F.col("norm")).alias("weight"))
+    weights = F.broadcast(materialize(weights, "licence-templates"))
+    vectors = some.join(F.broadcast(idf), "word").withColumn("x", F.col("n") * F.col("idf"))
+    least = vectors.groupBy(*_UNIT, "unit_words").agg(F.sum(F.col("x") * F.col("x")).alias("t"), F.sum("n").alias("m"))
+    dots = vectors.join(weights, "word").groupBy(*_UNIT, "template", "licence").agg(F.sum(F.col("x") * F.col("weight")).alias("dot"))
+    maybe = dots.join(least, list(_UNIT)).where(F.col("dot") >= F.lit(near - 1e-6) * F.sqrt(F.col("t") + F.col("unit_words") - F.col("m")))
+    maybe = materialize(maybe.select(*_UNIT, "unit_words", "template", "licence", "dot"), "licence-maybe")
+    # the exact norms of what is left, with the frequencies of all their words
+    again = only_needed(maybe.select("h"), files, F.xxhash64("text"))
+    every = materialize(_counted(_words(again)).join(maybe.select(*_UNIT).distinct(), list(_UNIT), "left_semi"), "licence-every")
+    idf = _idf(_words(files).join(every.select("word").distinct(), "word", "left_semi"), n)
+    norms = every.join(idf, "word").groupBy(*_UNIT).agg(F.sqrt(F.sum(F.pow(F.col("n") * F.col("idf"), 2.0))).alias("norm"))
+    out = maybe.join(norms, list(_UNIT)).withColumn("similarity", F.round(F.col("dot") / F.col("norm"), 6))
+    return out.where(F.col("similarity") >= near).select(*_UNIT, "unit_words", "template", "licence", "similarity")
+
+
+def best_templates(found: DataFrame) -> DataFrame:
+    """``path, licence, similarity``: best template of any line or block of a file; ties by template order. No rows give none."""
+    best = found.groupBy("path").agg(F.min(F.struct((-F.col("similarity")).alias("s"), "template", "licence")).alias("b"))
     return best.select("path", F.col("b.licence").alias("licence"), (-F.col("b.s")).alias("similarity"))
 
 
+def licence_files(files: DataFrame, found: DataFrame) -> DataFrame:
+    """``path`` of files that speak for their directory: by name, or with half of their words in lines or blocks that match."""
+    unit = found.select(*_UNIT, "unit_words").distinct()
+    words = unit.groupBy("path").agg(F.greatest(F.sum(F.when(F.col("line") >= 0, F.col("unit_words")).otherwise(0)), F.sum(F.when(F.col("line") < 0, F.col("unit_words")).otherwise(0))).alias("matched"))
+    own = only_needed(found.select("h"), files.select("path", "text"), F.xxhash64("text")).dropDuplicates(["path", "text"])
+    total = units(own).where("line = 0").groupBy("path").agg(F.sum("block_words").alias("total"))
+    share = words.join(total, "path").where(F.col("path").rlike(NAMED) | (F.col("matched") * 2 >= F.col("total")))
+    return share.select("path")
+
+
 def directory(path: Column) -> Column:
     """All but the last part; the root is the empty path, a null path has none."""
     return F.when(F.instr(path, "/") > 0, F.regexp_replace(path, "/[^/]*$", "")).when(path.isNotNull(), F.lit(""))
@@ -100,29 +152,29 @@ def ancestors(path: Column) -> Column:
 
 
 def scan(files: DataFrame, near: float = NEAR) -> DataFrame:
-    """``path, licence, similarity, origin, from_dir`` of every row of ``files`` (``path, text``; other columns stay).
+    """``files`` (``path, text`` and other columns of any name) with ``licence_found, similarity, origin, from_dir`` in place of any of these names.
 
     ``origin`` is ``own``, ``inherited`` or ``none``. Of several licence files in a directory the first path speaks.
-    Null and empty texts have no licence of their own; null paths inherit nothing. Rows with the same path are read as
-    one file.
+    Null and empty texts have no licence of their own; null paths inherit nothing and have none. Rows with the same path are read as
+    one file. An empty table gives an empty result.
     """
-    lines = materialize(licence_lines(files), "licence-lines")
-    own = materialize(best_templates(lines, near), "licence-own")
-    share = lines.groupBy("path").agg(F.sum(count_words(F.col("line"))).alias("licence_words"), F.max("total").alias("total"))
-    known = own.join(share, "path").withColumnRenamed("path", "own_path")
-    rows = files.join(known, files["path"] == known["own_path"], "left")
-    dirs = known.where(F.col("own_path").rlike(NAMED) | (F.col("licence_words") * 2 >= F.col("total")))
-    speakers = dirs.groupBy(directory(F.col("own_path")).alias("dir")).agg(F.min(F.struct("own_path", "licence")).alias("f"))
+    given = files.drop("licence_found", "similarity", "origin", "from_dir")
+    files = given.select("path", "text")
+    found = materialize(matches(files, near), "licence-found")
+    own = materialize(best_templates(found), "licence-own")
+    dirs = own.join(licence_files(files, found), "path", "left_semi")
+    speakers = dirs.groupBy(directory(F.col("path")).alias("dir")).agg(F.min(F.struct("path", "licence")).alias("f"))
     speakers = materialize(speakers.select(F.col("dir").alias("speaker_dir"), F.col("f.licence").alias("speaks")), "licence-dirs")
     places = files.where("path is not null").select(directory(F.col("path")).alias("place")).distinct()
     up = places.select("place", F.explode(ancestors(F.col("place"))).alias("a")).select("place", "a.depth", "a.dir")
     nearest = up.join(speakers, F.col("dir") == F.col("speaker_dir")).groupBy("place").agg(F.max(F.struct("depth", "dir", "speaks")).alias("n"))
     nearest = nearest.select("place", F.col("n.dir").alias("near_dir"), F.col("n.speaks").alias("near_licence"))
-    out = rows.join(nearest, directory(F.col("path")) == F.col("place"), "left")
-    origin = F.when(F.col("licence").isNotNull(), "own").when(F.col("near_licence").isNotNull(), "inherited").otherwise("none")
+    a, b, c, d, e, f = free_names(given, "own_path", "own_licence", "own_similarity", "near_place", "near_dir", "near_licence")
+    out = given.join(own.toDF(a, b, c), given["path"] == F.col(a), "left").join(nearest.toDF(d, e, f), directory(given["path"]) == F.col(d), "left")
+    origin = F.when(F.col(b).isNotNull(), "own").when(F.col(f).isNotNull(), "inherited").otherwise("none")
     return out.select(
-        *[files[c] for c in files.columns], F.coalesce("licence", "near_licence").alias("licence_found"), "similarity", origin.alias("origin"),
-        F.when(origin == "inherited", F.col("near_dir")).alias("from_dir"),
+        *[given[x] for x in given.columns], F.coalesce(b, f).alias("licence_found"), F.col(c).alias("similarity"), origin.alias("origin"),
+        F.when(origin == "inherited", F.col(e)).alias("from_dir"),
     )
 
 
@@ -139,25 +191,28 @@ def query(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def oracle() -> str:
-    """The same in one piece of SQL, with the template weights as rows."""
-    weights, idf, other = template_weights()
-    values = ", ".join(f"({k}, '{name}', '{w}', {x!r}::DOUBLE)" for k, name, w, x in weights)
-    idfs = ", ".join(f"('{w}', {x!r}::DOUBLE)" for w, x in sorted(idf.items()))
+    """The same in one piece of SQL, with the template words as rows."""
+    values = ", ".join(f"({k}, '{name}', '{w}', {n})" for k, name, w, n in template_words())
+    stop = ", ".join(f"'{w}'" for w in STOP)
+    unit = "path, block, line"
     return rf"""
-WITH t(template, licence, word, weight) AS (VALUES {values}),
-k(word, idf) AS (VALUES {idfs}),
+WITH t(template, licence, word, tn) AS (VALUES {values}),
 d AS (SELECT doc_id, coalesce(source, 'none') || '/' || CAST(doc_id // 4096 AS VARCHAR) || '/' || CAST(doc_id // 64 AS VARCHAR) || '/' || CAST(doc_id AS VARCHAR) AS path, text FROM documents),
-l AS (SELECT path, generate_subscripts(string_split(text, chr(10)), 1) AS pos, unnest(string_split(lower(text), chr(10))) AS line FROM d),
-s AS (SELECT * FROM l WHERE regexp_matches(line, '{SPEAKS}')),
-w AS (SELECT path, pos, unnest(regexp_extract_all(line, '{WORD}')) AS word FROM s),
-c AS (SELECT path, pos, word, count(*) * coalesce(any_value(idf), {other!r}::DOUBLE) AS x FROM w LEFT JOIN k USING (word) GROUP BY path, pos, word),
-n AS (SELECT path, pos, sqrt(sum(x * x)) AS norm FROM c GROUP BY path, pos),
-q AS (SELECT path, pos, template, licence, sum(x * weight) AS dot FROM c JOIN t USING (word) GROUP BY path, pos, template, licence),
-b AS (SELECT path, template, licence, round(dot / norm, 6) AS similarity FROM q JOIN n USING (path, pos)),
-o AS (SELECT path, licence, similarity FROM b WHERE similarity >= {NEAR} QUALIFY row_number() OVER (PARTITION BY path ORDER BY similarity DESC, template) = 1),
-h AS (SELECT path, sum(len(regexp_extract_all(line, '[^\x20\x09-\x0D]+'))) AS words FROM s GROUP BY path),
-f AS (SELECT regexp_replace(path, '/[^/]*$', '') AS dir, arg_min(o.licence, path) AS licence FROM o JOIN h USING (path) JOIN d USING (path)
-      WHERE h.words * 2 >= len(regexp_extract_all(d.text, '[^\x20\x09-\x0D]+')) GROUP BY 1),
+k AS (SELECT path, generate_subscripts(string_split_regex(lower(text), '\n[ \t\r]*\n'), 1) AS block, unnest(string_split_regex(lower(text), '\n[ \t\r]*\n')) AS body FROM d),
+l AS (SELECT path, block, generate_subscripts(string_split(body, chr(10)), 1) AS line, unnest(string_split(body, chr(10))) AS line_text, len(string_split(body, chr(10))) AS n_lines FROM k),
+w AS (SELECT path, block, line, n_lines, unnest(list_filter(regexp_extract_all(line_text, '{WORD}'), lambda x: x NOT IN ({stop}))) AS word FROM l),
+c AS (SELECT path, block, line, word, count(*) AS n FROM w GROUP BY ALL UNION ALL SELECT path, block, -1, word, count(*) FROM w WHERE n_lines > 1 GROUP BY path, block, word),
+i AS (SELECT word, ln((1.0::DOUBLE + (SELECT count(DISTINCT path) FROM d)) / (1 + count(DISTINCT path))) + 1 AS idf FROM w GROUP BY word),
+v AS (SELECT {unit}, word, n, n * idf AS x FROM c JOIN i USING (word)),
+n AS (SELECT {unit}, sqrt(sum(x * x)) AS norm, sum(n) AS unit_words FROM v GROUP BY {unit}),
+tx AS (SELECT template, licence, word, tn * idf AS x FROM t JOIN i USING (word)),
+tw AS (SELECT template, licence, word, x / sqrt(sum(x * x) OVER (PARTITION BY template)) AS weight FROM tx),
+q AS (SELECT {unit}, template, licence, sum(x * weight) AS dot FROM v JOIN tw USING (word) GROUP BY {unit}, template, licence),
+m AS (SELECT {unit}, template, licence, unit_words, round(dot / norm, 6) AS similarity FROM q JOIN n USING ({unit}) WHERE round(dot / norm, 6) >= {NEAR}),
+o AS (SELECT path, licence, similarity FROM m QUALIFY row_number() OVER (PARTITION BY path ORDER BY similarity DESC, template) = 1),
+h AS (SELECT path, greatest(sum(CASE WHEN line >= 0 THEN unit_words ELSE 0 END), sum(CASE WHEN line < 0 THEN unit_words ELSE 0 END)) AS words FROM (SELECT DISTINCT {unit}, unit_words FROM m) GROUP BY path),
+z AS (SELECT path, count(*) AS total FROM w GROUP BY path),
+f AS (SELECT regexp_replace(path, '/[^/]*$', '') AS dir, arg_min(o.licence, path) AS licence FROM o JOIN h USING (path) JOIN z USING (path) WHERE h.words * 2 >= z.total GROUP BY 1),
 p AS (SELECT DISTINCT regexp_replace(path, '/[^/]*$', '') AS place FROM d),
 a AS (SELECT place, f.dir, f.licence, row_number() OVER (PARTITION BY place ORDER BY length(f.dir) DESC) AS r FROM p JOIN f ON place = f.dir OR starts_with(place, f.dir || '/'))
 SELECT d.doc_id, d.path, coalesce(o.licence, a.licence) AS licence, o.similarity,
