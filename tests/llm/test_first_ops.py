@@ -225,6 +225,50 @@ def test_language_held_out_accuracy(spark, small):
     assert all(0 <= r["score"] <= 1 for r in rows)
 
 
+def test_language_against_word_by_word(spark, tiny):
+    docs = spark.read.parquet(f"{tiny}/documents.parquet")
+    model = langid.fit(docs.select("text", "lang"), parts=2000)
+    texts = [r["text"] for r in docs.limit(60).collect()] + [None, "", "\u0301\u0301 12", "a\u0301", "x" * 1_000_000, "zzqx qxzz " * 3]
+    langs, scores = langid.Scorer(model).texts(pa.array(texts))
+    for text, lang, score in zip(texts, langs, scores, strict=True):
+        words = [w for w in __import__("regex").split(r"[^\p{L}\p{M}]+", (text or "").lower()) if any(map(str.isalpha, w))]
+        total = model.prior.astype(float)
+        for w in words:
+            known = model.tables[0].get(w)
+            if known is None:
+                padded = f"<{w}>"
+                for size in (4, 3, 2, 1):
+                    grams = [padded[i : i + size] for i in range(len(padded) - size + 1)]
+                    if any(g in model.tables[size] for g in grams):
+                        known = np.mean([model.tables[size].get(g, model.floors[size]) for g in grams], axis=0)
+                        break
+                else:
+                    known = np.zeros(len(model.languages))
+            total = total + known
+        odds = np.exp(total - total.max())
+        assert (lang, score) == (("und", 0) if not words else (model.languages[int(total.argmax())], pytest.approx(odds.max() / odds.sum(), abs=1e-3)))
+
+
+def test_added_tokens_are_found_as_the_file_says():
+    e = packing.encoder(packing.vocabulary_path())
+    for x in e.added:
+        for text in (f"a{x}b", f"one two {x} three", f"{x}", f"line\n{x}\nline  two"):
+            plain = e.t.encode(text, add_special_tokens=False).ids
+            assert e.texts(pa.array([text]))[0] == np.array(plain, "<u4").tobytes() and e.t.token_to_id(x) in plain
+
+
+def test_workers_keep_one_thing_at_a_time():
+    from crossaudit.llm import kept
+
+    a = kept.held("a", dict)
+    assert kept.held("a", dict) is a and kept.held("b", list) == [] and kept.held("a", dict) is not a
+    memo = kept.Memo(1000)
+    for i in range(10):
+        memo.add(str(i), i, 50)
+    memo.trim()
+    assert not memo and kept.content_id({"x": 1}) != kept.content_id({"x": 2})
+
+
 def test_language_backs_off(spark):
     train = spark.createDataFrame([("the cat sat on the mat and the hat", "en"), ("der hund und die katze und das haus", "de")] * 5, "text string, lang string")
     asked = spark.createDataFrame([(1, "thethat"), (2, "undhaus"), (3, None), (4, "123 !"), (5, "")], "doc_id long, text string")
@@ -242,17 +286,75 @@ def test_toxicity_held_out(spark, small):
     assert np.mean([r["predicted"] == truth[r["doc_id"]] for r in rows]) > 0.95
 
 
-def test_deobfuscation():
-    words = {"idiot": 30, "loser": 30, "trash": 30, "the": 900, "moron": 30, "hello": 20, "stupid": 20, "scum": 20}
+def small_characters(extra=()):
+    words = {"idiot": 30, "loser": 30, "trash": 30, "the": 900, "moron": 30, "hello": 20, "stupid": 20, "scum": 20, "you": 300, "are": 300, "a": 400, "off": 50, **dict(extra)}
     counts = defaultdict(float)
     for w, n in words.items():
         p = f"^^{w}$"
         for k in (1, 2, 3):
             for i in range(len(p) - k + 1):
                 counts[p[i : i + k]] += n
-    model = toxicity.CharacterModel(dict(counts))
-    for seen, meant in {"1d10t": "idiot", "l0s3r": "loser", "tr@$h": "trash", "looooser": "loser", "i.d.i.o.t": "idiot", "id*ot": "idiot", "moron***": "moron", "the": "the", "heeello!!": "hello", "s-t-u-p-1-d": "stupid", "scuuuum": "scum"}.items():
-        assert toxicity.restore(seen, model) == meant, seen
+    return toxicity.CharacterModel(dict(counts), frozenset(w for w in words if len(w) <= 3))
+
+
+def test_deobfuscation():
+    model = small_characters()
+    seen = {
+        "1d10t": "idiot", "l0s3r": "loser", "tr@$h": "trash", "looooser": "loser", "i.d.i.o.t": "idiot", "id*ot": "idiot", "moron***": "moron", "the": "the", "heeello!!": "hello",
+        "s-t-u-p-1-d": "stupid", "scuuuum": "scum", "stuupid": "stupid", "!d!ot": "idiot", "idi*t": "idiot", "st**id": "stupid", "off": "off", "idiot/loser": "idiot loser",
+        "you are a i d i o t": "you are a idiot", "i d i o t l o s e r": "idiot loser", "idi ot": "idiot", "1 d 1 0 t": "idiot",
+    }
+    for text, meant in seen.items():
+        assert toxicity.restore(text, model) == meant, text
+    assert toxicity.restore("l0s3r" * 9, model) == "loser" * 9 and toxicity.disguised("l0s3r" * 9)
+
+
+def best_path(text, model):
+    """All paths, one by one."""
+    import itertools
+
+    cores = [c for c in map(toxicity.core_of, text.split()) if c]
+    steps = []
+    for core in cores:
+        steps += [[("", toxicity._GLUE), (" ", 0.0)]] * bool(steps) + (toxicity.lattice(core, model.letters) if toxicity.disguised(core) or len(core) == 1 else [[(c, 0.0)] for c in core])
+    paths = list(itertools.product(*steps))
+    scores = [sum(c for _, c in p) + toxicity.path_score([x for x, _ in p], model) for p in paths]
+    top = max(scores)
+    return {" ".join("".join(x for x, _ in p).split()) for p, s in zip(paths, scores, strict=True) if s >= top - 1e-9}
+
+
+def test_viterbi_against_all_paths():
+    model, rng = small_characters(), random.Random(11)
+    asked = ["".join(rng.choice("idotl013s$.! a") for _ in range(rng.randint(2, 8))) for _ in range(250)] + ["id*t", "l0*er"]
+    for text in asked:
+        if any(map(toxicity.core_of, text.split())):
+            cores = [c for c in map(toxicity.core_of, text.split()) if c]
+            if len(cores) > 1 or toxicity.disguised(text):
+                assert toxicity.restore(text, model) in best_path(text, model), text
+
+
+def test_features_against_token_by_token():
+    model, rng = small_characters(), random.Random(12)
+    words = {"idiot": 0, "loser": 1, "off": 2}
+    pool = ["the", "you", "idiot", "1d10t", "i", "d", "o", "t", "a", "los", "er", "idi", "ot", "12", "-", "looser", "xyzzy", "o f f", "(the", "\n"]
+    texts = [" ".join(rng.choice(pool) for _ in range(rng.randint(0, 14))) for _ in range(300)] + [None, ""]
+    doc, feature = toxicity.Restorer(model, words).texts(pa.array(texts))
+    got = defaultdict(set)
+    for d, f in zip(doc.tolist(), feature.tolist(), strict=True):
+        got[d].add(f)
+    for i, text in enumerate(texts):
+        tokens = (text or "").split()
+        kinds = [toxicity.piece_kind(t, model.known) for t in tokens]
+        alone = [len(toxicity.core_of(t)) == 1 for t in tokens]
+        noisy = [k == 1 or (k == 2 and ((j > 0 and alone[j - 1]) or (j + 1 < len(tokens) and alone[j + 1]))) for j, k in enumerate(kinds)]
+        runs, now = [], tokens[:1]
+        for j in range(1, len(tokens)):
+            if (noisy[j] or noisy[j - 1]) and toxicity.core_of(tokens[j]) and toxicity.core_of(tokens[j - 1]):
+                now.append(tokens[j])
+            else:
+                runs, now = [*runs, now], [tokens[j]]
+        spelled = [toxicity.restore(t, model) for t in tokens if toxicity.core_of(t)] + [toxicity.restore(" ".join(r), model) for r in [*runs, now] if len(r) > 1]
+        assert got[i] == {words[w] for s in spelled for w in s.split() if w in words}, text
 
 
 def test_toxicity_on_disguises_and_odd_rows(spark):
@@ -263,10 +365,25 @@ def test_toxicity_on_disguises_and_odd_rows(spark):
     labels = spark.createDataFrame([(i, int(i % 4 == 0)) for i in range(400)] + [(None, 1), (7, None)], "doc_id long, toxic int")
     model = toxicity.fit(docs, labels)
     asked = spark.createDataFrame([(1, "ther on 1d10t and l0s3r"), (2, "you i d i o t and l o s e r"), (3, "ther on an"), (4, None), (5, "")], "doc_id long, text string")
-    got = {r["doc_id"]: r["predicted"] for r in toxicity.score(asked, model).collect()}
-    assert got == {1: 1, 2: 1, 3: 0, 4: 0, 5: 0}
+    got = {r["doc_id"]: r for r in toxicity.score(asked.withColumn("words", toxicity.F.lit("own")), model).collect()}
+    assert {k: r["predicted"] for k, r in got.items()} == {1: 1, 2: 1, 3: 0, 4: 0, 5: 0} and got[1]["words"] == "own"
+    for k, texts in {1: ["idiot", "loser"], 3: []}.items():  # the score is the logistic function of the weights of the words found
+        z = model.bias + sum(model.weights[model.words[w]] for w in texts if w in model.words)
+        z += sum(model.weights[model.words[w]] for w in ("ther", "on", "an") if w in model.words and not (k == 1 and w == "an"))
+        assert got[k]["score"] == pytest.approx(1 / (1 + np.exp(-z)))
+    assert got[4]["score"] == got[5]["score"] == pytest.approx(1 / (1 + np.exp(-model.bias)))
     blank = toxicity.fit(docs, labels.limit(0))
-    assert toxicity.score(asked, blank).count() == 5
+    assert toxicity.score(asked, blank).count() == 5 and toxicity.score(asked.limit(0), model).count() == 0
+    spelled = {r["doc_id"]: r["restored"] for r in toxicity.restore_texts(asked, model.characters).collect()}
+    assert spelled[1] == "ther on idiot and loser" and spelled[4] == ""
+
+
+def test_very_long_texts():
+    model = small_characters()
+    r = toxicity.Restorer(model, {"idiot": 0})
+    long = "1d" * 50_000 + " x " * 5 + "a" + "*" * 20_000 + "b " + "i d i o t"
+    doc, feature = r.texts(pa.array([long, "the " * 250_000 + "1d10t"]))
+    assert 1 in doc.tolist() and set(feature.tolist()) == {0}
 
 
 def test_mixing_targets_and_copies(spark, small):
@@ -283,11 +400,33 @@ def test_mixing_targets_and_copies(spark, small):
     assert all(abs(taken[s] - target[s]) <= largest[s] / 2 + 1 for s in target)
 
 
+def test_inclusion_follows_the_probability(spark):
+    rng = random.Random(9)
+    rows = [(i, "w " * n, "s") for i, n in enumerate(rng.choice([4, 25, 100]) for _ in range(6000))]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    out = mixing.mix(docs, share=0.8).collect()
+    by = defaultdict(list)
+    for r in out:
+        by[r["mix_size"]].append(r["mix_copies"])
+    target = out[0]["mix_target"]
+    level = target / sum(np.sqrt(n) * n * len(c) for n, c in by.items())
+    for n, c in by.items():  # expected copies are in proportion to the root of the size
+        assert np.mean(c) == pytest.approx(level * np.sqrt(n), abs=0.04) and max(c) - min(c) <= 1
+    assert abs(sum(r["mix_copies"] * r["mix_size"] for r in out) - target) <= 50
+    even = mixing.mix(docs, share=0.8, weight=mixing.F.lit(1.0)).collect()
+    taken = defaultdict(list)
+    for r in even:
+        taken[r["mix_size"]].append(r["mix_copies"])
+    assert all(np.mean(c) == pytest.approx(0.8, abs=0.04) for c in taken.values())
+
+
 def test_mixing_odd_rows(spark):
     docs = odd_documents(spark)
     out = mixing.mix(docs).collect()
     assert len(out) == 8 and all(0 <= r["mix_copies"] <= 2 for r in out)
-    assert mixing.mixed(docs).columns == docs.columns
+    clash = docs.withColumns({c: mixing.F.lit("own") for c in ("mix_copy", "mix_w", "mix_size_", "u", "weight", "v", "level")})
+    got = mixing.mixed(clash)
+    assert got.columns == clash.columns and {r["mix_copy"] for r in got.collect()} == {"own"}
     assert mixing.mix(docs.limit(0)).count() == 0
     weighted = mixing.mix(docs, weight=mixing.F.col("n_chars").cast("double")).count()
     assert weighted == 8

@@ -51,6 +51,9 @@ def test_lines_odd_rows(spark):
     assert out.columns == docs.columns
     assert sorted(got, key=repr) == sorted([(1, rows[0][1]), (3, None), (4, ""), (4, ""), (None, "new words stand here")], key=repr)
     assert linededup.remove_lines(docs.limit(0)).count() == 0
+    clash = docs.withColumns({c: linededup.F.lit("own") for c in ("places", "gone_doc", "gone_places", "doc")})
+    again = linededup.remove_lines(clash)
+    assert again.columns == clash.columns and again.count() == len(got) and {r["places"] for r in again.collect()} == {"own"}
 
 
 def test_licences_inherit_from_the_nearest_directory(spark):
@@ -64,7 +67,28 @@ def test_licences_inherit_from_the_nearest_directory(spark):
         ("LICENSE", "MIT", "own", None), ("a/b/LICENSE.txt", "Apache-2.0", "own", None), ("a/x.txt", "MIT", "inherited", ""), ("a/b/c/y.txt", "Apache-2.0", "inherited", "a/b"),
         ("a/b/c/z.txt", "proprietary", "own", None), ("q/note.txt", "MIT", "inherited", ""), ("q/empty.txt", "MIT", "inherited", ""), (None, None, "none", None),
     }
-    assert licenses.scan(files).count() == len(rows) and licenses.scan(files.limit(0)).count() == 0
+    assert licenses.scan(files.limit(0)).count() == 0
+
+
+def test_whole_licence_files_and_wrapped_headers(spark):
+    grant = """Permission is hereby granted, free of charge, to any person obtaining a copy
+of this software and associated documentation files (the "Software"), to deal
+in the Software without restriction, including without limitation the rights
+to use, copy, modify, merge, publish, distribute, sublicense, and/or sell
+copies of the Software, and to permit persons to whom the Software is
+furnished to do so, subject to the following conditions:"""
+    header = """/* Redistribution and use in source and binary
+ * forms, with or without modification, are
+ * permitted provided that the following conditions are met: */
+
+int main() { return 0; }"""
+    rows = [("m/LEGAL", grant), ("m/x.c", "int x;"), ("b/main.c", header), ("b/y.c", "int y;"), ("z/long.txt", "plain words here " * 70_000)] + [(f"f/{i}", f"some text number {i} of many words") for i in range(40)]
+    files = spark.createDataFrame([(p, t, "own", 1) for p, t in rows], "path string, text string, licence string, places int")
+    out = licenses.scan(files)
+    assert out.columns == [*files.columns, "licence_found", "similarity", "origin", "from_dir"]
+    got = {r["path"]: (r["licence_found"], r["origin"]) for r in out.collect()}
+    assert got["m/LEGAL"] == ("MIT", "own") and got["m/x.c"] == ("MIT", "inherited") and got["b/main.c"] == ("BSD-3-Clause", "own")
+    assert got["b/y.c"] == got["z/long.txt"] == got["f/3"] == (None, "none")
 
 
 def test_pipeline_stages(spark, tiny):
