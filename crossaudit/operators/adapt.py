@@ -2,22 +2,22 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from crossaudit.operators.ranks import running
 from crossaudit.operators.stats import t_interval
 
 
 def draw_shots(train: DataFrame, draws: list[int], budgets: list[int], prefix: str, label: str = "y") -> DataFrame:
     """``draw, budget, item_id, actual_n``: for each draw and class the first ``budget`` items by a hash.
 
-    Budgets are nested; a short class gives what it has, which ``actual_n`` shows. One window over (draw, class).
+    Budgets are nested; a short class gives what it has, which ``actual_n`` shows. Ranks are taken in two levels.
     """
     rows = train.select("item_id", label, F.explode(F.array(*[F.lit(d) for d in draws])).alias("draw"))
-    order = Window.partitionBy("draw", label).orderBy(F.md5(F.concat_ws(":", F.lit(prefix), "draw", "item_id").cast("binary")), "item_id")
-    ranked = rows.withColumn("r", F.row_number().over(order)).where(F.col("r") <= max(budgets))
+    ranked = running(rows, ["draw", label], F.md5(F.concat_ws(":", F.lit(prefix), "draw", "item_id").cast("binary")), "item_id").withColumn("r", F.col("before") + 1).where(F.col("r") <= max(budgets))
     out = ranked.withColumn("budget", F.explode(F.array(*[F.lit(b) for b in budgets]))).where("r <= budget")
-    return out.withColumn("actual_n", F.count(F.lit(1)).over(Window.partitionBy("draw", "budget", label))).select("draw", "budget", "item_id", label, "actual_n")
+    return out.select("draw", "budget", "item_id", label, F.least("budget", "total").cast("long").alias("actual_n"))
 
 
 def build_pool(items: DataFrame, extra: DataFrame, protocol: str = "inductive") -> DataFrame:

@@ -2,10 +2,14 @@
 
 from __future__ import annotations
 
-from functools import reduce
+import hashlib
 
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import ArrayType, DoubleType, StructField, StructType
 
 #: Per-line statistics of the handcrafted descriptor; its vector is their means, then their deviations, then log length.
 LINE_STATS = ("chars", "digits", "upper", "punct", "fresh")
@@ -14,54 +18,93 @@ HANDCRAFTED = tuple(f"{s}_mean" for s in LINE_STATS) + tuple(f"{s}_std" for s in
 
 def handcrafted(docs: DataFrame, text: str = "text") -> DataFrame:
     """``item_id`` and eleven numbers: mean and deviation over lines (the windows) of length and of the ratios of digits,
-    capitals, punctuation and distinct words, and the log of the text's length. Empty lines are no windows; a text without any has zeros."""
-    lines = docs.select("item_id", F.col(text).alias("t"), F.explode_outer(F.split(F.coalesce(F.col(text), F.lit("")), "\n")).alias("line"))
-    n = F.nullif(F.length("line"), F.lit(0))
-
-    def ratio(other: str) -> Column:
-        return F.length(F.regexp_replace("line", other, "")) / n
-
-    words = F.filter(F.split("line", " "), lambda w: w != "")
-    stats = lines.select(
-        "item_id", F.length(F.coalesce("t", F.lit(""))).alias("size"), n.cast("double").alias("chars"), ratio("[^0-9]").alias("digits"), ratio("[^A-Z]").alias("upper"),
-        ratio("[^.,;:!?]").alias("punct"), (F.size(F.array_distinct(words)) / F.nullif(F.size(words), F.lit(0))).alias("fresh"),
-    )
-    measures = [F.round(F.coalesce(f(s), F.lit(0.0)), 6).alias(f"{s}_{name}") for name, f in (("mean", F.avg), ("std", F.stddev_pop)) for s in LINE_STATS]
-    return stats.groupBy("item_id").agg(*measures, F.round(F.log(F.max("size") + F.lit(1.0)), 6).alias("log_length"))
-
-
-def bucket(gram: Column, dims: int) -> Column:
-    """Vector place of a gram, the same in any engine: the first four hex digits of its MD5."""
-    return F.pmod(F.conv(F.substring(F.md5(gram.cast("binary")), 1, 4), 16, 10).cast("int"), F.lit(dims))
-
-
-def grams(text: Column, kind: str) -> Column:
-    """Array of the grams that an encoder counts."""
-    text = F.coalesce(text, F.lit(""))
+    capitals, punctuation and distinct words, and the log of the text's length. Empty lines are no windows; a text without any has zeros.
+    Each row is computed by itself."""
+    whole = F.coalesce(F.col(text), F.lit(""))
+
+    def ratio(line: Column, other: str) -> Column:
+        return F.length(F.regexp_replace(line, other, "")) / F.length(line)
+
+    def fresh(line: Column) -> Column:
+        words = F.filter(F.split(line, " "), lambda w: w != "")
+        return F.size(F.array_distinct(words)) / F.nullif(F.size(words), F.lit(0))
+
+    stats = dict(zip(LINE_STATS, (lambda x: F.length(x).cast("double"), lambda x: ratio(x, "[^0-9]"), lambda x: ratio(x, "[^A-Z]"), lambda x: ratio(x, "[^.,;:!?]"), fresh), strict=True))
+    lines = docs.select("item_id", F.length(whole).alias("size"), F.filter(F.split(whole, "\n"), lambda x: x != "").alias("lines"))
+    rows = lines.select("item_id", "size", *[F.filter(F.transform("lines", f), lambda v: v.isNotNull()).alias(s) for s, f in stats.items()])
+    total = lambda c: F.aggregate(c, F.lit(0.0), lambda s, v: s + v)
+    means = rows.select("*", *[F.try_divide(total(F.col(s)), F.size(s)).alias(f"{s}_m") for s in LINE_STATS])
+    deviation = lambda s: F.sqrt(F.try_divide(F.aggregate(s, F.lit(0.0), lambda t, v: t + (v - F.col(f"{s}_m")) * (v - F.col(f"{s}_m"))), F.size(s)))
+    out = [F.round(F.coalesce(F.col(f"{s}_m"), F.lit(0.0)), 6).alias(f"{s}_mean") for s in LINE_STATS]
+    out += [F.round(F.coalesce(deviation(s), F.lit(0.0)), 6).alias(f"{s}_std") for s in LINE_STATS]
+    return means.select("item_id", *out, F.round(F.log(F.col("size") + F.lit(1.0)), 6).alias("log_length"))
+
+
+def _words(texts: pa.Array) -> tuple[np.ndarray, np.ndarray, list[str]]:
+    """Text and number of each word in order, and the distinct words: runs of letters and digits, in lower case."""
+    parts = pc.split_pattern_regex(pc.utf8_lower(pc.fill_null(texts, "").cast(pa.large_string())), r"[^\p{L}0-9]+")
+    coded = pc.list_flatten(parts).dictionary_encode()
+    names = coded.dictionary.to_pylist()
+    codes = coded.indices.to_numpy()
+    row = np.repeat(np.arange(len(texts)), np.diff(np.asarray(parts.offsets)))
+    real = np.array([w != "" for w in names], bool)[codes] if len(codes) else np.zeros(0, bool)
+    return row[real], codes[real], names
+
+
+def _grams(texts: pa.Array, kind: str) -> tuple[np.ndarray, np.ndarray, list[str]]:
+    """Text and number of each gram, and the distinct grams."""
     if kind == "char3":
-        return F.when(F.length(text) < 3, F.array(text)).otherwise(F.regexp_extract_all(text, F.lit("(?s)(?=(...))"), 1))  # one pass over the text
-    words = F.filter(F.split(F.lower(text), "[^\\p{L}0-9]+"), lambda w: w != "")
+        rows, keys, short = [], [], {}
+        for i, t in enumerate(texts.to_pylist()):
+            x = np.frombuffer((t or "").encode("utf-32-le"), "<u4").astype(np.int64)
+            if len(x) < 3:
+                short[i] = t or ""
+            else:
+                keys.append(x[:-2] << 42 | x[1:-1] << 21 | x[2:])
+                rows.append(np.full(len(x) - 2, i))
+        distinct, code = np.unique(np.concatenate([np.zeros(0, np.int64), *keys]), return_inverse=True)
+        names = ["".join(map(chr, (k >> 42, k >> 21 & 0x1FFFFF, k & 0x1FFFFF))) for k in distinct.tolist()]
+        return np.concatenate([np.zeros(0, np.int64), *rows, list(short)]).astype(np.int64), np.concatenate([code, len(names) + np.arange(len(short))]).astype(np.int64), names + list(short.values())
+    row, code, names = _words(texts)
     if kind == "word":
-        return words
+        return row, code, names
     if kind == "word2":
-        return F.transform(F.sequence(F.lit(1), F.greatest(F.size(words) - 1, F.lit(1))), lambda i: F.concat_ws(" ", F.slice(words, i, F.lit(2))))
+        # the last word of a text alone if it is the only one
+        pair = row[1:] == row[:-1]
+        lone = np.flatnonzero(np.bincount(row, minlength=len(texts))[row] == 1) if len(row) else np.zeros(0, np.int64)
+        both = np.concatenate([code[:-1][pair] * len(names) + code[1:][pair], len(names) ** 2 + code[lone]]) if len(row) else np.zeros(0, np.int64)
+        distinct, number = np.unique(both, return_inverse=True)
+        spelled = [names[k - len(names) ** 2] if k >= len(names) ** 2 else f"{names[k // len(names)]} {names[k % len(names)]}" for k in distinct.tolist()]
+        return np.concatenate([row[:-1][pair], row[lone]]) if len(row) else row, number, spelled
     raise ValueError(f"unknown encoder {kind!r}")
 
 
 def hashed(docs: DataFrame, kind: str = "char3", dims: int = 64, center: str | None = None) -> DataFrame:
-    """``item_id, features``: bucket counts of unit length, then centred on the mean of their ``center`` column's value.
+    """``item_id, features``: counts of grams by the first four hex digits of their MD5, of unit length, then centred on the mean of their ``center`` column's value.
 
-    Counts are combined before the shuffle, so an item moves at most ``dims`` rows from each task.
+    Each text is counted by itself, in Arrow batches; only the means, one row a value, are aggregated. A text without grams has no row.
     """
-    keep = ["item_id", *([center] if center else [])]
-    counted = docs.select(*keep, F.explode(grams(F.col("text"), kind)).alias("g")).select(*keep, bucket(F.col("g"), dims).alias("d")).groupBy(*keep, "d").agg(F.count(F.lit(1)).cast("double").alias("n"))
-    vectors = counted.groupBy(*keep).agg(F.map_from_entries(F.collect_list(F.struct("d", "n"))).alias("m"), F.sqrt(F.sum(F.col("n") * F.col("n"))).alias("norm"))
-    vectors = vectors.select(*keep, F.transform(F.sequence(F.lit(0), F.lit(dims - 1)), lambda d: F.coalesce(F.element_at("m", d), F.lit(0.0)) / F.col("norm")).alias("features"))
+    keep = [f for f in docs.schema.fields if f.name in ("item_id", center)]
+
+    def run(batches):
+        for b in batches:
+            for at in range(0, b.num_rows, 500):
+                part = b.slice(at, 500)
+                row, code, names = _grams(part.column(part.num_columns - 1), kind)
+                place = np.array([int(hashlib.md5(g.encode()).hexdigest()[:4], 16) % dims for g in names], np.int64)
+                counts = np.bincount(row * dims + place[code], minlength=part.num_rows * dims).reshape(part.num_rows, dims).astype(float) if len(row) else np.zeros((part.num_rows, dims))
+                norm = np.sqrt((counts * counts).sum(axis=1))
+                live = np.flatnonzero(norm > 0)
+                unit = counts[live] / norm[live, None]
+                lists = pa.ListArray.from_arrays(pa.array(np.arange(len(live) + 1) * dims, pa.int32()), pa.array(unit.ravel()))
+                yield pa.RecordBatch.from_arrays([*(part.column(i).take(pa.array(live)) for i in range(part.num_columns - 1)), lists], names=[*(f.name for f in keep), "features"])
+
+    schema = StructType([*keep, StructField("features", ArrayType(DoubleType()))])
+    vectors = docs.select(*[f.name for f in keep], "text").mapInArrow(run, schema)
     if not center:
         return vectors
-    dim = vectors.select(center, F.posexplode("features").alias("d", "x")).groupBy(center, "d").agg(F.avg("x").alias("x"))
-    mean = dim.groupBy(center).agg(F.transform(F.array_sort(F.collect_list(F.struct("d", "x"))), lambda e: e["x"]).alias("mean"))
-    return vectors.join(F.broadcast(mean), center).select("item_id", F.zip_with("features", "mean", lambda a, b: a - b).alias("features"))
+    mean = vectors.groupBy(center).agg(F.array(*[F.avg(F.get("features", F.lit(d))) for d in range(dims)]).alias("mean"))
+    return vectors.join(mean, center).select("item_id", F.zip_with("features", "mean", lambda a, b: a - b).alias("features"))
 
 
 def pooled(frames: DataFrame, how: str, order: str = "t") -> DataFrame:
@@ -98,7 +141,3 @@ def cosine(a: Column, b: Column) -> Column:
 
 def columns_to_array(columns: tuple[str, ...] = HANDCRAFTED) -> Column:
     return F.array(*[F.col(c).cast("double") for c in columns])
-
-
-def squared_distance(pairs: list[tuple[Column, Column]]) -> Column:
-    return reduce(lambda s, p: s + (p[0] - p[1]) * (p[0] - p[1]), pairs[1:], (pairs[0][0] - pairs[0][1]) * (pairs[0][0] - pairs[0][1]))

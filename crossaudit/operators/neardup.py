@@ -2,14 +2,16 @@
 
 from __future__ import annotations
 
+import hashlib
 import math
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from crossaudit.operators.encode import cosine
+from crossaudit.operators.encode import _words, cosine
 
 BLOCK = 2048
 
@@ -138,15 +140,27 @@ def nearest_train(vectors: DataFrame, block: int = BLOCK) -> DataFrame:
     return best.select("test_id", F.col("b.train_id").alias("train_id"), F.round(-F.col("b.c"), 6).alias("cos"))
 
 
-def simhash(docs: DataFrame, words: Column) -> DataFrame:
-    """``item_id, hi, lo``: 64 votes over the first 64 bits of the words' MD5s, by occurrences; as two 32-bit numbers."""
-    rows = docs.select("item_id", F.explode_outer(words).alias("w")).groupBy("item_id", "w").agg(F.count("w").alias("n"))
-    digest = F.md5(F.coalesce("w", F.lit("")).cast("binary"))
-    rows = rows.select("item_id", "n", F.conv(F.substring(digest, 1, 8), 16, 10).cast("long").alias("h"), F.conv(F.substring(digest, 9, 8), 16, 10).cast("long").alias("l"))
-    votes = lambda c, k: F.sum(F.when(F.shiftright(F.col(c), k).bitwiseAND(F.lit(1)) == 1, F.col("n")).otherwise(-F.col("n")))
-    sums = rows.groupBy("item_id").agg(*[votes(c, k).alias(f"{c}{k}") for c in "hl" for k in range(32)])
-    pack = lambda c: sum((F.when(F.col(f"{c}{k}") > 0, F.lit(1 << k)).otherwise(F.lit(0)) for k in range(1, 32)), F.when(F.col(f"{c}0") > 0, F.lit(1)).otherwise(F.lit(0))).cast("long")
-    return sums.select("item_id", pack("h").alias("hi"), pack("l").alias("lo"))
+def simhash(docs: DataFrame) -> DataFrame:
+    """``item_id, hi, lo``: 64 votes over the first 64 bits of the words' MD5s, by occurrences; as two 32-bit numbers.
+
+    Each text is counted by itself, in Arrow batches. A text without words has zeros.
+    """
+
+    def run(batches):
+        for b in batches:
+            for at in range(0, b.num_rows, 500):
+                part = b.slice(at, 500)
+                row, code, names = _words(part.column(1))
+                raw = np.frombuffer(b"".join(hashlib.md5(w.encode()).digest()[:8] for w in names), np.uint8).reshape(len(names), 8)
+                votes = np.unpackbits(raw, axis=1).astype(np.int64) * 2 - 1  # the first bit is the highest of the first half
+                total = np.zeros((part.num_rows, 64), np.int64)
+                if len(row):
+                    heads = np.flatnonzero(np.diff(row, prepend=-1))
+                    total[row[heads]] = np.add.reduceat(votes[code], heads, axis=0)
+                halves = np.packbits(total > 0, axis=1).view(">u4").astype(np.int64)
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(halves[:, 0]), pa.array(halves[:, 1])], names=["item_id", "hi", "lo"])
+
+    return docs.select(F.col("item_id").cast("long"), "text").mapInArrow(run, "item_id long, hi long, lo long")
 
 
 def hamming(a: str = "a", b: str = "b") -> Column:

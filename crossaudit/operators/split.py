@@ -2,22 +2,22 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from crossaudit.operators.ranks import running
+
 
 def group_split(items: DataFrame, fractions: tuple[float, float] = (0.69, 0.845), seed: int = 42) -> DataFrame:
     """Items with ``split``; a group is never cut.
 
     Inside (domain, majority class) groups are ordered by a hash, and a group falls where the share of items before it lies.
-    Windows run over groups, not items.
+    Sums run over groups, not items, in two levels.
     """
     per = items.groupBy("domain", "group_id", "class").agg(F.count(F.lit(1)).alias("n"))
     groups = per.groupBy("domain", "group_id").agg(F.sum("n").alias("n"), F.min(F.struct((-F.col("n")).alias("m"), "class"))["class"].alias("cls"))
-    inside = Window.partitionBy("domain", "cls")
-    order = inside.orderBy(F.md5(F.concat_ws(":", F.lit(str(seed)), "domain", "group_id").cast("binary")), "group_id").rowsBetween(Window.unboundedPreceding, -1)
-    share = F.coalesce(F.sum("n").over(order), F.lit(0)) / F.sum("n").over(inside)
-    groups = groups.withColumn("share", share)
+    digest = F.md5(F.concat_ws(":", F.lit(str(seed)), "domain", "group_id").cast("binary"))
+    groups = running(groups, ["domain", "cls"], digest, "group_id", F.col("n")).withColumn("share", F.col("before") / F.col("total"))
     split = F.when(F.col("share") < fractions[0], "train").when(F.col("share") < fractions[1], "val").otherwise("test")
     return items.join(groups.select("domain", "group_id", split.alias("split")), ["domain", "group_id"])
 

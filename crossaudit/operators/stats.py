@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import hashlib
 import math
 
 import numpy as np
@@ -10,45 +11,70 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 
-def draw_counts(predictions: DataFrame, draws: int, unit: str = "group_id", seed: int = 42) -> DataFrame:
-    """Confusion counts of both models of every cell under multinomial resampling of the target's test units.
+#: Resamples that one task draws.
+PER_TASK = 500
+
+
+def resampled_scores(predictions: DataFrame, draws: int, unit: str = "group_id", seed: int = 42, keys: tuple[str, ...] = ()) -> DataFrame:
+    """``train_domain, test_domain, b, caf1`` (and keys) of every cell under multinomial resampling of the target's test units; resample 0 is the data.
 
     Units of a test domain are numbered by id; draw k of resample b takes the unit that an MD5 names, the same for all
-    cells of a column. Per-unit counts come first, so nothing grows with items times resamples.
-    Returns ``train_domain, test_domain, b, which, truth, pred, n``; resample 0 is the data itself.
+    cells of a column. Counts by unit come first; then blocks of resamples are drawn in tasks of their own, so work is
+    shared out by resamples, and a task holds the counts of one column and its weights. `poisson_bootstrap` is for more units than that.
     """
-    diag = predictions.where("train_domain = test_domain").select("test_domain", "item_id", F.col("pred").alias("own"))
-    off = predictions.where("train_domain <> test_domain").join(diag, ["test_domain", "item_id"])
-    both = off.select("train_domain", "test_domain", F.col(unit).cast("string").alias("unit"), "truth", F.explode(F.array(F.struct(F.lit("off").alias("which"), F.col("pred").alias("p")), F.struct(F.lit("diag").alias("which"), F.col("own").alias("p")))).alias("e"))
-    counts = both.groupBy("train_domain", "test_domain", "unit", "e.which", "truth", F.col("e.p").alias("pred")).agg(F.count(F.lit(1)).alias("n"))
-    units = predictions.select("test_domain", F.col(unit).cast("string").alias("unit")).distinct()
-    numbered = units.select("test_domain", "unit", (F.row_number().over(Window.partitionBy("test_domain").orderBy("unit")) - 1).alias("k"), F.count(F.lit(1)).over(Window.partitionBy("test_domain")).alias("g"))
-    resamples = predictions.sparkSession.range(1, draws + 1).select(F.col("id").alias("b"))
-    sizes = numbered.select("test_domain", "g").distinct()
-    picks = sizes.join(F.broadcast(resamples)).select("test_domain", "b", "g", F.explode(F.sequence(F.lit(0), F.col("g").cast("int") - 1)).alias("i"))
-    digest = F.md5(F.concat_ws(":", F.lit(str(seed)), "b", "i").cast("binary"))
-    picks = picks.select("test_domain", "b", F.pmod(F.conv(F.substring(digest, 1, 8), 16, 10).cast("long"), F.col("g")).alias("k")).groupBy("test_domain", "b", "k").agg(F.count(F.lit(1)).alias("w"))
-    weights = picks.join(numbered, ["test_domain", "k"]).select("test_domain", "b", "unit", "w").unionByName(numbered.select("test_domain", F.lit(0).cast("long").alias("b"), "unit", F.lit(1).cast("long").alias("w")))
-    return counts.join(weights, ["test_domain", "unit"]).groupBy("train_domain", "test_domain", "b", "which", "truth", "pred").agg(F.sum(F.col("n") * F.col("w")).alias("n"))
-
-
-def paired_bootstrap(predictions: DataFrame, draws: int = 200, unit: str = "group_id", seed: int = 42) -> DataFrame:
-    """``train_domain, test_domain, delta, ci_lo, ci_hi, p``: score of the transferred model minus the target's own.
+    counts = predictions.groupBy(*keys, "train_domain", "test_domain", F.col(unit).cast("string").alias("unit"), "truth", "pred").agg(F.count(F.lit(1)).alias("n"))
+    blocks = counts.select("*", F.explode(F.sequence(F.lit(0), F.lit(max(1, -(-draws // PER_TASK)) - 1))).alias("block"))
+
+    def run(key, pdf: pd.DataFrame) -> pd.DataFrame:
+        names = np.unique(pdf["unit"].to_numpy().astype(str))
+        g, first = len(names), int(key[-1]) * PER_TASK + 1
+        numbers = list(range(first, min(draws, first + PER_TASK - 1) + 1))
+        weights = np.zeros((len(numbers), g))
+        for row, b in enumerate(numbers):
+            picks = [int(hashlib.md5(f"{seed}:{b}:{i}".encode()).hexdigest()[:8], 16) % g for i in range(g)]
+            weights[row] = np.bincount(picks, minlength=g)
+        if key[-1] == 0:
+            weights, numbers = np.concatenate([np.ones((1, g)), weights]), [0, *numbers]
+        out = []
+        for train, part in pdf.groupby("train_domain"):
+            classes = sorted(set(part["truth"]) | set(part["pred"]))
+            m, place = len(classes), {c: i for i, c in enumerate(classes)}
+            table = np.zeros((g, m, m))
+            np.add.at(table, (np.searchsorted(names, part["unit"].to_numpy().astype(str)), part["truth"].map(place).to_numpy(), part["pred"].map(place).to_numpy()), part["n"].to_numpy())
+            total = np.tensordot(weights, table, 1)
+            hits, below = np.einsum("bii->bi", total), total.sum(1) + total.sum(2)
+            f1 = np.divide(2 * hits, below, out=np.zeros_like(hits), where=below > 0)
+            caf1 = f1.sum(1) / np.maximum(1, (below > 0).sum(1))
+            out.append(pd.DataFrame({**dict(zip(keys, key, strict=False)), "train_domain": train, "test_domain": key[-2], "b": numbers, "caf1": caf1}))
+        return pd.concat(out)
+
+    schema = ", ".join([*(f"{k} string" for k in keys), "train_domain string, test_domain string, b long, caf1 double"])
+    return blocks.groupBy(*keys, "test_domain", "block").applyInPandas(run, schema)
+
+
+def paired_bootstrap(predictions: DataFrame, draws: int = 10_000, unit: str = "group_id", seed: int = 42, keys: tuple[str, ...] = ()) -> DataFrame:
+    """``train_domain, test_domain, delta, ci_lo, ci_hi, p`` (and keys): score of the transferred model minus the target's own.
 
     One-sided p that transfer is worse: (1 + resamples with a difference of 0 or more) / (resamples + 1). The interval
     is the 2.5th to 97.5th percentile.
     """
-    from crossaudit.operators.transfer import per_class
-
-    keys = ["train_domain", "test_domain", "b", "which"]
-    scores = per_class(draw_counts(predictions, draws, unit, seed), keys).groupBy(*keys).agg(F.avg("f1").alias("caf1"))
-    delta = scores.groupBy("train_domain", "test_domain", "b").agg(F.round(F.max(F.when(F.col("which") == "off", F.col("caf1"))) - F.max(F.when(F.col("which") == "diag", F.col("caf1"))), 9).alias("d"))
+    scores = resampled_scores(predictions, draws, unit, seed, keys)
+    own = scores.where("train_domain = test_domain").select(*keys, "test_domain", "b", F.col("caf1").alias("own"))
+    delta = scores.where("train_domain <> test_domain").join(own, [*keys, "test_domain", "b"]).withColumn("d", F.round(F.col("caf1") - F.col("own"), 9))
     real = F.col("b") > 0
-    out = delta.groupBy("train_domain", "test_domain").agg(
+    out = delta.groupBy(*keys, "train_domain", "test_domain").agg(
         F.max(F.when(~real, F.col("d"))).alias("delta"), F.percentile(F.when(real, F.col("d")), 0.025).alias("lo"), F.percentile(F.when(real, F.col("d")), 0.975).alias("hi"),
         ((1 + F.sum((real & (F.col("d") >= 0)).cast("int"))) / (1 + F.sum(real.cast("int")))).alias("p"),
     )
-    return out.select("train_domain", "test_domain", F.round("delta", 6).alias("delta"), F.round("lo", 6).alias("ci_lo"), F.round("hi", 6).alias("ci_hi"), F.round("p", 6).alias("p"))
+    return out.select(*keys, "train_domain", "test_domain", F.round("delta", 6).alias("delta"), F.round("lo", 6).alias("ci_lo"), F.round("hi", 6).alias("ci_hi"), F.round("p", 6).alias("p"))
+
+
+def ratio_interval(predictions: DataFrame, draws: int = 10_000, unit: str = "group_id", seed: int = 42) -> DataFrame:
+    """``n, ci_lo, ci_hi``: percentile interval of the negative-transfer ratio, with the same resampled units in every cell of a column."""
+    cells = resampled_scores(predictions, draws, unit, seed).where("b > 0").withColumn("caf1", F.round("caf1", 6))
+    same = F.col("train_domain") == F.col("test_domain")
+    ratio = cells.groupBy("b").agg(F.round(1 - F.try_divide(F.avg(F.when(~same, F.col("caf1"))), F.avg(F.when(same, F.col("caf1")))), 6).alias("ntr"))
+    return ratio.agg(F.count("ntr").alias("n"), F.round(F.percentile("ntr", 0.025), 6).alias("ci_lo"), F.round(F.percentile("ntr", 0.975), 6).alias("ci_hi"))
 
 
 def poisson_bootstrap(predictions: DataFrame, draws: int = 10_000, seed: int = 42, parts: int = 16) -> DataFrame:

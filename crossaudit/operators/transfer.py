@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
+from pyspark.ml.functions import array_to_vector, vector_to_array
+from pyspark.ml.stat import Summarizer
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from crossaudit.operators.encode import HANDCRAFTED, squared_distance
+from crossaudit.operators.encode import HANDCRAFTED
 
 
 def fit_centroid(train: DataFrame, features: tuple[str, ...] = HANDCRAFTED, by: str = "domain", label: str = "y") -> DataFrame:
@@ -22,13 +24,36 @@ def fit_centroid(train: DataFrame, features: tuple[str, ...] = HANDCRAFTED, by:
 def score_all(test: DataFrame, models: DataFrame, features: tuple[str, ...] = HANDCRAFTED) -> DataFrame:
     """Every test row under every model, in one scan: nearest class mean, ties to the first class by name.
 
-    The models are a few rows for each domain and are broadcast.
+    The models are one row each with all their classes, a few for each domain, and are broadcast; nothing is shuffled.
     """
     keep = [c for c in test.columns if c not in features]
-    pairs = test.join(F.broadcast(models))
-    z = [(F.coalesce(F.try_divide(F.col(f) - F.col(f"m_{f}"), F.col(f"s_{f}")), F.lit(0.0)), F.col(f"c_{f}")) for f in features]
-    near = pairs.select(*keep, "model", "pred", F.round(squared_distance(z), 6).alias("dist"))
-    return near.groupBy(*keep, "model").agg(F.min(F.struct("dist", "pred"))["pred"].alias("pred"))
+    each = models.groupBy("model").agg(
+        F.first(F.array(*[F.col(f"m_{f}") for f in features])).alias("m"), F.first(F.array(*[F.col(f"s_{f}") for f in features])).alias("s"),
+        F.collect_list(F.struct("pred", F.array(*[F.col(f"c_{f}") for f in features]).alias("c"))).alias("classes"),
+    )
+    rows = test.select(*keep, F.array(*[F.col(f).cast("double") for f in features]).alias("x"))
+    return nearest(rows, each).select(*keep, "model", "pred")
+
+
+def nearest(rows: DataFrame, models: DataFrame, on: tuple[str, ...] = ()) -> DataFrame:
+    """Rows (``x``, an array) with ``model, pred`` for every model (``model, m, s, classes`` of ``pred, c``) that agrees ``on`` some columns."""
+    z = F.zip_with(F.zip_with("x", "m", lambda a, b: a - b), "s", lambda a, b: F.coalesce(F.try_divide(a, b), F.lit(0.0)))
+    pairs = (rows.join(F.broadcast(models), list(on)) if on else rows.join(F.broadcast(models))).withColumn("z", z)
+    apart = lambda c: F.aggregate(F.zip_with("z", c["c"], lambda a, b: (a - b) * (a - b)), F.lit(0.0), lambda s, v: s + v)
+    best = F.array_min(F.transform("classes", lambda c: F.struct(F.round(apart(c), 6).alias("dist"), c["pred"].alias("pred"))))
+    return pairs.withColumn("pred", best["pred"]).drop("x", "z", "m", "s", "classes")
+
+
+def fit_centroid_vectors(train: DataFrame, keys: tuple[str, ...] = (), by: str = "domain", label: str = "y") -> DataFrame:
+    """As `fit_centroid` for ``features`` arrays: one row for each (keys, ``by``) with ``model, m, s, classes``."""
+    rows = train.withColumn("v", array_to_vector("features"))
+    scale = rows.groupBy(*keys, by).agg(Summarizer.metrics("mean", "variance", "count").summary(F.col("v")).alias("w"))
+    n = F.col("w.count").cast("double")
+    scale = scale.select(*keys, F.col(by), vector_to_array("w.mean").alias("m"), F.transform(vector_to_array("w.variance"), lambda x: F.round(F.sqrt(F.greatest(x * (n - 1) / n, F.lit(0.0))), 12)).alias("s"))
+    means = rows.groupBy(*keys, by, label).agg(Summarizer.mean(F.col("v")).alias("a")).select(*keys, by, F.col(label).alias("pred"), vector_to_array("a").alias("a"))
+    z = F.zip_with(F.zip_with("a", "m", lambda a, b: a - b), "s", lambda a, b: F.coalesce(F.try_divide(a, b), F.lit(0.0)))
+    both = means.join(scale, [*keys, by]).select(*keys, by, "m", "s", F.struct("pred", z.alias("c")).alias("k"))
+    return both.groupBy(*keys, F.col(by).alias("model")).agg(F.first("m").alias("m"), F.first("s").alias("s"), F.collect_list("k").alias("classes"))
 
 
 def confusion(predictions: DataFrame, keys: list[str]) -> DataFrame:

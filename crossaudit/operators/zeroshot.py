@@ -9,6 +9,7 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from crossaudit.operators.ranks import running
 from crossaudit.operators.transfer import confusion, overall
 
 UNPARSED = "UNPARSED"
@@ -22,8 +23,8 @@ def stratified_subsample(items: DataFrame, n: int, seed: int = 42, label: str =
     left = F.least(F.lit(n), F.col("total")) - F.sum("base").over(Window.partitionBy("domain"))
     rank = F.row_number().over(Window.partitionBy("domain").orderBy(F.desc(F.round(F.col("x") - F.col("base"), 9)), label))
     quota = share.withColumn("left", left).withColumn("rank", rank).select("domain", label, (F.col("base") + (F.col("rank") <= F.col("left")).cast("int")).alias("quota"))
-    order = Window.partitionBy("domain", label).orderBy(F.md5(F.concat_ws(":", F.lit(str(seed)), "item_id").cast("binary")), "item_id")
-    return items.join(F.broadcast(quota), ["domain", label]).withColumn("r", F.row_number().over(order)).where("r <= quota").drop("r", "quota")
+    ranked = running(items, ["domain", label], F.md5(F.concat_ws(":", F.lit(str(seed)), "item_id").cast("binary")), "item_id").drop("total")
+    return ranked.join(F.broadcast(quota), ["domain", label]).where("before < quota").drop("before", "quota")
 
 
 def rule_answer(n: Column) -> Column:
@@ -38,26 +39,30 @@ def parse_answer(answer: Column, labels: list[str]) -> Column:
 
 
 def zero_shot(items: DataFrame, predict: Callable[[str], str], labels: list[str], parallel: int = 4, per_second: float | None = None, tries: int = 3) -> DataFrame:
-    """``item_id, answer, pred, seconds``: one call for each item, with bounded parallelism, pauses and growing retries."""
+    """``item_id, answer, error, pred, seconds``: one call for each item, with bounded parallelism, pauses and growing retries.
+
+    A call that fails every time has no answer and its last error's text.
+    """
 
     def run(batches):
         for pdf in batches:
             out = []
             for i, text in zip(pdf["item_id"], pdf["text"], strict=True):
-                began, answer = time.time(), None
+                began, answer, error = time.time(), None, None
                 for k in range(tries):
                     try:
-                        answer = predict(text)
+                        answer, error = predict(text), None
                         break
-                    except Exception:
+                    except Exception as e:  # any failure of a foreign call is an answer of its own
+                        error = f"{type(e).__name__}: {e}"
                         time.sleep(0.1 * 2**k)
-                out.append((i, answer, time.time() - began))
+                out.append((i, answer, error, time.time() - began))
                 if per_second:
                     time.sleep(max(0.0, parallel / per_second - (time.time() - began)))
-            yield pd.DataFrame(out, columns=["item_id", "answer", "seconds"])
+            yield pd.DataFrame(out, columns=["item_id", "answer", "error", "seconds"])
 
-    calls = items.select("item_id", "text").repartition(parallel).mapInPandas(run, "item_id long, answer string, seconds double")
-    return calls.select("item_id", "answer", parse_answer(F.coalesce("answer", F.lit("")), labels).alias("pred"), "seconds")
+    calls = items.select("item_id", "text").repartition(parallel).mapInPandas(run, "item_id long, answer string, error string, seconds double")
+    return calls.select("item_id", "answer", "error", parse_answer(F.coalesce("answer", F.lit("")), labels).alias("pred"), "seconds")
 
 
 def zs_report(predictions: DataFrame) -> DataFrame:

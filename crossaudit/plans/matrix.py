@@ -5,8 +5,9 @@ from __future__ import annotations
 from pyspark.sql import functions as F
 
 from crossaudit.functions.storage import materialize
-from crossaudit.operators import encode, stats, transfer
+from crossaudit.operators import encode, probe, stats, transfer
 from crossaudit.operators.encode import HANDCRAFTED, LINE_STATS
+from crossaudit.operators.ranks import running
 from crossaudit.plans.registry import query
 from crossaudit.plans.workloads import SQL_ITEMS, SQL_SPLIT, split_items
 from crossaudit.sources import table
@@ -29,9 +30,8 @@ TASK_SQL = {
 }
 
 
-def sql_probe(name: str, train: str, test: str, label: str = "y", by: str = "domain", extra: str = "") -> str:
+def sql_probe(name: str, train: str, test: str, label: str = "y", by: str = "domain", extra: str = "", f: tuple[str, ...] = HANDCRAFTED) -> str:
     """CTEs that fit centroids on the rows of ``train`` and predict those of ``test`` as ``name``."""
-    f = HANDCRAFTED
     d = " + ".join(f"power(coalesce((t.{x} - m_{x}) / nullif(s_{x}, 0), 0) - c_{x}, 2)" for x in f)
     return f""",
 {name}_sc AS (SELECT {by}, {', '.join(f'avg({x}) AS m_{x}, stddev_pop({x}) AS s_{x}' for x in f)} FROM {train} GROUP BY {by}),
@@ -82,12 +82,19 @@ def enc_handcrafted(spark, sf_dir):
     return features(spark, sf_dir)
 
 
-CHAR3 = """
-g AS (SELECT item_id, lang, substr(text, k, 3) AS g FROM (SELECT doc_id AS item_id, lang, text, unnest(range(1, greatest(length(text) - 2, 1) + 1)) AS k FROM documents)),
-u AS (SELECT item_id, lang, CAST('0x' || substr(md5(g), 1, 4) AS BIGINT) % 64 AS d, count(*)::DOUBLE AS n FROM g GROUP BY ALL),
-z AS (SELECT item_id, lang, k.d, coalesce(u.n, 0) AS n FROM (SELECT DISTINCT item_id, lang FROM u) CROSS JOIN (SELECT unnest(range(64)) AS d) k LEFT JOIN u USING (item_id, lang, d)),
-v AS (SELECT item_id, lang, d, n / sqrt(sum(n * n) OVER (PARTITION BY item_id)) AS x FROM z),
-char3 AS (SELECT item_id, lang, d, x - avg(x) OVER (PARTITION BY lang, d) AS x FROM v)"""
+def gram_sql(name: str, grams: str) -> str:
+    """CTEs that make ``name`` (item_id, lang, d, x), the centred unit vectors of a query's grams (item_id, lang, g)."""
+    return f"""
+{name}_u AS (SELECT item_id, lang, CAST('0x' || substr(md5(g), 1, 4) AS BIGINT) % 64 AS d, count(*)::DOUBLE AS n FROM ({grams}) GROUP BY ALL),
+{name}_z AS (SELECT item_id, lang, k.d, coalesce(u.n, 0) AS n FROM (SELECT DISTINCT item_id, lang FROM {name}_u) CROSS JOIN (SELECT unnest(range(64)) AS d) k LEFT JOIN {name}_u u USING (item_id, lang, d)),
+{name}_v AS (SELECT item_id, lang, d, n / sqrt(sum(n * n) OVER (PARTITION BY item_id)) AS x FROM {name}_z),
+{name} AS (SELECT item_id, lang, d, x - avg(x) OVER (PARTITION BY lang, d) AS x FROM {name}_v)"""
+
+
+SQL_WORDS = "SELECT doc_id AS item_id, lang, list_filter(regexp_split_to_array(lower(text), '[^\\p{L}0-9]+'), lambda w: w <> '') AS w FROM documents"
+CHAR3 = gram_sql("char3", "SELECT item_id, lang, substr(text, k, 3) AS g FROM (SELECT doc_id AS item_id, lang, text, unnest(range(1, greatest(length(text) - 2, 1) + 1)) AS k FROM documents)")
+WORD = gram_sql("wordv", f"SELECT item_id, lang, unnest(w) AS g FROM ({SQL_WORDS})")
+WORD2 = gram_sql("word2v", f"SELECT item_id, lang, CASE WHEN len(w) = 1 THEN w[1] ELSE w[k] || ' ' || w[k + 1] END AS g FROM (SELECT item_id, lang, w, unnest(range(1, greatest(len(w) - 1, 1) + 1)) AS k FROM ({SQL_WORDS}) WHERE len(w) > 0)")
 
 
 def char3(spark, sf_dir, dims: int = 64):
@@ -253,53 +260,65 @@ r AS (SELECT b, round(1 - avg(caf1) FILTER (train_domain <> test_domain) / nulli
 SELECT count(ntr) AS n, round(quantile_cont(ntr, 0.025), 6) AS ci_lo, round(quantile_cont(ntr, 0.975), 6) AS ci_hi FROM r""")
 def ntr_interval(spark, sf_dir):
     """Percentile interval of the ratio, with the same resampled groups in every cell of a column."""
-    preds = materialize(task_predictions(spark, sf_dir, "multi"), "preds")
-    own = preds.select("test_domain", "group_id").distinct()
-    from pyspark.sql import Window
+    return stats.ratio_interval(materialize(task_predictions(spark, sf_dir, "multi"), "preds"), DRAWS)
 
-    by = Window.partitionBy("test_domain")
-    own = own.select("test_domain", "group_id", (F.row_number().over(by.orderBy("group_id")) - 1).alias("k"), F.count(F.lit(1)).over(by).alias("g"))
-    draws = spark.range(1, DRAWS + 1).select(F.col("id").alias("b"))
-    picks = own.select("test_domain", "g").distinct().join(F.broadcast(draws)).select("test_domain", "b", "g", F.explode(F.sequence(F.lit(0), F.col("g").cast("int") - 1)).alias("i"))
-    k = F.pmod(F.conv(F.substring(F.md5(F.concat_ws(":", F.lit("42"), "b", "i").cast("binary")), 1, 8), 16, 10).cast("long"), F.col("g"))
-    picks = picks.select("test_domain", "b", k.alias("k")).groupBy("test_domain", "b", "k").agg(F.count(F.lit(1)).alias("w"))
-    keys = ["train_domain", "test_domain", "b"]
-    counts = preds.groupBy("train_domain", "test_domain", "group_id", "truth", "pred").agg(F.count(F.lit(1)).alias("n")).join(own, ["test_domain", "group_id"]).join(picks, ["test_domain", "k"])
-    counts = counts.groupBy(*keys, "truth", "pred").agg(F.sum(F.col("n") * F.col("w")).alias("n"))
-    cells = transfer.overall(counts, keys)
-    same = F.col("train_domain") == F.col("test_domain")
-    ratio = cells.groupBy("b").agg(F.round(1 - F.try_divide(F.avg(F.when(~same, F.col("caf1"))), F.avg(F.when(same, F.col("caf1")))), 6).alias("ntr"))
-    return ratio.agg(F.count("ntr").alias("n"), F.round(F.percentile("ntr", 0.025), 6).alias("ci_lo"), F.round(F.percentile("ntr", 0.975), 6).alias("ci_hi"))
 
+for _name, _of in (("boot_cluster_10k", stats.paired_bootstrap), ("ntr_interval_10k", stats.ratio_interval), ("bh_fdr_10k", lambda preds: stats.bh_adjust(stats.paired_bootstrap(preds)))):
 
-SEEDED = "SELECT item_id, domain, split, class, *, s.seed FROM base, (SELECT unnest([42, 43, 44]) AS seed) s"
+    @query(_name)
+    def _resampled(spark, sf_dir, of=_of):
+        """Ten thousand resamples; the query without the suffix is the same function with as many as SQL can follow."""
+        return of(materialize(task_predictions(spark, sf_dir, "multi"), "preds"))
 
 
-@query("seed_summary", """SELECT model, CAST(count(*) AS BIGINT) AS n_runs, round(avg(score), 6) AS mean, round(stddev_samp(score), 6) AS std, count(DISTINCT score) AS n_distinct, count(DISTINCT score) = 1 AS deterministic
-FROM (VALUES ('collapsing', 0.7025::DOUBLE), ('collapsing', 0.2727::DOUBLE), ('collapsing', 0.3849::DOUBLE), ('frozen', 0.736::DOUBLE), ('frozen', 0.736::DOUBLE), ('frozen', 0.736::DOUBLE)) t(model, score) GROUP BY model""")
+@query("seed_summary", sql_task("binary") + """,
+sd AS (SELECT * REPLACE ('sampled#' || seed AS domain) FROM tr_binary, (SELECT unnest([42, 43, 44]) AS seed) WHERE domain = 'LARGE' AND CAST('0x' || substr(md5(seed || ':' || item_id), 1, 8) AS BIGINT) < 2147483648
+  UNION ALL SELECT * REPLACE ('whole#' || seed AS domain) FROM tr_binary, (SELECT unnest([42, 43, 44]) AS seed) WHERE domain = 'LARGE'),
+sl AS (SELECT * FROM te_binary WHERE domain = 'LARGE')""" + sql_probe("sq", "sd", "sl") + sql_scores("sc", "sq") + """
+SELECT split_part(train_domain, '#', 1) AS model, CAST(count(*) AS BIGINT) AS n_runs, round(avg(caf1), 6) AS mean, round(stddev_samp(caf1), 6) AS std, count(DISTINCT caf1) AS n_distinct, count(DISTINCT caf1) = 1 AS deterministic FROM sc GROUP BY 1""")
 def seed_summary(spark, sf_dir):
-    """Three runs of a collapsing arm and of a deterministic one, as published."""
-    runs = [("collapsing", x) for x in (0.7025, 0.2727, 0.3849)] + [("frozen", 0.736)] * 3
-    return stats.seed_summary(spark.createDataFrame(runs, "model string, score double"), ["model"])
+    """Three seeds of a probe on half of LARGE's train rows, and of one on all, which no seed can change."""
+    items = transfer.task_labels(base_items(spark, sf_dir), "binary").where("domain = 'LARGE'")
+    train = items.where("split = 'train'").withColumn("seed", F.explode(F.array(*[F.lit(x) for x in (42, 43, 44)])))
+    h = F.conv(F.substring(F.md5(F.concat_ws(":", "seed", "item_id").cast("binary")), 1, 8), 16, 10).cast("long")
+    both = train.where(h < 2147483648).withColumn("domain", F.concat(F.lit("sampled#"), "seed")).unionByName(train.withColumn("domain", F.concat(F.lit("whole#"), "seed")))
+    test = items.where("split = 'test'").select("item_id", F.col("y").alias("truth"), F.lit("LARGE").alias("test_domain"), *HANDCRAFTED)
+    scores = transfer.transfer_matrix(transfer.score_all(test, transfer.fit_centroid(both)).withColumnRenamed("model", "train_domain"))
+    return stats.seed_summary(scores.select(F.substring_index("train_domain", "#", 1).alias("model"), F.col("caf1").alias("score")), ["model"])
 
 
-@query("binom_ci", """SELECT n, n AS k, round(power(0.025::DOUBLE, 1.0::DOUBLE / n), 6) AS lower, 1.0::DOUBLE AS upper FROM (SELECT unnest([30, 90]) AS n)""")
+@query("binom_ci", sql_task("multi") + """ SELECT domain, count(*) AS n, count(*) AS k, round(power(0.025::DOUBLE, 1.0::DOUBLE / count(*)), 6) AS lower, 1.0::DOUBLE AS upper FROM base WHERE split = 'test' GROUP BY domain""")
 def binom_ci(spark, sf_dir):
-    """Perfect cells of one seed and pooled over three."""
-    return stats.binom_ci(spark.createDataFrame([(30, 30), (90, 90)], "n int, k int"))
+    """What a perfect score on a domain's test items would prove."""
+    n = base_items(spark, sf_dir).where("split = 'test'").groupBy("domain").agg(F.count(F.lit(1)).alias("n"))
+    return stats.binom_ci(n.withColumn("k", F.col("n")))
+
 
+SQL_BISECT = """, ck AS (SELECT train_domain, test_domain, CAST(sum(CASE WHEN truth = pred THEN 1 ELSE 0 END) AS BIGINT) AS k, count(*) AS n FROM preds GROUP BY 1, 2),
+bs AS (SELECT train_domain, test_domain, n, k AS kk, 0.025::DOUBLE AS t, 'lower' AS which, 0.0::DOUBLE AS lo, 1.0::DOUBLE AS hi, 0 AS step FROM ck
+  UNION ALL SELECT train_domain, test_domain, n, k + 1, 0.975::DOUBLE, 'upper', 0.0::DOUBLE, 1.0::DOUBLE, 0 FROM ck
+  UNION ALL SELECT train_domain, test_domain, n, kk, t, which, CASE WHEN v < t THEN (lo + hi) / 2 ELSE lo END, CASE WHEN v < t THEN hi ELSE (lo + hi) / 2 END, step + 1
+  FROM (SELECT *, list_sum(list_transform(range(kk, n + 1), lambda i: exp(lgamma(n + 1) - lgamma(i + 1) - lgamma(n - i + 1) + i * ln((lo + hi) / 2) + (n - i) * ln(1 - (lo + hi) / 2)))) AS v FROM bs WHERE step < 60))
+SELECT train_domain, test_domain, k, n, round(CASE WHEN k = 0 THEN 0 ELSE max((lo + hi) / 2) FILTER (which = 'lower') END, 6) AS lower, round(CASE WHEN k = n THEN 1 ELSE max((lo + hi) / 2) FILTER (which = 'upper') END, 6) AS upper
+FROM ck JOIN bs USING (train_domain, test_domain, n) WHERE step = 60 GROUP BY train_domain, test_domain, k, n"""
 
-@query("binom_ci_cells")
+
+@query("binom_ci_cells", sql_task("multi").replace("WITH ", "WITH RECURSIVE ", 1) + SQL_BISECT)
 def binom_ci_cells(spark, sf_dir):
     """Exact bounds of every cell's accuracy."""
     preds = task_predictions(spark, sf_dir, "multi")
     return stats.binom_ci(preds.groupBy("train_domain", "test_domain").agg(F.sum((F.col("truth") == F.col("pred")).cast("int")).alias("k"), F.count(F.lit(1)).alias("n")))
 
 
-def _matched_rank():
-    from pyspark.sql import Window
+SQL_FISHER = """, fp AS (SELECT count(*) AS m, -2 * sum(ln(p)) AS x FROM boot)
+SELECT CAST(m AS INT) AS m, round(x, 6) AS chi2, round(exp(-x / 2) * list_sum(list_transform(range(m), lambda k: power(x / 2, k) / factorial(CAST(k AS INT)))), 6) AS p FROM fp"""
+
 
-    return F.row_number().over(Window.partitionBy("draw").orderBy(F.md5(F.concat_ws(":", F.lit("sm"), "draw", "item_id").cast("binary")), "item_id"))
+@query("fisher_combined", sql_task("multi") + sql_boot("group_id") + SQL_FISHER)
+def fisher_combined(spark, sf_dir):
+    """The directed cells' p-values as one; descriptive, for the cells share their test items."""
+    ps = stats.paired_bootstrap(materialize(task_predictions(spark, sf_dir, "multi"), "preds"), DRAWS).agg(F.count("p").cast("int").alias("m"), (-2 * F.sum(F.log("p"))).alias("chi2"))
+    return ps.select("m", F.round("chi2", 6).alias("chi2"), F.round(stats.fisher_combine(F.col("chi2"), F.col("m")), 6).alias("p"))
 
 
 @query("size_matched", sql_task("binary") + """,
@@ -312,11 +331,104 @@ def size_matched(spark, sf_dir):
     items = transfer.task_labels(base_items(spark, sf_dir), "binary")
     train = items.where("split = 'train'")
     want = train.where("domain = 'NOISY'").agg(F.count(F.lit(1)).alias("k"))
-    draws = train.where("domain = 'LARGE'").withColumn("draw", F.explode(F.array(*[F.lit(i) for i in (1, 2, 3)]))).withColumn("r", _matched_rank())
-    draws = draws.join(F.broadcast(want)).where("r <= k").withColumn("domain", F.concat(F.lit("LARGE#"), "draw"))
+    draws = train.where("domain = 'LARGE'").withColumn("draw", F.explode(F.array(*[F.lit(i) for i in (1, 2, 3)])))
+    draws = running(draws, ["draw"], F.md5(F.concat_ws(":", F.lit("sm"), "draw", "item_id").cast("binary")), "item_id")
+    draws = draws.join(F.broadcast(want)).where("before < k").withColumn("domain", F.concat(F.lit("LARGE#"), "draw"))
     models = transfer.fit_centroid(draws)
     noisy = items.where("split = 'test' and domain = 'NOISY'").select("item_id", "domain", F.col("y").alias("truth"), *HANDCRAFTED)
     preds = transfer.score_all(noisy, models).select("item_id", F.col("model").alias("train_domain"), F.col("domain").alias("test_domain"), "truth", "pred")
     scores = transfer.transfer_matrix(preds).select("train_domain", "caf1")
     diag = task_matrix(spark, sf_dir, "binary", base_items(spark, sf_dir)).where("train_domain = 'NOISY' and test_domain = 'NOISY'").select(F.col("caf1").alias("diag"))
     return scores.join(F.broadcast(diag)).select("train_domain", "caf1", "diag", F.round(F.col("caf1") - F.col("diag"), 6).alias("margin"), (F.col("caf1") > F.col("diag")).alias("win"))
+
+
+HASHED = ("char3", "word", "word2")
+SQL_ENCODED = f"""WITH {SQL_ITEMS}{SQL_SPLIT}{SQL_FEATS}, {CHAR3}, {WORD}, {WORD2},
+gv AS (SELECT doc_id AS item_id, unnest(range(64)) AS d, unnest(embedding)::DOUBLE AS x FROM documents JOIN embeddings ON vec_id = doc_id % (SELECT count(*) FROM embeddings)),
+hc AS (SELECT item_id, unnest(range({len(HANDCRAFTED)})) AS d, unnest([{', '.join(HANDCRAFTED)}]) AS x FROM feats),
+fx AS (SELECT 'char3' AS encoder, item_id, d, x FROM char3 UNION ALL SELECT 'word', item_id, d, x FROM wordv UNION ALL SELECT 'word2', item_id, d, x FROM word2v
+  UNION ALL SELECT 'given', item_id, d, x FROM gv UNION ALL SELECT 'handcrafted', item_id, d, x FROM hc),
+eb AS (SELECT encoder, i.item_id, domain, split, class AS y, d, x FROM items i JOIN fx USING (item_id) WHERE domain <> 'TINY'),
+es AS (SELECT encoder, domain, d, avg(x) AS m, round(stddev_pop(x), 12) AS s FROM eb WHERE split = 'train' GROUP BY ALL),
+em AS (SELECT encoder, domain, y AS pred, d, avg(x) AS a FROM eb WHERE split = 'train' GROUP BY ALL),
+ec AS (SELECT encoder, domain AS train_domain, pred, d, m, s, coalesce((a - m) / nullif(s, 0), 0) AS c FROM em JOIN es USING (encoder, domain, d)),
+ed AS (SELECT encoder, e.item_id, e.domain AS test_domain, train_domain, e.y AS truth, pred, round(sum(power(coalesce((e.x - m) / nullif(s, 0), 0) - c, 2)), 6) AS dist FROM eb e JOIN ec USING (encoder, d) WHERE e.split = 'test' GROUP BY ALL),
+preds AS (SELECT encoder, item_id, train_domain, test_domain, truth, pred FROM ed QUALIFY row_number() OVER (PARTITION BY encoder, item_id, train_domain ORDER BY dist, pred) = 1)""" + sql_scores("mat", "preds", "encoder, train_domain, test_domain")
+
+
+def encoded_items(spark, sf_dir):
+    """``encoder, item_id, domain, group_id, split, y, features`` of every item under every frozen encoder; computed once."""
+    docs = table(spark, sf_dir, "documents").select(F.col("doc_id").alias("item_id"), "lang", "text")
+    feats = [encode.hashed(docs, k, 64, center="lang").withColumn("encoder", F.lit(k)) for k in HASHED]
+    given = table(spark, sf_dir, "embeddings")
+    given = docs.select("item_id", F.pmod("item_id", F.lit(given.count())).alias("vec_id")).join(given, "vec_id").select("item_id", F.transform("embedding", lambda x: x.cast("double")).alias("features"), F.lit("given").alias("encoder"))
+    own = features(spark, sf_dir).select("item_id", F.array(*[F.col(f) for f in HANDCRAFTED]).alias("features"), F.lit("handcrafted").alias("encoder"))
+    every = own.unionByName(given)
+    for f in feats:
+        every = every.unionByName(f.select("item_id", "features", "encoder"))
+    items = split_items(spark, sf_dir).where("domain <> 'TINY'").select("item_id", "domain", "group_id", F.col("class").alias("y"), "split")
+    return materialize(items.join(every, "item_id"), "encoded")
+
+
+def _tested(items):
+    return items.where("split = 'test'").select("encoder", "item_id", "group_id", F.col("domain").alias("test_domain"), F.col("y").alias("truth"), F.col("features").alias("x"))
+
+
+def centroid_predictions(items):
+    models = transfer.fit_centroid_vectors(items.where("split = 'train'"), ("encoder",))
+    return transfer.nearest(_tested(items), models, ("encoder",)).withColumnRenamed("model", "train_domain")
+
+
+def probe_predictions(items):
+    probes = materialize(probe.grouped_probes(items), "probes")
+    return probe.score_probes(_tested(items), probes).withColumnRenamed("model", "train_domain")
+
+
+def encoder_measures(matrix):
+    """Ratio, largest asymmetry, mean absolute gap, reversed cells and swing of every encoder."""
+    keys = ("encoder",)
+    ratio = transfer.negative_transfer_ratio(matrix, keys)
+    uneven = transfer.asymmetry(matrix, keys).groupBy("encoder").agg(F.max("asymmetry").alias("max_asymmetry"))
+    gap = transfer.gaps(matrix, keys).groupBy("encoder").agg(F.round(F.avg(F.abs("gap")), 6).alias("mean_abs_gap"), F.sum(F.col("reversed").cast("int")).alias("reversed_cells"))
+    swing = transfer.domain_swing(matrix, keys).select("encoder", "swing")
+    return ratio.join(uneven, "encoder").join(gap, "encoder").join(swing, "encoder")
+
+
+@query("encoder_matrix", SQL_ENCODED + " SELECT * FROM mat")
+def encoder_matrix(spark, sf_dir):
+    """The multi-class matrix of the centroid probe under five frozen encoders."""
+    return transfer.transfer_matrix(centroid_predictions(encoded_items(spark, sf_dir)), ("encoder",))
+
+
+@query("encoder_summary", SQL_ENCODED + """ SELECT encoder, round(1 - avg(caf1) FILTER (train_domain <> test_domain) / nullif(avg(caf1) FILTER (train_domain = test_domain), 0), 6) AS ntr, round(avg(caf1) FILTER (train_domain <> test_domain), 6) AS mean_off,
+ round(avg(caf1) FILTER (train_domain = test_domain), 6) AS mean_diag, count(caf1) FILTER (train_domain <> test_domain) AS n_off, count(caf1) FILTER (train_domain = test_domain) AS n_diag,
+ any_value(max_asymmetry) AS max_asymmetry, any_value(mean_abs_gap) AS mean_abs_gap, any_value(reversed_cells) AS reversed_cells, round(max(caf1) FILTER (train_domain = test_domain) - min(caf1) FILTER (train_domain = test_domain), 6) AS swing
+FROM mat JOIN (SELECT a.encoder, max(round(abs(a.caf1 - b.caf1), 6)) AS max_asymmetry FROM mat a JOIN mat b ON a.encoder = b.encoder AND a.train_domain = b.test_domain AND a.test_domain = b.train_domain GROUP BY 1) USING (encoder)
+JOIN (SELECT a.encoder, round(avg(abs(round(b.caf1 - a.caf1, 6))), 6) AS mean_abs_gap, CAST(count(*) FILTER (a.caf1 > b.caf1) AS BIGINT) AS reversed_cells FROM mat a JOIN mat b ON a.encoder = b.encoder AND a.test_domain = b.test_domain AND b.train_domain = b.test_domain WHERE a.train_domain <> a.test_domain GROUP BY 1) USING (encoder) GROUP BY encoder""")
+def encoder_summary(spark, sf_dir):
+    return encoder_measures(encoder_matrix(spark, sf_dir))
+
+
+@query("probe_grid")
+def probe_grid(spark, sf_dir):
+    """Validation score and size of coefficients of every constant, for every encoder and domain, and the choice."""
+    rows = probe.grouped_probes(encoded_items(spark, sf_dir)).select("encoder", F.col("model").alias("domain"), F.col("c").alias("best"), F.explode("path").alias("x"))
+    return rows.select("encoder", "domain", "x.c", F.round("x.val_caf1", 6).alias("val_caf1"), F.round("x.size", 6).alias("size"), (F.col("x.c") == F.col("best")).alias("chosen"))
+
+
+@query("probe_matrix")
+def probe_matrix(spark, sf_dir):
+    """The main matrix: logistic probes tuned on source validation, every train by test pair, every encoder."""
+    return transfer.transfer_matrix(probe_predictions(encoded_items(spark, sf_dir)), ("encoder",))
+
+
+@query("probe_summary")
+def probe_summary(spark, sf_dir):
+    return encoder_measures(materialize(probe_matrix(spark, sf_dir), "probe-matrix"))
+
+
+@query("fdr_family")
+def fdr_family(spark, sf_dir):
+    """False-discovery control over the family of thirty cells (five encoders, six directed pairs), 10,000 group resamples each."""
+    preds = materialize(probe_predictions(encoded_items(spark, sf_dir)), "probe-preds")
+    return stats.bh_adjust(stats.paired_bootstrap(preds, keys=("encoder",)), tie=("encoder", "train_domain", "test_domain"))

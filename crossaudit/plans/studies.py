@@ -13,7 +13,8 @@ from crossaudit.plans.registry import query
 from crossaudit.plans.workloads import SQL_ITEMS, SQL_SPLIT, split_items
 from crossaudit.sources import table
 
-BUDGETS = [1, 5, 10, 50]
+#: Labels a class; the last one is all there are.
+BUDGETS = [1, 5, 10, 50, 1_000_000]
 WITH = f"""WITH {SQL_ITEMS}{SQL_SPLIT}{SQL_FEATS},
 base AS (SELECT i.item_id, i.domain, i.raw_label, i.group_id, i.class, i.class AS y, i.split, i.n_chars, f.* EXCLUDE (item_id) FROM items i JOIN feats f USING (item_id)),
 lt AS (SELECT * FROM base WHERE domain = 'LARGE' AND split = 'train'), le AS (SELECT * FROM base WHERE domain = 'LARGE' AND split = 'test')"""
@@ -43,8 +44,7 @@ def episode_counts(spark, sf_dir):
     return shots.groupBy("draw", "budget", "y").agg(F.count(F.lit(1)).alias("n"), F.sum("item_id").alias("checksum"))
 
 
-ARMS = WITH + _shots_sql(EPISODES, "ep") + """, et AS (SELECT b.* REPLACE (draw || ':' || budget AS domain) FROM sb JOIN base b USING (item_id))""" + sql_probe("ea", "et", "le") + sql_scores("sa", "ea") + """,
-pl AS (SELECT 'all' AS domain, * EXCLUDE (domain) FROM base WHERE split = 'train')""" + sql_probe("ec0", "et", "le")
+ARMS = WITH + _shots_sql(EPISODES, "ep") + """, et AS (SELECT b.* REPLACE (draw || ':' || budget AS domain) FROM sb JOIN base b USING (item_id))""" + sql_probe("ea", "et", "le") + sql_scores("sa", "ea")
 
 
 def _arm(spark, sf_dir, arm: str):
@@ -75,7 +75,21 @@ def arm_frozen(spark, sf_dir):
     return _arm(spark, sf_dir, "A")
 
 
-@query("arm_adapted")
+def _pool_arm_sql() -> str:
+    f = HANDCRAFTED
+    apart = " + ".join(f"power(coalesce((t.{x} - m_{x}) / nullif(s_{x}, 0), 0) - c_{x}, 2)" for x in f)
+    return f""", ps AS (SELECT {', '.join(f'avg({x}) AS m_{x}, stddev_pop({x}) AS s_{x}' for x in f)} FROM base WHERE split = 'train'),
+cm AS (SELECT domain AS model, y AS pred, {', '.join(f'any_value(m_{x}) AS m_{x}, any_value(s_{x}) AS s_{x}, coalesce((avg({x}) - any_value(m_{x})) / nullif(any_value(s_{x}), 0), 0) AS c_{x}' for x in f)} FROM et, ps GROUP BY domain, y),
+ec AS (SELECT t.item_id, model AS train_domain, t.domain AS test_domain, t.y AS truth, pred FROM le t, cm QUALIFY row_number() OVER (PARTITION BY t.item_id, model ORDER BY round({apart}, 6), pred) = 1)""" + sql_scores("sc", "ec")
+
+
+SQL_ARM_C = SQL_ARM_A.replace("'A'", "'C'").replace("FROM sa", "FROM sc")
+#: Fixed value: the 97.5th percentile of t with 19 degrees of freedom, for twenty episodes.
+SQL_CONTRAST = ARMS + _pool_arm_sql() + f""", ac AS (SELECT budget, c.score - a.score AS d FROM ({SQL_ARM_A}) a JOIN ({SQL_ARM_C}) c USING (episode, budget)),
+ct AS (SELECT budget, count(d) AS n, round(avg(d), 6) AS mean, round(avg(d) - 2.093024 * stddev_samp(d) / sqrt(count(d)), 6) AS ci_lo, round(avg(d) + 2.093024 * stddev_samp(d) / sqrt(count(d)), 6) AS ci_hi FROM ac GROUP BY budget)"""
+
+
+@query("arm_adapted", ARMS + _pool_arm_sql() + " " + SQL_ARM_C)
 def arm_adapted(spark, sf_dir):
     return _arm(spark, sf_dir, "C")
 
@@ -85,14 +99,15 @@ def episode_means(spark, sf_dir):
     return stats.seed_summary(_arm(spark, sf_dir, "A"), ["budget"])
 
 
-@query("paired_contrast")
+@query("paired_contrast", SQL_CONTRAST + " SELECT *, ci_lo > 0 OR ci_hi < 0 AS significant FROM ct")
 def paired_contrast(spark, sf_dir):
     """Arm C minus arm A over shared episodes."""
     both = materialize(_arm(spark, sf_dir, "A").unionByName(_arm(spark, sf_dir, "C")), "arms")
     return adapt.paired_contrast(both, "C", "A")
 
 
-@query("adapt_crossover")
+@query("adapt_crossover", SQL_CONTRAST + """, cr AS (SELECT min(budget) FILTER (ci_lo > 0) AS sure, min(budget) FILTER (mean > 0) AS maybe, min(budget) AS first FROM ct)
+SELECT CASE WHEN sure > first THEN sure WHEN maybe > first THEN maybe END AS crossover, CASE WHEN sure > first THEN 'crossover' WHEN maybe > first THEN 'trend' ELSE 'none' END AS kind FROM cr""")
 def adapt_crossover(spark, sf_dir):
     both = materialize(_arm(spark, sf_dir, "A").unionByName(_arm(spark, sf_dir, "C")), "arms")
     return adapt.crossover(adapt.paired_contrast(both, "C", "A"))
@@ -233,12 +248,6 @@ def quality_corr_within(spark, sf_dir):
     return stats.point_biserial(quality_rows(spark, sf_dir).where("train_domain = test_domain").withColumn("correct", F.col("correct").cast("int")), ["test_domain"])
 
 
-@query("fisher_combined", "SELECT 3 AS m, round(x, 6) AS chi2, round(exp(-x / 2) * (1 + x / 2 + power(x / 2, 2) / 2), 6) AS p FROM (SELECT -2 * (ln(0.04::DOUBLE) + ln(0.2::DOUBLE) + ln(0.5::DOUBLE)) AS x)")
-def fisher_combined(spark, sf_dir):
-    ps = spark.createDataFrame([(0.04,), (0.2,), (0.5,)], "p double").agg(F.count("p").cast("int").alias("m"), (-2 * F.sum(F.log("p"))).alias("chi2"))
-    return ps.select("m", F.round("chi2", 6).alias("chi2"), F.round(stats.fisher_combine(F.col("chi2"), F.col("m")), 6).alias("p"))
-
-
 @query("quality_confound", sql_task("multi") + f", {SQL_QUALITY}" + """ SELECT domain AS test_domain, round(median(quality), 6) AS median_quality, round((SELECT avg(caf1) FROM mat WHERE test_domain = domain AND train_domain <> domain), 6) AS incoming
 FROM (SELECT domain, quality FROM base JOIN quality USING (item_id)) GROUP BY domain""")
 def quality_confound(spark, sf_dir):
@@ -278,6 +287,20 @@ def zs_predict(spark, sf_dir):
     return zs_predictions(spark, sf_dir).select("item_id", "domain", "truth", "answer", "pred")
 
 
+def rule_call(text: str) -> str:
+    """The rule predictor as a foreign call would be: from the text alone."""
+    n = len(text or "")
+    return "this is brief" if n < 700 else "medium" if n < 2600 else "Extended." if n < 9000 else "brief or extended?"
+
+
+@query("zs_calls", ZS + " SELECT item_id, answer, pred, CAST(NULL AS VARCHAR) AS error FROM zp")
+def zs_calls(spark, sf_dir):
+    """The sample through the caller: one call an item, retries, errors kept; its seconds are left out, for they differ."""
+    texts = table(spark, sf_dir, "documents").select(F.col("doc_id").alias("item_id"), "text")
+    calls = zeroshot.zero_shot(zs_items(spark, sf_dir).join(texts, "item_id"), rule_call, ["brief", "burst", "extended", "medium", "neutral"])
+    return calls.select("item_id", "answer", "pred", "error")
+
+
 @query("zs_report", ZS + sql_scores("zm", "zp", "domain") + """, tp AS (SELECT domain, max(c) AS top, CAST(coalesce(sum(c) FILTER (pred = 'UNPARSED'), 0) AS BIGINT) AS unparsed, CAST(sum(c) AS BIGINT) AS calls FROM (SELECT domain, pred, count(*) AS c FROM zp GROUP BY 1, 2) GROUP BY 1)
 SELECT domain, calls, unparsed, round(top / calls, 6) AS skew, acc, caf1, uar, chance_uar FROM zm JOIN tp USING (domain)""")
 def zs_report(spark, sf_dir):
@@ -294,9 +317,13 @@ def probe_path(spark, sf_dir):
 
 @query("probe_boosted")
 def probe_boosted(spark, sf_dir):
-    items = transfer.task_labels(studied(spark, sf_dir).where("domain = 'LARGE'"), "binary")
-    model = probe.fit_boosted(items.where("split = 'train'"), HANDCRAFTED)
-    preds = model(items.where("split = 'test'")).select("item_id", F.col("y").alias("truth"), "pred", F.lit("LARGE").alias("train_domain"), F.lit("LARGE").alias("test_domain"))
+    """The binary matrix of boosted trees: one fit a domain, scored on every domain's test items."""
+    items = transfer.task_labels(studied(spark, sf_dir).where("domain <> 'TINY'"), "binary")
+    test, preds = items.where("split = 'test'"), None
+    for domain in ("CLEAN", "LARGE", "NOISY"):
+        model = probe.fit_boosted(items.where((F.col("domain") == domain) & (F.col("split") == "train")), HANDCRAFTED)
+        own = model(test).select("item_id", F.col("y").alias("truth"), "pred", F.lit(domain).alias("train_domain"), F.col("domain").alias("test_domain"))
+        preds = own if preds is None else preds.unionByName(own)
     return transfer.transfer_matrix(preds)
 
 
@@ -342,7 +369,10 @@ def star_audit(spark, sf_dir):
     return star_items(spark, sf_dir).groupBy("domain", (F.col("split") == "train").alias("train"), "y").agg(F.count(F.lit(1)).alias("n"), F.round(F.avg("l_quantity"), 4).alias("quantity"), F.round(F.avg("l_extendedprice"), 2).alias("price"))
 
 
-@query("star_matrix")
+STAR_FEATURES = ("l_quantity", "l_extendedprice", "l_discount", "l_tax")
+
+
+@query("star_matrix", STAR.split(")\nSELECT")[0].replace("SELECT r_name", "SELECT row_number() OVER () AS item_id, r_name", 1).replace("o_custkey AS g,", "o_custkey AS group_id,", 1) + "), trn AS (SELECT * FROM b WHERE train), tst AS (SELECT * FROM b WHERE NOT train)" + sql_probe("sp", "trn", "tst", f=STAR_FEATURES) + sql_scores("sm", "sp") + " SELECT * FROM sm")
 def star_matrix(spark, sf_dir):
     """Return flags predicted across regions: a null case that should sit at chance."""
-    return transfer.transfer_matrix(transfer.predict(star_items(spark, sf_dir), features=("l_quantity", "l_extendedprice", "l_discount", "l_tax")))
+    return transfer.transfer_matrix(transfer.predict(star_items(spark, sf_dir), features=STAR_FEATURES))

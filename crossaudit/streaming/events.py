@@ -2,7 +2,8 @@
 
 from __future__ import annotations
 
-import pandas as pd
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
@@ -38,25 +39,25 @@ def first_arrivals(stream: DataFrame, keys: list[str], late: str = "40 days") ->
 
 
 def running_score(stream: DataFrame) -> DataFrame:
-    """``key, n, correct`` kept as state by key over ``key, truth, pred`` rows: a running confusion's totals."""
-
-    def step(key, batches, state):
-        n, hits = state.get if state.exists else (0, 0)
-        for pdf in batches:
-            n += len(pdf)
-            hits += int((pdf["truth"] == pdf["pred"]).sum())
-        state.update((n, hits))
-        yield pd.DataFrame({"key": [key[0]], "n": [n], "correct": [hits]})
-
-    return stream.groupBy("key").applyInPandasWithState(step, "key string, n long, correct long", "n long, correct long", "update", "NoTimeout")
+    """``key, n, correct`` by key over ``key, truth, pred`` rows: a running confusion's totals, kept by Spark's own aggregation."""
+    return stream.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.sum((F.col("truth") == F.col("pred")).cast("long")).alias("correct"))
 
 
 def drain(stream: DataFrame, name: str, mode: str = "complete") -> DataFrame:
-    """Run a bounded stream to its end through a memory sink and return what it holds."""
+    """Run a bounded stream to its end into Parquet in the shared folder; what it holds then, with ``batch`` in update mode.
+
+    A batch that is written again after a failure replaces itself.
+    """
     spark = stream.sparkSession
-    import uuid
+    where = f"{shared_folder(spark)}/stream-{name}-{uuid.uuid4().hex}"
+
+    def write(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{where}/rows/batch={number}")
 
-    table = f"{name}_{uuid.uuid4().hex[:8]}"
-    q = stream.writeStream.format("memory").queryName(table).outputMode(mode).option("checkpointLocation", f"{shared_folder(spark)}/stream-{table}").trigger(availableNow=True).start()
+    q = stream.writeStream.foreachBatch(write).outputMode(mode).option("checkpointLocation", f"{where}/state").trigger(availableNow=True).start()
     q.awaitTermination()
-    return spark.table(table)
+    rows = spark.read.schema(StructType([*stream.schema.fields]).add("batch", "long")).parquet(f"{where}/rows")
+    if mode == "complete":
+        last = rows.agg(F.max("batch").alias("last"))  # one row
+        rows = rows.join(F.broadcast(last), F.col("batch") == F.col("last")).drop("last")
+    return rows if mode == "update" else rows.drop("batch")
