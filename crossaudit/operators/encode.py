@@ -45,7 +45,7 @@ def _words(texts: pa.Array) -> tuple[np.ndarray, np.ndarray, list[str]]:
     parts = pc.split_pattern_regex(pc.utf8_lower(pc.fill_null(texts, "").cast(pa.large_string())), r"[^\p{L}0-9]+")
     coded = pc.list_flatten(parts).dictionary_encode()
     names = coded.dictionary.to_pylist()
-    codes = coded.indices.to_numpy()
+    codes = coded.indices.to_numpy().astype(np.int64)
     row = np.repeat(np.arange(len(texts)), np.diff(np.asarray(parts.offsets)))
     real = np.array([w != "" for w in names], bool)[codes] if len(codes) else np.zeros(0, bool)
     return row[real], codes[real], names

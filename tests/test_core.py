@@ -5,7 +5,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from crossaudit.operators import adapt, dedup, neardup, ontology, stats, transfer
+from crossaudit.operators import adapt, dedup, encode, neardup, ontology, probe, ranks, stats, transfer, zeroshot
 from crossaudit.operators.components import connected_components
 
 MATRIX = "train_domain string, test_domain string, caf1 double"
@@ -122,6 +122,105 @@ def test_fisher_tail_against_integration(spark):
     assert got == pytest.approx(tail, rel=1e-6)
 
 
+def probe_rows(spark, shift=1.5):
+    rng = np.random.default_rng(4)
+    rows = []
+    for i in range(400):
+        y = "abc"[i % 3]
+        x = rng.normal(size=4) + shift * np.eye(4)[i % 3]
+        rows.append(("e", i, "AB"[i % 2], f"g{i // 4}", ("train", "train", "val", "test")[i // 2 % 4], y, x.tolist()))
+    return spark.createDataFrame(rows, "encoder string, item_id long, domain string, group_id string, split string, y string, features array<double>")
+
+
+def test_logistic_solver_reaches_the_minimum():
+    rng = np.random.default_rng(5)
+    for classes in (2, 3):
+        x, y = rng.normal(size=(90, 3)), rng.integers(0, classes, 90)
+        weight = (len(y) / (classes * np.bincount(y)))[y]
+
+        def loss(w, c=0.5, x=x, y=y, weight=weight, classes=classes):
+            z = x @ w[:, :-1].T + w[:, -1]
+            z = z - z.max(axis=1, keepdims=True)
+            own = (w[1:] if classes == 2 else w)[:, :-1]
+            return 0.5 * (own**2).sum() - c * (weight * (z[np.arange(len(y)), y] - np.log(np.exp(z).sum(axis=1)))).sum()
+
+        w = probe.solve_logistic(x, y, weight, classes, 0.5)
+        best = loss(w)
+        for _ in range(200):
+            step = rng.normal(size=w.shape) * 1e-3
+            if classes == 2:
+                step[0] = 0
+            assert loss(w + step) >= best - 1e-9
+
+
+def test_grid_reaches_the_probes_and_they_learn(spark):
+    rows = probe_rows(spark)
+    got = probe.grouped_probes(rows).collect()
+    assert {r["model"] for r in got} == {"A", "B"}
+    for r in got:
+        sizes = [round(p["size"], 9) for p in r["path"]]
+        probe.assert_grid_effect([(p["c"], p["val_caf1"], [p["size"]]) for p in r["path"]])
+        assert sizes == sorted(sizes) and r["val_caf1"] == max(p["val_caf1"] for p in r["path"])
+    test = rows.where("split = 'test'").select("encoder", "item_id", F.col("y").alias("truth"), F.col("features").alias("x"))
+    preds = probe.score_probes(test, probe.grouped_probes(rows)).collect()
+    assert len(preds) == 2 * test.count() and np.mean([r["truth"] == r["pred"] for r in preds]) > 0.7
+    one = probe.grouped_probes(rows.where("y = 'a'")).collect()
+    assert all([c["pred"] for c in r["classes"]] == ["a"] for r in one)
+
+
+def test_two_level_sums_equal_one_order(spark):
+    import hashlib
+
+    rows = [(k, i, i % 5) for k in "xy" for i in range(300)]
+    frame = spark.createDataFrame(rows, "k string, i long, v long")
+    got = {(r["k"], r["i"]): (r["before"], r["total"]) for r in ranks.running(frame, ["k"], F.md5(F.col("i").cast("string").cast("binary")), "i", F.col("v"), digits=1).collect()}
+    for k in "xy":
+        order, before = sorted(range(300), key=lambda i: (hashlib.md5(str(i).encode()).hexdigest(), i)), 0
+        for i in order:
+            assert got[k, i] == (before, sum(j % 5 for j in range(300)))
+            before += i % 5
+
+
+def test_row_local_grams_and_fingerprints(spark):
+    import hashlib
+    import random
+
+    import regex
+
+    rng = random.Random(6)
+    texts = ["".join(rng.choice("ab\u00e9 \n.\U0001f600X") for _ in range(rng.randint(0, 60))) for _ in range(60)] + [None, "", "one", "a b"]
+    docs = spark.createDataFrame(list(enumerate(texts)), "item_id long, text string")
+    words = [[w for w in regex.split(r"[^\p{L}0-9]+", (t or "").lower()) if w] for t in texts]
+    kinds = {
+        "char3": [[t[i : i + 3] for i in range(len(t) - 2)] or [t] for t in (x or "" for x in texts)],
+        "word": words,
+        "word2": [[" ".join(w[i : i + 2]) for i in range(max(1, len(w) - 1))] if w else [] for w in words],
+    }
+    for kind, grams in kinds.items():
+        got = {r["item_id"]: r["features"] for r in encode.hashed(docs, kind, 16).collect()}
+        assert set(got) == {i for i, g in enumerate(grams) if g}
+        for i, g in enumerate(grams):
+            if g:
+                n = np.bincount([int(hashlib.md5(x.encode()).hexdigest()[:4], 16) % 16 for x in g], minlength=16)
+                assert got[i] == pytest.approx((n / np.linalg.norm(n)).tolist())
+    prints = {r["item_id"]: (r["hi"] << 32) | r["lo"] for r in neardup.simhash(docs).collect()}
+    for i, own in enumerate(words):
+        codes = [int(hashlib.md5(w.encode()).hexdigest()[:16], 16) for w in own]
+        assert prints[i] == sum(1 << k for k in range(64) if sum(1 if c >> k & 1 else -1 for c in codes) > 0)
+
+
+def test_calls_that_fail_keep_their_error(spark):
+    def predict(text):
+        if text == "bad":
+            raise ValueError("no answer")
+        return "it is brief"
+
+    items = spark.createDataFrame([(1, "fine"), (2, "bad")], "item_id long, text string")
+    got = {r["item_id"]: r for r in zeroshot.zero_shot(items, predict, ["brief", "medium"], parallel=1, tries=2).collect()}
+    assert got[1]["pred"] == "brief" and got[1]["error"] is None
+    assert got[2]["pred"] == zeroshot.UNPARSED and got[2]["error"] == "ValueError: no answer"
+
+
 def test_entry_imports():
     import __spark_entry__ as e
 
