@@ -51,6 +51,9 @@ _SUBST, _OPEN, _DROP, _SPLIT, _SECOND, _ONCE, _GLUE = (math.log(x) for x in (0.2
 
 _RUN = re.compile(r"(.)\1*", re.S)
 _PLAIN = re.compile(r"[^\W\d_]+\Z")
+_LETTERS = re.compile(r"[^\W\d_]+")
+#: Where a word may end inside a lattice: at white space or a sign that may be one.
+_BREAKS = re.compile("[" + re.escape("".join(c for c in BETWEEN if c not in HIDES)) + "*#\\s]+")
 _DOUBLED = re.compile(r"([^\W\d_])\1")
 
 
@@ -62,10 +65,19 @@ class CharacterModel:
     known: frozenset[str] = frozenset()
     letters: list[str] = field(default_factory=list)
     memo: dict[str, float] = field(default_factory=dict)
+    table: np.ndarray | None = None
 
     def __post_init__(self):
         self.total = sum(n for g, n in self.counts.items() if len(g) == 1) or 1.0
         self.letters = sorted(g for g in self.counts if len(g) == 1 and g.isalpha())
+        self.place = {c: i for i, c in enumerate(self.letters)}
+
+    def dense(self) -> np.ndarray:
+        """Log probabilities of every letter after every two letters."""
+        if self.table is None:
+            x = self.letters
+            self.table = np.array([[[self.log(a, b, c) for c in x] for b in x] for a in x]).reshape(len(x), len(x), len(x))
+        return self.table
 
     def log(self, a: str, b: str, c: str) -> float:
         """Log probability of ``c`` after ``ab``."""
@@ -134,24 +146,52 @@ def path_score(steps: list[str], model: CharacterModel) -> float:
     return total + (model.log(a, b, "$") if b != "^" else 0.0)
 
 
+def _step(scores: dict, options: list[tuple[str, float]], model: CharacterModel) -> tuple[dict, dict]:
+    """Best score of each state after one more step, and the state and option that it came from."""
+    grown, came = {}, {}
+    for state, score in scores.items():
+        for x, cost in options:
+            (a, b), s = state, score + cost
+            for c in x:
+                if c == " ":
+                    s += model.log(a, b, "$") if b != "^" else 0.0
+                    a = b = "^"
+                else:
+                    s += model.log(a, b, c)
+                    a, b = b, c
+            if (a, b) not in grown or s >= grown[a, b]:
+                grown[a, b], came[a, b] = s, (state, x)
+    return grown, came
+
+
+def _hidden_step(scores: dict, options: list[tuple[str, float]], model: CharacterModel) -> tuple[dict, dict]:
+    """`_step` for a hidden sign (nothing or any letter) from many states: those of two letters all at once."""
+    at, letters = model.place, model.letters
+    grid = np.full((len(letters), len(letters)), -np.inf)
+    rest = {}
+    for (a, b), s in scores.items():
+        if a in at and b in at:
+            grid[at[a], at[b]] = s
+        else:
+            rest[a, b] = s
+    grown, came = _step(rest, options, model)
+    reached = grid[:, :, None] + model.dense()
+    source, best, stay = reached.argmax(axis=0), reached.max(axis=0) + options[1][1], grid + options[0][1]
+    value = np.maximum(best, stay)
+    for i, j in zip(*(x.tolist() for x in np.nonzero(value > -np.inf)), strict=True):
+        state, s = (letters[i], letters[j]), float(value[i, j])
+        if state not in grown or s >= grown[state]:
+            grown[state] = s
+            came[state] = (state, "") if stay[i, j] > best[i, j] else ((letters[source[i, j]], letters[i]), letters[j])
+    return grown, came
+
+
 def viterbi(steps: list[list[tuple[str, float]]], model: CharacterModel) -> str:
     """What the likeliest path spells; a state is the last two letters of the word so far. Ties go to the later option."""
     scores, back = {("^", "^"): 0.0}, []
     for options in steps:
-        grown, came = {}, {}
-        for state, score in scores.items():
-            for x, cost in options:
-                (a, b), s = state, score + cost
-                for c in x:
-                    if c == " ":
-                        s += model.log(a, b, "$") if b != "^" else 0.0
-                        a = b = "^"
-                    else:
-                        s += model.log(a, b, c)
-                        a, b = b, c
-                if (a, b) not in grown or s >= grown[a, b]:
-                    grown[a, b], came[a, b] = s, (state, x)
-        scores = grown
+        hidden = len(options) > len(model.letters) > 0 and len(scores) > 20
+        scores, came = (_hidden_step if hidden else _step)(scores, options, model)
         back.append(came)
     state = max(scores, key=lambda k: scores[k] + (model.log(*k, "$") if k[1] != "^" else 0.0))
     out = []
@@ -203,12 +243,22 @@ class Restorer:
         self.characters, self.words = characters, words
         squeezed = sorted({_squeezed(w) for w in words})
         self.near = re.compile("|".join(map(re.escape, squeezed))) if squeezed else None
+        self.all = "\n".join(squeezed)
         self.kept = Memo(_KEPT_BYTES)
 
     def found(self, text: str) -> tuple[int, ...]:
-        """Features among the restored words. Letters alone can only restore to what they spell but for repetition."""
+        """Features among the restored words.
+
+        A lattice never drops a letter: letters alone can only restore to what they spell but for repetition, and a word with a stretch of letters
+        that no feature has is none. So most texts need no decoding.
+        """
         plain = text.replace(" ", "")
-        if self.near is None or (_PLAIN.match(plain) and not self.near.search(_squeezed(plain))):
+        if self.near is None:
+            return ()
+        if _PLAIN.match(plain):
+            if not self.near.search(_squeezed(plain)):
+                return ()
+        elif not any(_squeezed(x) in self.all for x in _LETTERS.findall(text)) and all(_LETTERS.search(x) for x in _BREAKS.split(text) if x):
             return ()
         return tuple({self.words[w] for w in restore(text, self.characters).split() if w in self.words})
 

@@ -325,7 +325,7 @@ def best_path(text, model):
 
 def test_viterbi_against_all_paths():
     model, rng = small_characters(), random.Random(11)
-    asked = ["".join(rng.choice("idotl013s$.! a") for _ in range(rng.randint(2, 8))) for _ in range(250)] + ["id*t", "l0*er"]
+    asked = ["".join(rng.choice("idotl013s$.! a") for _ in range(rng.randint(2, 8))) for _ in range(250)] + ["id*t", "l0*er", "**t", "i***", "*o**"]
     for text in asked:
         if any(map(toxicity.core_of, text.split())):
             cores = [c for c in map(toxicity.core_of, text.split()) if c]
