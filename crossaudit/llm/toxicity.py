@@ -35,7 +35,7 @@ PARTS = 1_000_000
 KNOWN = {1: 1e-3, 2: 2e-5, 3: 2e-5}
 #: Hidden letters in a row; a longer run of such signs is a separator.
 HIDDEN = 8
-_KEPT_BYTES, _TEXTS = 60_000_000, 2000
+_KEPT_BYTES, _TEXTS = 150_000_000, 2000
 
 #: Letters that a digit or sign is commonly written for.
 STANDS_FOR = {
@@ -51,6 +51,8 @@ _SUBST, _OPEN, _DROP, _SPLIT, _SECOND, _ONCE, _GLUE = (math.log(x) for x in (0.2
 
 _RUN = re.compile(r"(.)\1*", re.S)
 _PLAIN = re.compile(r"[^\W\d_]+\Z")
+#: Signs that are stripped from the ends of a token at once.
+_SIGNS = ".,;:?\"'`)[]{}<>~-_/\\&%=^"
 _LETTERS = re.compile(r"[^\W\d_]+")
 #: Where a word may end inside a lattice: at white space or a sign that may be one.
 _BREAKS = re.compile("[" + re.escape("".join(c for c in BETWEEN if c not in HIDES)) + "*#\\s]+")
@@ -95,6 +97,7 @@ class CharacterModel:
 
 def core_of(token: str) -> str:
     """A lower-case token without the signs around it that stand for no letter."""
+    token = token.strip(_SIGNS)
     a, b = 0, len(token)
     while a < b and not (token[a].isalnum() or token[a] in STANDS_FOR or token[a] in HIDES):
         a += 1
@@ -233,7 +236,7 @@ class Toxicity:
 
 
 def _squeezed(word: str) -> str:
-    return _RUN.sub(r"\1", word)
+    return _RUN.sub(r"\1", word) if _DOUBLED.search(word) else word
 
 
 class Restorer:
@@ -262,11 +265,16 @@ class Restorer:
             return ()
         return tuple({self.words[w] for w in restore(text, self.characters).split() if w in self.words})
 
-    def token(self, token: str) -> tuple[tuple[int, ...], int]:
+    def token(self, token: str) -> tuple[tuple[int, ...], int, int]:
+        """Features of a token, its `piece_kind` and the length of its core."""
         got = self.kept.get(token)
         if got is None:
-            got = (self.found(token), piece_kind(token, self.characters.known))
-            self.kept.add(token, got, 100)
+            core = core_of(token)
+            if len(core) > 3 and core.isalpha() and not _DOUBLED.search(core):
+                got = ((self.words[core],) if core in self.words else (), 0, len(core))
+            else:
+                got = (self.found(token), piece_kind(token, self.characters.known), len(core))
+            self.kept.add(token, got, 50)
         return got
 
     def run(self, text: str) -> tuple[int, ...]:
@@ -287,10 +295,10 @@ class Restorer:
         codes = coded.indices.to_numpy()
         doc = np.repeat(np.arange(len(texts)), np.diff(np.asarray(words.offsets)))
         pairs = [(-1, -1)]
-        some = np.fromiter((bool(f) for f, _ in told), bool, len(told))
+        some = np.fromiter((bool(t[0]) for t in told), bool, len(told))
         for k in np.flatnonzero(some[codes]).tolist():
             pairs += [(doc[k], f) for f in told[codes[k]][0]]
-        for a, b in joined_runs(np.fromiter((k for _, k in told), np.int8, len(told))[codes], np.fromiter((len(core_of(w)) for w in names), np.int64, len(names))[codes], doc):
+        for a, b in joined_runs(np.fromiter((t[1] for t in told), np.int8, len(told))[codes], np.fromiter((t[2] for t in told), np.int64, len(told))[codes], doc):
             pairs += [(doc[a], f) for f in self.run(" ".join(names[c] for c in codes[a:b]))]
         both = np.unique(np.array(pairs, np.int64), axis=0)[1:]
         return both[:, 0], both[:, 1]
