@@ -5,7 +5,7 @@ Every line of a text and every block of lines between blank ones (a wrapped head
 its words, with document frequencies counted over all files; the best template at or above a cosine threshold names the file's
 licence. Whole texts are read and nothing gates them but an exact bound: a vector's norm is at least what its template words and one
 for each other word make of it, so only those whose cosine may reach the threshold get their exact norm. A licence file speaks for its
-directory: by its name, or because at least half of its words stand in lines or blocks that match. Files without a licence of their own take
+directory: by its name, or because at least half of its words are words of templates in lines or blocks that match. Files without a licence of their own take
 that of the nearest ancestor directory that has one. Directories are resolved once each, by joining their ancestor paths, before files look theirs up.
 """
 
@@ -96,7 +96,8 @@ def _idf(rows: DataFrame, files: int) -> DataFrame:
 
 
 def matches(files: DataFrame, near: float = NEAR) -> DataFrame:
-    """``path, h, block, line, unit_words, template, licence, similarity`` of lines and blocks (line -1) as near as that to a template.
+    """``path, h, block, line, unit_words, template, licence, similarity`` of lines and blocks (line -1) as near as that to a template;
+    ``unit_words`` are those of its words that templates have.
 
     Null and empty texts have none; rows that share a path and a text are one file with its words twice, which changes no cosine.
     """
@@ -114,7 +115,7 @@ def matches(files: DataFrame, near: float = NEAR) -> DataFrame:
     least = vectors.groupBy(*_UNIT, "unit_words").agg(F.sum(F.col("x") * F.col("x")).alias("t"), F.sum("n").alias("m"))
     dots = vectors.join(weights, "word").groupBy(*_UNIT, "template", "licence").agg(F.sum(F.col("x") * F.col("weight")).alias("dot"))
     maybe = dots.join(least, list(_UNIT)).where(F.col("dot") >= F.lit(near - 1e-6) * F.sqrt(F.col("t") + F.col("unit_words") - F.col("m")))
-    maybe = materialize(maybe.select(*_UNIT, "unit_words", "template", "licence", "dot"), "licence-maybe")
+    maybe = materialize(maybe.select(*_UNIT, F.col("m").alias("unit_words"), "template", "licence", "dot"), "licence-maybe")
     # the exact norms of what is left, with the frequencies of all their words
     again = only_needed(maybe.select("h"), files, F.xxhash64("text"))
     every = materialize(_counted(_words(again)).join(maybe.select(*_UNIT).distinct(), list(_UNIT), "left_semi"), "licence-every")
@@ -131,7 +132,7 @@ def best_templates(found: DataFrame) -> DataFrame:
 
 
 def licence_files(files: DataFrame, found: DataFrame) -> DataFrame:
-    """``path`` of files that speak for their directory: by name, or with half of their words in lines or blocks that match."""
+    """``path`` of files that speak for their directory: by name, or if half of their words are words of templates in lines or blocks that match."""
     unit = found.select(*_UNIT, "unit_words").distinct()
     words = unit.groupBy("path").agg(F.greatest(F.sum(F.when(F.col("line") >= 0, F.col("unit_words")).otherwise(0)), F.sum(F.when(F.col("line") < 0, F.col("unit_words")).otherwise(0))).alias("matched"))
     own = only_needed(found.select("h"), files.select("path", "text"), F.xxhash64("text")).dropDuplicates(["path", "text"])
@@ -204,7 +205,7 @@ w AS (SELECT path, block, line, n_lines, unnest(list_filter(regexp_extract_all(l
 c AS (SELECT path, block, line, word, count(*) AS n FROM w GROUP BY ALL UNION ALL SELECT path, block, -1, word, count(*) FROM w WHERE n_lines > 1 GROUP BY path, block, word),
 i AS (SELECT word, ln((1.0::DOUBLE + (SELECT count(DISTINCT path) FROM d)) / (1 + count(DISTINCT path))) + 1 AS idf FROM w GROUP BY word),
 v AS (SELECT {unit}, word, n, n * idf AS x FROM c JOIN i USING (word)),
-n AS (SELECT {unit}, sqrt(sum(x * x)) AS norm, sum(n) AS unit_words FROM v GROUP BY {unit}),
+n AS (SELECT {unit}, sqrt(sum(x * x)) AS norm, sum(n) FILTER (word IN (SELECT word FROM t)) AS unit_words FROM v GROUP BY {unit}),
 tx AS (SELECT template, licence, word, tn * idf AS x FROM t JOIN i USING (word)),
 tw AS (SELECT template, licence, word, x / sqrt(sum(x * x) OVER (PARTITION BY template)) AS weight FROM tx),
 q AS (SELECT {unit}, template, licence, sum(x * weight) AS dot FROM v JOIN tw USING (word) GROUP BY {unit}, template, licence),
