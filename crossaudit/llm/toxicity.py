@@ -204,15 +204,56 @@ def viterbi(steps: list[list[tuple[str, float]]], model: CharacterModel) -> str:
     return "".join(reversed(out))
 
 
+def _lattice_of(cores: list[str], letters: list[str]) -> list[list[tuple[str, float]]]:
+    """Lattice of one core or several whose spaces may be noise."""
+    steps: list[list[tuple[str, float]]] = []
+    for core in cores:
+        steps += [[("", _GLUE), (" ", 0.0)]] * bool(steps) + (lattice(core, letters) if disguised(core) or len(core) == 1 else [[(c, 0.0)] for c in core])
+    return steps
+
+
 def restore(text: str, model: CharacterModel) -> str:
     """Likeliest plain words behind one lower-case token, or several whose spaces may be noise."""
     cores = [c for c in map(core_of, text.split()) if c]
     if len(cores) == 1 and not disguised(text):
         return cores[0]
-    steps: list[list[tuple[str, float]]] = []
-    for core in cores:
-        steps += [[("", _GLUE), (" ", 0.0)]] * bool(steps) + (lattice(core, model.letters) if disguised(core) or len(core) == 1 else [[(c, 0.0)] for c in core])
-    return " ".join(viterbi(steps, model).split())
+    return " ".join(viterbi(_lattice_of(cores, model.letters), model).split())
+
+
+def prefix_tree(words) -> dict:
+    """Words as nested dictionaries by character; the key ``""`` marks a word's end."""
+    root: dict = {}
+    for w in words:
+        node = root
+        for c in w:
+            node = node.setdefault(c, {})
+        node[""] = {}
+    return root
+
+
+def spells(steps: list[list[tuple[str, float]]], root: dict, letters: int) -> bool:
+    """Whether some path of a lattice spells a word of the prefix tree between two word ends; a step of more than ``letters`` options is any letter or nothing."""
+    live = {id(root): root}
+    for options in steps:
+        grown = {}
+        if len(options) > letters > 0:
+            grown = live | {id(kid): kid for n in live.values() for c, kid in n.items() if c}
+        else:
+            for x, _ in options:
+                if x == " ":
+                    if any("" in n for n in live.values()):
+                        return True
+                    grown[id(root)] = root
+                else:
+                    for node in live.values():
+                        for c in x:
+                            node = node.get(c)
+                            if node is None:
+                                break
+                        else:
+                            grown[id(node)] = node
+        live = grown
+    return any("" in n for n in live.values())
 
 
 def piece_kind(token: str, known: frozenset[str]) -> int:
@@ -247,13 +288,14 @@ class Restorer:
         squeezed = sorted({_squeezed(w) for w in words})
         self.near = re.compile("|".join(map(re.escape, squeezed))) if squeezed else None
         self.all = "\n".join(squeezed)
+        self.tree = prefix_tree(words)
         self.kept = Memo(_KEPT_BYTES)
 
     def found(self, text: str) -> tuple[int, ...]:
         """Features among the restored words.
 
         A lattice never drops a letter: letters alone can only restore to what they spell but for repetition, and a word with a stretch of letters
-        that no feature has is none. So most texts need no decoding.
+        that no feature has is none. Of the rest only those are decoded whose lattice has a path that spells a feature.
         """
         plain = text.replace(" ", "")
         if self.near is None:
@@ -263,7 +305,13 @@ class Restorer:
                 return ()
         elif not any(_squeezed(x) in self.all for x in _LETTERS.findall(text)) and all(_LETTERS.search(x) for x in _BREAKS.split(text) if x):
             return ()
-        return tuple({self.words[w] for w in restore(text, self.characters).split() if w in self.words})
+        cores = [c for c in map(core_of, text.split()) if c]
+        if len(cores) == 1 and not disguised(text):
+            return (self.words[cores[0]],) if cores[0] in self.words else ()
+        steps = _lattice_of(cores, self.characters.letters)
+        if not spells(steps, self.tree, len(self.characters.letters)):
+            return ()
+        return tuple({self.words[w] for w in viterbi(steps, self.characters).split() if w in self.words})
 
     def token(self, token: str) -> tuple[tuple[int, ...], int, int]:
         """Features of a token, its `piece_kind` and the length of its core."""

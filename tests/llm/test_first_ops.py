@@ -333,6 +333,21 @@ def test_viterbi_against_all_paths():
                 assert toxicity.restore(text, model) in best_path(text, model), text
 
 
+def test_spelled_words_against_all_paths():
+    import itertools
+
+    model, rng = small_characters(), random.Random(13)
+    words = ["idiot", "loser", "off", "too"]
+    tree, hits = toxicity.prefix_tree(words), 0
+    pool = [*"idotlsers013$.! f", "off", "l0s", "too", " i d", "er"]
+    for text in ["".join(rng.choice(pool) for _ in range(rng.randint(2, 7))) for _ in range(300)] + ["id*ot", "o*f", "t**", "**o", "x.off", "off/x", "xoff", "", "loser"]:
+        steps = toxicity._lattice_of([c for c in map(toxicity.core_of, text.split()) if c], model.letters)
+        spelled = any(w in words for path in itertools.product(*([x for x, _ in s] for s in steps)) for w in "".join(path).split(" "))
+        assert toxicity.spells(steps, tree, len(model.letters)) == spelled, text
+        hits += spelled
+    assert hits > 10
+
+
 def test_features_against_token_by_token():
     model, rng = small_characters(), random.Random(12)
     words = {"idiot": 0, "loser": 1, "off": 2}
