@@ -68,11 +68,15 @@ def template_words() -> list[tuple[int, str, str, int]]:
 _UNIT = ("path", "h", "block", "line")
 
 
+def _found(lines: Column) -> Column:
+    """Words that have weight, in order."""
+    return F.filter(F.regexp_extract_all(lines, F.lit(f"({WORD})"), 1), lambda w: ~w.isin(*STOP))
+
+
 def units(files: DataFrame) -> DataFrame:
     """``path, h, block, n_lines, block_words, line, words`` of every line; ``h`` tells texts of one path apart."""
-    found = lambda x: F.filter(F.regexp_extract_all(x, F.lit(f"({WORD})"), 1), lambda w: ~w.isin(*STOP))
     rows = files.select("path", F.xxhash64("text").alias("h"), F.posexplode(F.split(F.lower("text"), BLANK)).alias("block", "body"))
-    rows = rows.select("path", "h", "block", F.transform(F.split("body", "\n"), found).alias("lines"))
+    rows = rows.select("path", "h", "block", F.transform(F.split("body", "\n"), _found).alias("lines"))
     total = F.aggregate("lines", F.lit(0), lambda s, x: s + F.size(x))
     return rows.select("path", "h", "block", F.size("lines").alias("n_lines"), total.alias("block_words"), F.posexplode("lines").alias("line", "words"))
 
@@ -89,10 +93,24 @@ def _words(files: DataFrame) -> DataFrame:
     return units(files).select("path", "h", "block", "line", "n_lines", F.size("words").alias("line_words"), "block_words", F.explode("words").alias("word"))
 
 
-def _idf(rows: DataFrame, files: int) -> DataFrame:
-    """``word, idf`` from rows with ``path, word`` over ``files`` files."""
-    seen = rows.select("path", "word").distinct().groupBy("word").agg(F.count(F.lit(1)).alias("df"))
-    return seen.select("word", (F.log(F.lit(1.0 + files) / (1 + F.col("df"))) + 1).alias("idf"))
+def frequencies(files: DataFrame) -> DataFrame:
+    """``word, df``: the number of paths with the word in any of their texts, for every word of the corpus.
+
+    A row's words are told apart within the row, so what is shuffled is combined by word; where rows share a path, what is
+    counted twice is taken off again.
+    """
+    own = F.array_distinct(_found(F.lower("text")))
+    df = files.select(F.explode(own).alias("word")).groupBy("word").agg(F.count(F.lit(1)).alias("df"))
+    shared = materialize(files.groupBy("path").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("path"), "licence-shared")
+    if not shared.isEmpty():
+        again = only_needed(shared, files, F.col("path")).select("path", F.explode(own).alias("word")).groupBy("path", "word").agg(F.count(F.lit(1)).alias("n"))
+        df = df.unionByName(again.where("n > 1").groupBy("word").agg((-F.sum(F.col("n") - 1)).alias("df"))).groupBy("word").agg(F.sum("df").alias("df"))
+    return materialize(df, "licence-df")
+
+
+def _idf(df: DataFrame, rows: DataFrame, files: int) -> DataFrame:
+    """``word, idf`` of the words of ``rows`` over ``files`` files."""
+    return df.join(rows.select("word").distinct(), "word", "left_semi").select("word", (F.log(F.lit(1.0 + files) / (1 + F.col("df"))) + 1).alias("idf"))
 
 
 def matches(files: DataFrame, near: float = NEAR) -> DataFrame:
@@ -107,7 +125,8 @@ def matches(files: DataFrame, near: float = NEAR) -> DataFrame:
     table = F.broadcast(spark.createDataFrame(template_words(), "template int, licence string, word string, tn int"))  # fixed size
     known = F.broadcast(table.select("word").distinct())
     some = _counted(_words(files).join(known, "word"))
-    idf = materialize(_idf(some, n), "licence-idf")
+    df = frequencies(files)
+    idf = materialize(_idf(df, known, n), "licence-idf")
     weights = table.join(idf, "word").withColumn("x", F.col("tn") * F.col("idf"))
     weights = weights.join(weights.groupBy("template").agg(F.sqrt(F.sum(F.col("x") * F.col("x"))).alias("norm")), "template").select("template", "licence", "word", (F.col("x") / F.col("norm")).alias("weight"))
     weights = F.broadcast(materialize(weights, "licence-templates"))
@@ -119,7 +138,7 @@ def matches(files: DataFrame, near: float = NEAR) -> DataFrame:
     # the exact norms of what is left, with the frequencies of all their words
     again = only_needed(maybe.select("h"), files, F.xxhash64("text"))
     every = materialize(_counted(_words(again)).join(maybe.select(*_UNIT).distinct(), list(_UNIT), "left_semi"), "licence-every")
-    idf = _idf(_words(files).join(every.select("word").distinct(), "word", "left_semi"), n)
+    idf = _idf(df, every, n)
     norms = every.join(idf, "word").groupBy(*_UNIT).agg(F.sqrt(F.sum(F.pow(F.col("n") * F.col("idf"), 2.0))).alias("norm"))
     out = maybe.join(norms, list(_UNIT)).withColumn("similarity", F.round(F.col("dot") / F.col("norm"), 6))
     return out.where(F.col("similarity") >= near).select(*_UNIT, "unit_words", "template", "licence", "similarity")

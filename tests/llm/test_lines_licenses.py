@@ -115,3 +115,16 @@ def test_pipeline_stages(spark, tiny):
     total = sum(len(ids.raw(r["text"] or "")) // 4 + 1 for r in before.collect())
     assert seen.agg({"length": "sum"}).first()[0] == total
     assert corpus_pipeline.ORACLE_SQL is None and len(corpus_pipeline.STAGES) == 5
+
+
+def test_frequencies_count_paths_once(spark):
+    rows = [("a", "one two two"), ("a", "Two three"), ("a", "one two two"), (None, "one four"), (None, "four"), ("b", "one"), ("c", None), ("d", "")]
+    rows += [(f"e/{k}", "two") for k in range(50)]
+    files = spark.createDataFrame(rows, "path string, text string")
+    want = {}
+    for path, text in rows:
+        for word in (text or "").lower().split():
+            want.setdefault(word, set()).add(path)
+    got = {r["word"]: r["df"] for r in licenses.frequencies(files).collect()}
+    assert got == {word: len(paths) for word, paths in want.items()}
+    assert licenses.frequencies(files.limit(0)).count() == 0
