@@ -127,7 +127,8 @@ def matches(files: DataFrame, near: float = NEAR) -> DataFrame:
     some = _counted(_words(files).join(known, "word"))
     df = frequencies(files)
     idf = materialize(_idf(df, known, n), "licence-idf")
-    weights = table.join(idf, "word").withColumn("x", F.col("tn") * F.col("idf"))
+    unseen = F.log(F.lit(1.0 + n)) + 1  # a template's word that no file has still counts in the template's norm
+    weights = table.join(idf, "word", "left").withColumn("x", F.col("tn") * F.coalesce("idf", unseen))
     weights = weights.join(weights.groupBy("template").agg(F.sqrt(F.sum(F.col("x") * F.col("x"))).alias("norm")), "template").select("template", "licence", "word", (F.col("x") / F.col("norm")).alias("weight"))
     weights = F.broadcast(materialize(weights, "licence-templates"))
     vectors = some.join(F.broadcast(idf), "word").withColumn("x", F.col("n") * F.col("idf"))
@@ -225,7 +226,7 @@ c AS (SELECT path, block, line, word, count(*) AS n FROM w GROUP BY ALL UNION AL
 i AS (SELECT word, ln((1.0::DOUBLE + (SELECT count(DISTINCT path) FROM d)) / (1 + count(DISTINCT path))) + 1 AS idf FROM w GROUP BY word),
 v AS (SELECT {unit}, word, n, n * idf AS x FROM c JOIN i USING (word)),
 n AS (SELECT {unit}, sqrt(sum(x * x)) AS norm, sum(n) FILTER (word IN (SELECT word FROM t)) AS unit_words FROM v GROUP BY {unit}),
-tx AS (SELECT template, licence, word, tn * idf AS x FROM t JOIN i USING (word)),
+tx AS (SELECT template, licence, word, tn * coalesce(idf, ln(1.0::DOUBLE + (SELECT count(DISTINCT path) FROM d)) + 1) AS x FROM t LEFT JOIN i USING (word)),
 tw AS (SELECT template, licence, word, x / sqrt(sum(x * x) OVER (PARTITION BY template)) AS weight FROM tx),
 q AS (SELECT {unit}, template, licence, sum(x * weight) AS dot FROM v JOIN tw USING (word) GROUP BY {unit}, template, licence),
 m AS (SELECT {unit}, template, licence, unit_words, round(dot / norm, 6) AS similarity FROM q JOIN n USING ({unit}) WHERE round(dot / norm, 6) >= {NEAR}),
