@@ -8,12 +8,18 @@ import math
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from crossaudit.functions.storage import materialize
 from crossaudit.operators.encode import _words, cosine
 
 BLOCK = 2048
+#: Rows of a block whose products are held at once.
+TILE = 512
+#: More than a cosine in single precision can be off, at up to a hundred dimensions.
+ROUGH = 1e-5
 
 
 def _blocks(df: DataFrame, rows: int, block: int) -> DataFrame:
@@ -29,37 +35,86 @@ def _unit(x: np.ndarray) -> np.ndarray:
     return np.divide(x, n, out=np.zeros_like(x), where=n > 0)
 
 
+def _packed(vectors: DataFrame, block: int) -> DataFrame:
+    """One row for each block of up to ``block`` items: ``key``, the ids and unit vectors as bytes, a domain after the other, and where each domain ends."""
+    files = max(1, math.ceil(vectors.count() / (8 * block)))
+
+    def run(batches):
+        part, k = TaskContext.get().partitionId(), 0
+        for b in batches:
+            for rows in np.array_split(np.arange(b.num_rows), max(1, math.ceil(b.num_rows / block))):
+                if len(rows):
+                    own = b.take(pa.array(rows))
+                    names, code = np.unique(np.array(own.column(1).to_pylist(), object), return_inverse=True)
+                    order = np.argsort(code, kind="stable")
+                    x = _unit(np.stack(own.column(2).to_numpy(zero_copy_only=False)).astype(float))[order]
+                    ends = np.bincount(code).cumsum().tolist()
+                    cols = [part << 32 | k, own.column(0).to_numpy()[order].tobytes(), x.tobytes(), names.tolist(), ends]
+                    kinds = [pa.int64(), pa.binary(), pa.binary(), pa.list_(pa.string()), pa.list_(pa.int32())]
+                    yield pa.RecordBatch.from_arrays([pa.array([c], t) for c, t in zip(cols, kinds, strict=True)], names=["key", "ids", "x", "names", "ends"])
+                    k += 1
+
+    spread = vectors.select(F.col("item_id").cast("long"), "domain", "features").repartition(files, "item_id")
+    return materialize(spread.mapInArrow(run, "key long, ids binary, x binary, names array<string>, ends array<int>"), "vector-blocks")
+
+
 def blocked_cosines(vectors: DataFrame, tau: float, thresholds: tuple[float, ...] = (), block: int = BLOCK) -> DataFrame:
     """Exact: all unordered pairs of items of different ``domain`` with cosine of ``tau`` or more, or their counts.
 
     Without ``thresholds`` returns ``left_id, right_id, cos``; with them, for each pair of blocks and domains, the
-    largest cosine and the number above each threshold, so that no pair is emitted. The product is one matrix
-    multiplication for each pair of blocks; the work is quadratic and meant for audits of bounded corpora.
+    largest cosine and the number above each threshold, so that no pair is emitted. The vectors are shuffled once, into
+    written blocks; every task reads the two lists of blocks that it compares, so that nothing is repeated on disk. Products in
+    single precision settle what is further than their error from a threshold, and the rest is computed in double
+    precision. The work is quadratic and meant for audits of bounded corpora.
     """
-    rows = _blocks(vectors, vectors.count(), block)
     names = [f"n{round(1000 * t)}" for t in thresholds]
 
-    def run(key, pdf: pd.DataFrame) -> pd.DataFrame:
-        a, b = pdf[pdf["own"] == key[0]], pdf[pdf["own"] == key[1]]
-        cos = _unit(np.stack(a["features"].to_numpy())) @ _unit(np.stack(b["features"].to_numpy())).T if len(a) and len(b) else np.zeros((len(a), len(b)))
-        ia, ib = a["item_id"].to_numpy(), b["item_id"].to_numpy()
-        da, db = a["domain"].to_numpy(), b["domain"].to_numpy()
-        ok = da[:, None] != db[None, :]
-        if key[0] == key[1]:
-            ok &= ia[:, None] < ib[None, :]
-        if not names:
-            i, j = np.nonzero(ok & (cos >= tau))
-            return pd.DataFrame({"left_id": np.minimum(ia[i], ib[j]), "right_id": np.maximum(ia[i], ib[j]), "cos": cos[i, j]})
-        out = []
-        for x in sorted(set(da)):
-            for y in sorted(set(db)):
-                part = cos[np.ix_(da == x, db == y)][ok[np.ix_(da == x, db == y)]]
-                if len(part):
-                    out.append([min(x, y), max(x, y), part.max(), *[int((part > t).sum()) for t in thresholds]])
-        return pd.DataFrame(out, columns=["domain_a", "domain_b", "max_cos", *names])
+    def sides(row: dict, k: str) -> dict[str, tuple[np.ndarray, np.ndarray, np.ndarray]]:
+        ids = np.frombuffer(row[f"ids_{k}"], np.int64)
+        x = np.frombuffer(row[f"x_{k}"], float).reshape(len(ids), -1)
+        cuts = [0, *row[f"ends_{k}"]]
+        return {d: (ids[i:j], x[i:j], x[i:j].astype(np.float32)) for d, i, j in zip(row[f"names_{k}"], cuts, cuts[1:], strict=False)}
+
+    def exact(x: np.ndarray, y: np.ndarray, at: np.ndarray, width: int) -> np.ndarray:
+        return np.concatenate([np.zeros(0), *(np.einsum("ij,ij->i", x[p // width], y[p % width]) for p in np.split(at, range(65_536, len(at), 65_536)))])
 
+    def run(batches):
+        for b in batches:
+            for row in (r for i in range(b.num_rows) for r in b.slice(i, 1).to_pylist()):
+                a, other, found = sides(row, "a"), sides(row, "b"), []
+                for d, e in ((d, e) for d in a for e in other if d < e or (d > e and row["key_a"] != row["key_b"])):
+                    (ids_y, y, y4), most, above = other[e], -2.0, np.zeros(len(names), np.int64)
+                    for i in range(0, len(a[d][0]), TILE):
+                        ids_x, x, x4 = (c[i : i + TILE] for c in a[d])
+                        rough = (x4 @ y4.T).ravel()
+                        if not names:
+                            at = np.flatnonzero(rough >= tau - ROUGH)
+                            cos = exact(x, y, at, len(y))
+                            at, cos = at[cos >= tau], cos[cos >= tau]
+                            left, right = ids_x[at // len(y)], ids_y[at % len(y)]
+                            found.append((np.minimum(left, right), np.maximum(left, right), cos))
+                            continue
+                        if (top := float(rough.max())) > most - ROUGH:
+                            most = max(most, exact(x, y, np.flatnonzero(rough >= top - 2 * ROUGH), len(y)).max())
+                        high = np.flatnonzero(rough > min(thresholds) - ROUGH)
+                        near = rough[high]
+                        for k, t in enumerate(thresholds):
+                            above[k] += (near > t + ROUGH).sum() + (exact(x, y, high[np.abs(near - t) <= ROUGH], len(y)) > t).sum()
+                    if names:
+                        found.append((min(d, e), max(d, e), most, *above.tolist()))
+                if not found:
+                    continue
+                if names:
+                    cols = [pa.array(c, t) for c, t in zip(zip(*found, strict=True), [pa.string(), pa.string(), pa.float64()] + [pa.int64()] * len(names), strict=True)]
+                    yield pa.RecordBatch.from_arrays(cols, names=["domain_a", "domain_b", "max_cos", *names])
+                else:
+                    yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in zip(*found, strict=True)], names=["left_id", "right_id", "cos"])
+
+    blocks = _packed(vectors, block)
+    side = lambda k: blocks.select(*[F.col(c).alias(f"{c}_{k}") for c in blocks.columns])
+    met = side("a").hint("shuffle_replicate_nl").join(side("b"), F.col("key_a") <= F.col("key_b"))
     schema = "left_id long, right_id long, cos double" if not names else "domain_a string, domain_b string, max_cos double, " + ", ".join(f"{n} long" for n in names)
-    return rows.groupBy("part_a", "part_b").applyInPandas(run, schema)
+    return met.mapInArrow(run, schema)
 
 
 def cosine_audit(vectors: DataFrame, thresholds: tuple[float, ...] = (0.95, 0.98, 0.99)) -> DataFrame:

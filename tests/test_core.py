@@ -104,6 +104,32 @@ def test_banded_pairs_against_exact(spark):
     assert len(exact) == 60 and banded <= exact and len(banded) >= 57
 
 
+def test_blocked_pairs_and_counts_against_all_pairs(spark):
+    rng = np.random.default_rng(6)
+    base = rng.normal(size=(90, 16))
+    x = np.concatenate([base, base[:60] + 0.08 * rng.normal(size=(60, 16)), base[:5], np.zeros((1, 16))])
+    domain = [("A", "B", "C")[k] for k in rng.integers(0, 3, len(x))]
+    v = spark.createDataFrame([(7 * i, domain[i], x[i].tolist()) for i in range(len(x))], "item_id long, domain string, features array<double>")
+    unit = x / np.maximum(np.linalg.norm(x, axis=1, keepdims=True), 1e-300)
+    cos = unit @ unit.T
+    apart = [(i, j) for i in range(len(x)) for j in range(i + 1, len(x)) if domain[i] != domain[j]]
+    for block in (10, 1000):
+        got = {(r["left_id"], r["right_id"]): r["cos"] for r in neardup.blocked_cosines(v, 0.9, block=block).collect()}
+        assert got == pytest.approx({(7 * i, 7 * j): cos[i, j] for i, j in apart if cos[i, j] >= 0.9})
+    whole = {(r["domain_a"], r["domain_b"]): (r["max_cos"], r["n500"], r["n950"]) for r in neardup.cosine_audit(v, (0.5, 0.95)).collect()}
+    for d, e in (("A", "B"), ("A", "C"), ("B", "C")):
+        own = [cos[i, j] for i, j in apart if {domain[i], domain[j]} == {d, e}]
+        assert whole[d, e] == (pytest.approx(max(own), abs=1e-6), sum(c > 0.5 for c in own), sum(c > 0.95 for c in own))
+    assert neardup.blocked_cosines(v.where("false"), 0.9).count() == 0
+
+
+def test_blocked_pairs_shuffle_no_vector_per_pair_of_blocks(spark):
+    v = spark.range(300).selectExpr("id AS item_id", "if(id % 2 = 0, 'A', 'B') AS domain", "array(cos(id), sin(id)) AS features")
+    for thresholds in ((), (0.95,)):
+        plan = neardup.blocked_cosines(v, 0.9, thresholds, block=10)._jdf.queryExecution().executedPlan().toString()
+        assert "Exchange" not in plan and "Generate" not in plan
+
+
 def test_paired_contrast_and_crossover(spark):
     rows = [(a, b, e, s, 0.5 + (0.1 if a == "B" and b >= 10 else 0.0) - (0.05 if a == "B" and b < 10 else 0) + 0.001 * e) for a in "AB" for b in (1, 10) for e in range(5) for s in (42, 43)]
     scores = spark.createDataFrame(rows, "arm string, budget int, episode int, seed int, score double")
