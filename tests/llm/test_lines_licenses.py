@@ -128,3 +128,18 @@ def test_frequencies_count_paths_once(spark):
     got = {r["word"]: r["df"] for r in licenses.frequencies(files).collect()}
     assert got == {word: len(paths) for word, paths in want.items()}
     assert licenses.frequencies(files.limit(0)).count() == 0
+
+
+def test_all_readers_of_the_prefixes_share_one_exchange(spark, tiny, monkeypatch):
+    plans = {}
+
+    def kept(df, name, *by):
+        plans[name] = df._jdf.queryExecution().optimizedPlan().toString()
+        return materialize(df, name, *by)
+
+    from crossaudit.functions.storage import materialize
+
+    monkeypatch.setattr(linededup, "materialize", kept)
+    linededup.removed_lines(spark.read.parquet(f"{tiny}/documents.parquet").limit(60)).count()
+    # each of the three reads through the window over words, so that no filter of its own lies below the exchange
+    assert sum(line.lstrip(" :+-|").startswith("Window") for line in plans["line-met"].splitlines()) == 3
