@@ -143,3 +143,23 @@ def test_all_readers_of_the_prefixes_share_one_exchange(spark, tiny, monkeypatch
     linededup.removed_lines(spark.read.parquet(f"{tiny}/documents.parquet").limit(60)).count()
     # each of the three reads through the window over words, so that no filter of its own lies below the exchange
     assert sum(line.lstrip(" :+-|").startswith("Window") for line in plans["line-met"].splitlines()) == 3
+
+
+def test_written_tables_leave_no_shuffle_files(spark):
+    from crossaudit.functions.storage import materialize
+
+    disk = spark.sparkContext._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager()
+    shuffled = lambda: {x for x in disk.getAllBlocks().mkString(" ").split() if x.startswith("shuffle_")}
+    before = shuffled()
+    rows = spark.range(4000).selectExpr("id", "id % 7 AS k").repartition(3, "k")
+    out = materialize(rows.groupBy("k").count(), "sevens")
+    assert shuffled() <= before
+    assert out.count() == 7 and spark.conf.get("spark.sql.classic.shuffleDependency.fileCleanup.enabled") == "false"
+
+
+def test_prefixes_are_deleted_when_nothing_reads_them(spark, tiny, monkeypatch):
+    gone = []
+    real = linededup.discard
+    monkeypatch.setattr(linededup, "discard", lambda *tables: gone.extend(t._written_at for t in tables) or real(*tables))
+    linededup.removed_lines(spark.read.parquet(f"{tiny}/documents.parquet").limit(60)).count()
+    assert any("/line-found-" in path for path in gone)
