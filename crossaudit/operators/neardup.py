@@ -137,24 +137,114 @@ def pair_summary(pairs: DataFrame, labels: DataFrame) -> DataFrame:
 def near_pairs_lsh(vectors: DataFrame, tau: float, bands: int = 24, bits: int = 12, seed: int = 5) -> DataFrame:
     """Pairs of different domains at ``tau`` or more that share a band of hyperplane signs, verified on the vectors.
 
-    A pair at angle a is found with probability 1 - (1 - (1 - a/pi)^bits)^bands.
+    A pair at angle a is found with probability 1 - (1 - (1 - a/pi)^bits)^bands. Each bucket is compared where it lies, on
+    vectors of one byte a component: only pairs that can reach ``tau`` by the bound of their rounding leave it, and a pair
+    leaves only the first bucket that it shares, so that neither the pairs of a bucket nor copies of one are shuffled.
     """
     first = vectors.select(F.size("features").alias("d")).first()
-    planes = np.random.default_rng(seed).normal(size=(first["d"] if first else 1, bands * bits))
+    dims = first["d"] if first else 1
+    planes = np.random.default_rng(seed).normal(size=(dims, bands * bits))
+    kind, width = ("<u2", 2) if bits <= 16 else ("<u4", 4)
+
+    def coded(batches):
+        for b in batches:
+            for at in range(0, b.num_rows, 1000):
+                part = b.slice(at, 1000)
+                x = np.stack(part.column(2).to_numpy(zero_copy_only=False)).astype(float)
+                keys = ((x @ planes >= 0).reshape(len(x), bands, bits) * (1 << np.arange(bits))).sum(axis=2)
+                x = _unit(x)
+                scale = (np.maximum(np.abs(x).max(axis=1), 1e-30) / 127).astype("<f4")
+                small = np.rint(x / scale[:, None]).clip(-127, 127).astype(np.int8)
+                off = (np.linalg.norm(x - small * scale[:, None].astype(float), axis=1) + 1e-6).astype("<f4")
+                codes = np.concatenate([c.view(np.uint8).reshape(len(x), -1) for c in (scale, off, small, keys.astype(kind))], axis=1)
+                code = pa.array([c.tobytes() for c in codes], pa.binary())
+                row = pa.array(np.repeat(np.arange(len(x)), bands))
+                bucket = pa.array(((np.arange(bands) << bits) + keys).ravel())
+                yield pa.RecordBatch.from_arrays([bucket, *(c.take(row) for c in (part.column(0), part.column(1), code))], names=["bucket", "item_id", "domain", "code"])
+
+    def close(bucket: int, ids: np.ndarray, domain: np.ndarray, code: np.ndarray):
+        """Pairs of one bucket, a tile after the other."""
+        if len(ids) < 2 or (domain == domain[0]).all():
+            return
+        scale, off = np.ascontiguousarray(code[:, :8]).view("<f4").T
+        x = code[:, 8 : 8 + dims].view(np.int8) * scale[:, None]
+        keys = np.ascontiguousarray(code[:, 8 + dims :]).view(kind)
+        for i in range(0, len(ids), TILE):
+            for k in range(i, len(ids), BLOCK):
+                a, b = slice(i, i + TILE), slice(k, k + BLOCK)
+                reach = x[a] @ x[b].T + (off[a][:, None] + (1 + off[a])[:, None] * off[b][None, :])
+                left, right = np.nonzero((reach >= tau - ROUGH) & (domain[a][:, None] != domain[b][None, :]))
+                left, right = left + i, right + k
+                for c in range(0, len(left), 65_536):
+                    p, q = left[c : c + 65_536], right[c : c + 65_536]
+                    p, q = p[p < q], q[p < q]
+                    new = (keys[p] == keys[q]).argmax(axis=1) == bucket >> bits
+                    m, n = ids[p[new]], ids[q[new]]
+                    yield np.minimum(m, n)[m != n], np.maximum(m, n)[m != n]
 
     def run(batches):
-        for pdf in batches:
-            if len(pdf):
-                signs = (np.stack(pdf["features"].to_numpy()) @ planes >= 0).reshape(len(pdf), bands, bits)
-                keys = (signs * (1 << np.arange(bits))).sum(axis=2)
-                yield pd.DataFrame({"item_id": pdf["item_id"].repeat(bands).to_numpy(), "band": np.tile(np.arange(bands), len(pdf)), "key": keys.ravel()})
-
-    keyed = vectors.select("item_id", "features").mapInPandas(run, "item_id long, band int, key long")
-    left = keyed.withColumnRenamed("item_id", "left_id")
-    met = left.join(keyed.withColumnRenamed("item_id", "right_id"), ["band", "key"]).where("left_id < right_id").select("left_id", "right_id").distinct()
-    a = vectors.select(F.col("item_id").alias("left_id"), F.col("domain").alias("da"), F.col("features").alias("fa"))
-    b = vectors.select(F.col("item_id").alias("right_id"), F.col("domain").alias("db"), F.col("features").alias("fb"))
-    return met.join(a, "left_id").join(b, "right_id").where("da <> db").select("left_id", "right_id", cosine(F.col("fa"), F.col("fb")).alias("cos")).where(F.col("cos") >= tau)
+        names: dict[str, int] = {}
+        before: list[tuple] = []  # the bucket that may go on in the next batch
+        out, size = [], 0
+
+        def buckets():
+            for b in batches:
+                if b.num_rows:
+                    bucket, ids = (b.column(c).to_numpy() for c in (0, 1))
+                    domain = np.array([names.setdefault(d, len(names)) for d in b.column(2).to_pylist()])
+                    code = np.frombuffer(b"".join(b.column(3).to_pylist()), np.uint8).reshape(len(ids), 8 + dims + width * bands)
+                    ends = [0, *(np.flatnonzero(np.diff(bucket)) + 1).tolist(), len(ids)]
+                    for i, j in zip(ends, ends[1:], strict=False):
+                        if before and before[0][0] != bucket[i]:
+                            yield before[0][0], *map(np.concatenate, list(zip(*before, strict=True))[1:])
+                            before.clear()
+                        before.append((int(bucket[i]), ids[i:j], domain[i:j], code[i:j]))
+            if before:
+                yield before[0][0], *map(np.concatenate, list(zip(*before, strict=True))[1:])
+
+        for own in buckets():
+            for pair in close(*own):
+                out.append(pair)
+                size += len(pair[0])
+                if size >= 65_536:
+                    yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in zip(*out, strict=True)], names=["left_id", "right_id"])
+                    out, size = [], 0
+        if size:
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in zip(*out, strict=True)], names=["left_id", "right_id"])
+
+    rows = vectors.select(F.col("item_id").cast("long"), "domain", "features")
+    keyed = rows.mapInArrow(coded, "bucket long, item_id long, domain string, code binary").repartition("bucket").sortWithinPartitions("bucket")
+    return _exact(materialize(keyed.mapInArrow(run, "left_id long, right_id long"), "lsh-pairs"), rows, tau)
+
+
+def _exact(pairs: DataFrame, vectors: DataFrame, tau: float, share: int = 32_768) -> DataFrame:
+    """``left_id, right_id, cos`` of pairs at ``tau`` or more; the vectors are dealt into shares, and a left vector goes to a share once for all its pairs there."""
+    parts = max(1, math.ceil(vectors.count() / share))
+    part = F.pmod(F.xxhash64("right_id"), F.lit(parts)).alias("part")
+    asked = pairs.select("left_id", "right_id", part).repartition("left_id").groupBy("left_id", "part").agg(F.collect_list("right_id").alias("rights"))
+    asked = asked.join(vectors.select(F.col("item_id").alias("left_id"), F.col("features").alias("x")), "left_id")
+    own = vectors.select(F.col("item_id").alias("right_id"), F.col("features").alias("y")).select("right_id", "y", part)
+
+    def run(asked: pa.Table, own: pa.Table) -> pa.Table:
+        found = []
+        if asked.num_rows and own.num_rows:
+            ids = own["right_id"].to_numpy()
+            order = np.argsort(ids)
+            y = _unit(np.stack(own["y"].to_numpy()).astype(float))[order]
+            for b in asked.to_batches(max_chunksize=2000):
+                x = _unit(np.stack(b["x"].to_numpy(zero_copy_only=False)).astype(float))
+                rights = b["rights"]
+                row, right = np.repeat(np.arange(b.num_rows), np.diff(np.asarray(rights.offsets))), rights.flatten().to_numpy()
+                left = b["left_id"].to_numpy()[row]
+                for i in range(0, len(row), 65_536):
+                    s = slice(i, i + 65_536)
+                    cos = np.einsum("ij,ij->i", x[row[s]], y[np.searchsorted(ids, right[s], sorter=order)])
+                    high = cos >= tau
+                    found.append((left[s][high], right[s][high], cos[high]))
+        cols = [np.concatenate(c) for c in zip(*found, strict=True)] if found else [np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0)]
+        return pa.table(dict(zip(("left_id", "right_id", "cos"), cols, strict=True)))
+
+    return asked.groupBy("part").cogroup(own.groupBy("part")).applyInArrow(run, "left_id long, right_id long, cos double")
 
 
 def mutual_best(pairs: DataFrame, score: str = "cos") -> DataFrame:

@@ -104,6 +104,33 @@ def test_banded_pairs_against_exact(spark):
     assert len(exact) == 60 and banded <= exact and len(banded) >= 57
 
 
+def test_banded_pairs_are_those_that_share_a_band_and_are_compared_in_their_bucket(spark, monkeypatch):
+    rng = np.random.default_rng(8)
+    base = rng.normal(size=(40, 16))
+    x = np.concatenate([base, base + 0.25 * rng.normal(size=(40, 16)), base[:1] + 0.1 * rng.normal(size=(60, 16)), np.zeros((2, 16))])
+    domain = ["ABC"[k] for k in rng.integers(0, 3, len(x))]
+    v = spark.createDataFrame([(3 * i, domain[i], x[i].tolist()) for i in range(len(x))], "item_id long, domain string, features array<double>").repartition(3)
+    unit = x / np.maximum(np.linalg.norm(x, axis=1, keepdims=True), 1e-300)
+    cos = unit @ unit.T
+    signs = (x @ np.random.default_rng(5).normal(size=(16, 4 * 6)) >= 0).reshape(len(x), 4, 6)
+    meet = (signs[:, None] == signs[None]).all(axis=3).any(axis=2)
+    near = [(i, j) for i in range(len(x)) for j in range(i + 1, len(x)) if domain[i] != domain[j] and cos[i, j] >= 0.93]
+    want = {(3 * i, 3 * j): cos[i, j] for i, j in near if meet[i, j]}
+    assert 500 < len(want) < len(near)
+    for tile, block in ((512, 2048), (7, 11)):
+        monkeypatch.setattr(neardup, "TILE", tile)
+        monkeypatch.setattr(neardup, "BLOCK", block)
+        rows = neardup.near_pairs_lsh(v, 0.93, 4, 6).collect()
+        assert len(rows) == len(want) and {(r["left_id"], r["right_id"]): r["cos"] for r in rows} == pytest.approx(want)
+    kept = []
+    real = neardup.materialize
+    monkeypatch.setattr(neardup, "materialize", lambda df, name, *by: kept.append(df._jdf.queryExecution().optimizedPlan().toString()) or real(df, name, *by))
+    plan = neardup.near_pairs_lsh(v, 0.93, 4, 6)._jdf.queryExecution().optimizedPlan().toString()
+    # no join makes the pairs of a bucket, no distinct removes a pair's copies, no vector follows each pair
+    assert len(kept) == 1 and "Join" not in kept[0] and plan.count("Join") == 1 and plan.count("Aggregate") == 1
+    assert neardup.near_pairs_lsh(v.where("false"), 0.93).count() == 0
+
+
 def test_blocked_pairs_and_counts_against_all_pairs(spark):
     rng = np.random.default_rng(6)
     base = rng.normal(size=(90, 16))
