@@ -25,8 +25,8 @@ CAPACITY = 1024
 END = 2
 SALTS = 256
 #: Bytes, about, that the kept words of a worker may take.
-_KEPT_BYTES = 180_000_000
-_TEXTS = 2000
+_KEPT_BYTES = 110_000_000
+_TEXTS = 500
 
 _BETWEEN = re.compile(r"(?<=\S)\n(?=\S)")
 #: White space other than lone spaces and line breaks between words.
@@ -109,7 +109,6 @@ class Encoder:
         even = np.flatnonzero(~odd)
         if not len(even):
             return out
-        self.kept.trim()
         plain = texts.take(pa.array(even))
         words = pc.split_pattern(pc.binary_join_element_wise(*(pa.scalar(x, pa.large_string()) if isinstance(x, str) else x for x in ("\v", pc.replace_substring(plain, "\n", " \n"), ""))), " ")
         coded = pc.list_flatten(words).dictionary_encode()
@@ -118,6 +117,7 @@ class Encoder:
         if new := [w for w, x in zip(names, ids, strict=True) if x is None]:
             self.learn(new)
             ids = [self.kept[w] if x is None else x for w, x in zip(names, ids, strict=True)]
+            self.kept.trim(names)  # frequent words are among those of any batch
         flat = pa.array(ids, pa.large_binary()).take(coded.indices)
         ends = np.frombuffer(flat.buffers()[1], np.int64)[: len(flat) + 1]
         data = flat.buffers()[2].to_pybytes()

@@ -269,6 +269,20 @@ def test_workers_keep_one_thing_at_a_time():
     assert not memo and kept.content_id({"x": 1}) != kept.content_id({"x": 2})
 
 
+def test_a_full_memo_keeps_recent_words_within_half_its_limit():
+    from crossaudit.llm import kept
+
+    memo = kept.Memo(10_000)
+    for i in range(60):
+        memo.add(f"w{i}", b"x" * 40, 40)
+    memo.trim(["w5", "w59", "new", "w5"])
+    assert dict(memo) == {"w5": b"x" * 40, "w59": b"x" * 40} and memo.used < 500
+    for i in range(60):
+        memo.add(f"w{i}", b"x" * 40, 40)
+    memo.trim(f"w{i}" for i in range(60))
+    assert 20 < len(memo) < 30 and memo.used < 6000
+
+
 def test_language_backs_off(spark):
     train = spark.createDataFrame([("the cat sat on the mat and the hat", "en"), ("der hund und die katze und das haus", "de")] * 5, "text string, lang string")
     asked = spark.createDataFrame([(1, "thethat"), (2, "undhaus"), (3, None), (4, "123 !"), (5, "")], "doc_id long, text string")
