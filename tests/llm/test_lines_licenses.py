@@ -163,3 +163,39 @@ def test_prefixes_are_deleted_when_nothing_reads_them(spark, tiny, monkeypatch):
     monkeypatch.setattr(linededup, "discard", lambda *tables: gone.extend(t._written_at for t in tables) or real(*tables))
     linededup.removed_lines(spark.read.parquet(f"{tiny}/documents.parquet").limit(60)).count()
     assert any("/line-found-" in path for path in gone)
+
+
+def test_lines_that_share_a_word_but_not_a_length_are_not_crowded(spark, monkeypatch):
+    """A frequent word under which no length has many lines is settled where its lines lie: none of them is joined again."""
+    from crossaudit.functions.storage import materialize
+
+    crowded = []
+
+    def kept(df, name, *by):
+        out = materialize(df, name, *by)
+        if name == "line-met":
+            crowded.append(out.where("busy = 1").count())
+        return out
+
+    monkeypatch.setattr(linededup, "materialize", kept)
+    for sizes, like in (([4, 6, 8, 11, 15, 20], False), ([9] * 6, True)):
+        # the shared word is the rarest of its lines, as all others stand alone in eight lines more
+        own = [[f"w{k}x{i}" for i in range(n - 1)] for k, n in enumerate(sizes)]
+        rows = [(k, " ".join(["shared", *words])) for k, words in enumerate(own)]
+        rows += [(100 + k, "\n".join(w for words in own for w in words)) for k in range(8)]
+        frame = spark.createDataFrame(rows, "doc_id long, text string")
+        got = {(r["doc"], p) for r in linededup.removed_lines(frame, group=4).collect() for p in r["places"]}
+        assert got == brute_removed(rows)
+        assert (crowded.pop() > 0) == like
+
+
+@pytest.mark.parametrize("group", [1, 3, 5])
+def test_crowded_and_uncrowded_lines_meet(spark, group):
+    """Near copies of many lengths under common words: whichever side of a pair is crowded, it is found."""
+    rng = random.Random(group)
+    words = [f"w{i}" for i in range(40)]
+    base = rng.sample(words, 30)
+    rows = [(d, " ".join(rng.sample(base[: rng.randint(6, 30)], k=1) + base[: rng.randint(4, 30)] + rng.sample(words, rng.randint(0, 3)))) for d in range(120)]
+    frame = spark.createDataFrame(rows, "doc_id long, text string")
+    got = {(r["doc"], p) for r in linededup.removed_lines(frame, group=group).collect() for p in r["places"]}
+    assert got == brute_removed(rows)
