@@ -256,6 +256,40 @@ def mutual_best(pairs: DataFrame, score: str = "cos") -> DataFrame:
     return best.groupBy("left_id", "right_id").agg(F.count(F.lit(1)).alias("n"), F.max(score).alias(score)).where("n = 2").select("left_id", "right_id", score)
 
 
+def best_cosines(vectors: DataFrame, tau: float, block: int = BLOCK, digits: int = 6) -> DataFrame:
+    """`mutual_best` of all pairs that `blocked_cosines` finds, on cosines of ``digits`` places, without writing or shuffling the pairs.
+
+    A task keeps for each item only the best partner of those that it has met, so that a task emits a row an item at most.
+    """
+    schema = "me long, other long, cos double"
+
+    def run(batches):
+        kept = [np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0)]
+        held, size = [], 0
+
+        def best(parts):
+            me, other, cos = (np.concatenate(c) for c in zip(*parts, strict=True))
+            order = np.lexsort((other, -cos, me))
+            first = order[np.flatnonzero(np.diff(me[order], prepend=me[order[0]] - 1))] if len(order) else order
+            return [me[first], other[first], cos[first]]
+
+        for b in batches:
+            for at in range(0, b.num_rows, 262_144):
+                left, right, cos = (c.to_numpy() for c in b.slice(at, 262_144).columns)
+                held += [best([(left, right, cos), (right, left, cos)])]
+                size += len(held[-1][0])
+                if size > max(262_144, len(kept[0])):
+                    kept, held, size = best([kept, *held]), [], 0
+        kept = best([kept, *held])
+        for at in range(0, len(kept[0]), 65_536):
+            yield pa.RecordBatch.from_arrays([pa.array(c[at : at + 65_536]) for c in kept], names=["me", "other", "cos"])
+
+    pairs = blocked_cosines(vectors, tau, block=block).select("left_id", "right_id", F.round("cos", digits).alias("cos"))
+    best = pairs.mapInArrow(run, schema).groupBy("me").agg(F.min(F.struct((-F.col("cos")).alias("c"), "other")).alias("b"))
+    ends = best.select(F.least("me", "b.other").alias("left_id"), F.greatest("me", "b.other").alias("right_id"), (-F.col("b.c")).alias("cos"))
+    return ends.groupBy("left_id", "right_id").agg(F.count(F.lit(1)).alias("n"), F.max("cos").alias("cos")).where("n = 2").select("left_id", "right_id", "cos")
+
+
 def confirm(pairs: DataFrame, vectors: DataFrame, tau: float) -> DataFrame:
     """Pairs with ``cos2`` under a second encoder, and whether it reaches ``tau``."""
     a = vectors.select(F.col("item_id").alias("left_id"), F.col("features").alias("fa"))

@@ -52,7 +52,7 @@ def near_pairs_lsh(spark, sf_dir):
 bt AS (SELECT left_id, right_id, cos FROM (SELECT *, left_id AS me, right_id AS other FROM np UNION ALL SELECT *, right_id, left_id FROM np) QUALIFY row_number() OVER (PARTITION BY me ORDER BY cos DESC, other) = 1)
 SELECT left_id, right_id, max(cos) AS cos FROM bt GROUP BY 1, 2 HAVING count(*) = 2""")
 def mutual_best_pairs(spark, sf_dir):
-    return neardup.mutual_best(neardup.blocked_cosines(vectors(spark, sf_dir).drop("class"), TAU2).withColumn("cos", F.round("cos", 6)))
+    return neardup.best_cosines(vectors(spark, sf_dir).drop("class"), TAU2)
 
 
 @query("confirm_pairs", WITH + CROSS + f", {WORD}, wvec AS (SELECT item_id, list(x ORDER BY d) AS f FROM wordv GROUP BY item_id)" + f"""
