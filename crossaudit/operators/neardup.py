@@ -58,16 +58,21 @@ def _packed(vectors: DataFrame, block: int) -> DataFrame:
     return materialize(spread.mapInArrow(run, "key long, ids binary, x binary, names array<string>, ends array<int>"), "vector-blocks")
 
 
-def blocked_cosines(vectors: DataFrame, tau: float, thresholds: tuple[float, ...] = (), block: int = BLOCK) -> DataFrame:
+def blocked_cosines(vectors: DataFrame, tau: float, thresholds: tuple[float, ...] = (), block: int = BLOCK, labelled: bool = False) -> DataFrame:
     """Exact: all unordered pairs of items of different ``domain`` with cosine of ``tau`` or more, or their counts.
 
     Without ``thresholds`` returns ``left_id, right_id, cos``; with them, for each pair of blocks and domains, the
-    largest cosine and the number above each threshold, so that no pair is emitted. The vectors are shuffled once, into
+    largest cosine and the number above each threshold, so that no pair is emitted. If ``labelled``, pairs tell whether their
+    ends' ``label`` agree, too (a null agrees with nothing). The vectors are shuffled once, into
     written blocks; every task reads the two lists of blocks that it compares, so that nothing is repeated on disk. Products in
     single precision settle what is further than their error from a threshold, and the rest is computed in double
     precision. The work is quadratic and meant for audits of bounded corpora.
     """
     names = [f"n{round(1000 * t)}" for t in thresholds]
+    if labelled:  # a block is cut by domain and label, so that all pairs of two cuts agree or none
+        told = F.when(F.col("label").isNull(), F.lit("")).otherwise(F.concat(F.lit("="), F.col("label").cast("string")))
+        vectors = vectors.select("item_id", F.concat("domain", F.lit("\x1f"), told).alias("domain"), "features")
+    own = lambda d: d.rpartition("\x1f")[::2] if labelled else (d, "")
 
     def sides(row: dict, k: str) -> dict[str, tuple[np.ndarray, np.ndarray, np.ndarray]]:
         ids = np.frombuffer(row[f"ids_{k}"], np.int64)
@@ -82,7 +87,8 @@ def blocked_cosines(vectors: DataFrame, tau: float, thresholds: tuple[float, ...
         for b in batches:
             for row in (r for i in range(b.num_rows) for r in b.slice(i, 1).to_pylist()):
                 a, other, found = sides(row, "a"), sides(row, "b"), []
-                for d, e in ((d, e) for d in a for e in other if d < e or (d > e and row["key_a"] != row["key_b"])):
+                for d, e in ((d, e) for d in a for e in other if own(d)[0] != own(e)[0] and (d < e or row["key_a"] != row["key_b"])):
+                    agree = own(d)[1] == own(e)[1] != ""
                     (ids_y, y, y4), most, above = other[e], -2.0, np.zeros(len(names), np.int64)
                     for i in range(0, len(a[d][0]), TILE):
                         ids_x, x, x4 = (c[i : i + TILE] for c in a[d])
@@ -92,7 +98,7 @@ def blocked_cosines(vectors: DataFrame, tau: float, thresholds: tuple[float, ...
                             cos = exact(x, y, at, len(y))
                             at, cos = at[cos >= tau], cos[cos >= tau]
                             left, right = ids_x[at // len(y)], ids_y[at % len(y)]
-                            found.append((np.minimum(left, right), np.maximum(left, right), cos))
+                            found.append((np.minimum(left, right), np.maximum(left, right), cos, *[np.full(len(cos), agree)] * labelled))
                             continue
                         if (top := float(rough.max())) > most - ROUGH:
                             most = max(most, exact(x, y, np.flatnonzero(rough >= top - 2 * ROUGH), len(y)).max())
@@ -108,12 +114,12 @@ def blocked_cosines(vectors: DataFrame, tau: float, thresholds: tuple[float, ...
                     cols = [pa.array(c, t) for c, t in zip(zip(*found, strict=True), [pa.string(), pa.string(), pa.float64()] + [pa.int64()] * len(names), strict=True)]
                     yield pa.RecordBatch.from_arrays(cols, names=["domain_a", "domain_b", "max_cos", *names])
                 else:
-                    yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in zip(*found, strict=True)], names=["left_id", "right_id", "cos"])
+                    yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in zip(*found, strict=True)], names=["left_id", "right_id", "cos", *["agree"] * labelled])
 
     blocks = _packed(vectors, block)
     side = lambda k: blocks.select(*[F.col(c).alias(f"{c}_{k}") for c in blocks.columns])
     met = side("a").hint("shuffle_replicate_nl").join(side("b"), F.col("key_a") <= F.col("key_b"))
-    schema = "left_id long, right_id long, cos double" if not names else "domain_a string, domain_b string, max_cos double, " + ", ".join(f"{n} long" for n in names)
+    schema = "left_id long, right_id long, cos double" + ", agree boolean" * labelled if not names else "domain_a string, domain_b string, max_cos double, " + ", ".join(f"{n} long" for n in names)
     return met.mapInArrow(run, schema)
 
 
@@ -134,6 +140,33 @@ def pair_summary(pairs: DataFrame, labels: DataFrame) -> DataFrame:
     return out.join(F.broadcast(ends)).select("n_pairs", "n_items", "agreement")
 
 
+def near_summary(vectors: DataFrame, tau: float, block: int = BLOCK) -> DataFrame:
+    """`pair_summary` of all pairs that `blocked_cosines` finds, by the vectors' own ``label``; a task emits its counts and its distinct items, no pair."""
+
+    def run(batches):
+        items, held, size, n, agreed = np.zeros(0, np.int64), [], 0, 0, 0
+        for b in batches:
+            ends = np.unique(np.concatenate([b.column(0).to_numpy(), b.column(1).to_numpy()]))
+            held.append(ends)
+            size += len(ends)
+            n += b.num_rows
+            agreed += int(b.column(2).to_numpy(zero_copy_only=False).sum())
+            if size > max(262_144, len(items)):
+                items, held, size = np.unique(np.concatenate([items, *held])), [], 0
+        items = np.unique(np.concatenate([items, *held]))
+        if n:
+            yield pa.RecordBatch.from_arrays([pa.array([None], pa.int64()), pa.array([n], pa.int64()), pa.array([agreed], pa.int64())], names=["item_id", "n", "agreed"])
+        for at in range(0, len(items), 65_536):
+            part = items[at : at + 65_536]
+            zero = pa.array(np.zeros(len(part), np.int64))
+            yield pa.RecordBatch.from_arrays([pa.array(part), zero, zero], names=["item_id", "n", "agreed"])
+
+    pairs = blocked_cosines(vectors, tau, block=block, labelled=True).select("left_id", "right_id", "agree")
+    parts = pairs.mapInArrow(run, "item_id long, n long, agreed long").groupBy("item_id").agg(F.sum("n").alias("n"), F.sum("agreed").alias("agreed"))
+    out = parts.agg(F.coalesce(F.sum("n"), F.lit(0)).cast("long").alias("n_pairs"), F.count("item_id").alias("n_items"), F.sum("agreed").alias("agreed"))
+    return out.select("n_pairs", "n_items", F.round(F.try_divide(F.col("agreed").cast("double"), F.col("n_pairs").cast("double")), 6).alias("agreement"))
+
+
 def near_pairs_lsh(vectors: DataFrame, tau: float, bands: int = 24, bits: int = 12, seed: int = 5) -> DataFrame:
     """Pairs of different domains at ``tau`` or more that share a band of hyperplane signs, verified on the vectors.
 

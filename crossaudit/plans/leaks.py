@@ -38,8 +38,7 @@ def near_pairs(spark, sf_dir):
 @query("near_pair_summary", WITH + CROSS + f""" SELECT (SELECT count(*) FROM cp WHERE cos >= {TAU}) AS n_pairs,
 (SELECT count(*) FROM (SELECT left_id FROM cp WHERE cos >= {TAU} UNION SELECT right_id FROM cp WHERE cos >= {TAU})) AS n_items, (SELECT round(avg(coalesce((la = lb)::INT::DOUBLE, 0)), 6) FROM cp WHERE cos >= {TAU}) AS agreement""")
 def near_pair_summary(spark, sf_dir):
-    v = vectors(spark, sf_dir)
-    return neardup.pair_summary(materialize(neardup.blocked_cosines(v.drop("class"), TAU), "near"), v.select("item_id", F.col("class").alias("label")))
+    return neardup.near_summary(vectors(spark, sf_dir).withColumnRenamed("class", "label"), TAU)
 
 
 @query("near_pairs_lsh", WITH + CROSS + f" SELECT left_id, right_id, round(cos, 6) AS cos FROM cp WHERE cos >= {TAU}")

@@ -157,6 +157,41 @@ def test_blocked_pairs_shuffle_no_vector_per_pair_of_blocks(spark):
         assert "Exchange" not in plan and "Generate" not in plan
 
 
+def near_copies(spark):
+    """Ten groups of forty near copies over three domains, some pairs equal and so tied, and some labels missing."""
+    rng = np.random.default_rng(9)
+    base = np.repeat(rng.normal(size=(10, 12)), 40, axis=0)
+    x = base + 0.02 * rng.normal(size=base.shape) * (np.arange(400) % 4 > 0)[:, None]
+    rows = [(3 * i - 50, "ABC"[i % 3], [None, "x", "y"][i % 7 % 3], x[i].tolist()) for i in range(400)]
+    return spark.createDataFrame(rows, "item_id long, domain string, label string, features array<double>")
+
+
+def test_best_partners_and_summaries_equal_those_of_all_pairs(spark):
+    v = near_copies(spark)
+    pairs = neardup.blocked_cosines(v.drop("label"), 0.9)
+    whole = sorted(map(tuple, neardup.mutual_best(pairs.withColumn("cos", F.round("cos", 6))).collect()))
+    summary = tuple(neardup.pair_summary(pairs, v.select("item_id", "label")).first())
+    assert len(whole) > 10 and summary[0] > 4000 and 0 < summary[2] < 1
+    for block in (50, 1000):
+        assert sorted(map(tuple, neardup.best_cosines(v.drop("label"), 0.9, block=block).collect())) == whole
+        assert tuple(neardup.near_summary(v, 0.9, block=block).first()) == summary
+    assert neardup.best_cosines(v.drop("label").where("false"), 0.9).count() == 0
+    assert tuple(neardup.near_summary(v.where("false"), 0.9).first()) == (0, 0, None)
+
+
+def test_queries_of_best_partners_and_summaries_write_and_shuffle_no_pairs(spark, monkeypatch):
+    from crossaudit.plans import leaks
+
+    v = near_copies(spark)
+    monkeypatch.setattr(leaks, "vectors", lambda *_: v.withColumnRenamed("label", "class"))
+    monkeypatch.setattr(leaks, "materialize", lambda df, name: pytest.fail(f"{name} is written"))
+    for q in (leaks.mutual_best_pairs, leaks.near_pair_summary):
+        plan = q(spark, None)._jdf.queryExecution().executedPlan().toString()
+        # what is first shuffled has gone through a task's own reduction of the pairs
+        first = plan[: plan.rindex("CartesianProduct")]
+        assert first.count("MapInArrow") == 2 * plan.count("CartesianProduct") and "Window" not in plan
+
+
 def test_paired_contrast_and_crossover(spark):
     rows = [(a, b, e, s, 0.5 + (0.1 if a == "B" and b >= 10 else 0.0) - (0.05 if a == "B" and b < 10 else 0) + 0.001 * e) for a in "AB" for b in (1, 10) for e in range(5) for s in (42, 43)]
     scores = spark.createDataFrame(rows, "arm string, budget int, episode int, seed int, score double")
