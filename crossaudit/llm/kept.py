@@ -51,6 +51,11 @@ class Memo(dict):
         self[key] = value
         self.used += size + len(key) + 150
 
+    def add_all(self, keys: list[str], values: list) -> None:
+        """`add` of every key with its value, by the value's length."""
+        self.update(zip(keys, values, strict=True))
+        self.used += sum(map(len, values)) + sum(map(len, keys)) + 150 * len(keys)
+
     def trim(self, recent: Iterable[str] = ()) -> None:
         """Between batches: of what is too large, only ``recent`` stays, and of that no more than half the limit."""
         if self.used > self.limit:

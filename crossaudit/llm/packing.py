@@ -27,6 +27,8 @@ SALTS = 256
 #: Bytes, about, that the kept words of a worker may take.
 _KEPT_BYTES = 110_000_000
 _TEXTS = 500
+#: Marks that end words and are tokens of their own.
+_MARKS = frozenset(".,;:!?")
 
 _BETWEEN = re.compile(r"(?<=\S)\n(?=\S)")
 #: White space other than lone spaces and line breaks between words.
@@ -72,7 +74,7 @@ class Encoder:
         out, cut = [], np.frombuffer(self.newline, "<u4")[0]
         for i in range(0, len(words), 20_000):
             part = words[i : i + 20_000]
-            ids = self.ids("".join([f"{lead}{w}\n" for w in part]))
+            ids = self.ids(f"{lead}{f'\n{lead}'.join(part)}\n")
             ends = np.flatnonzero(ids == cut).tolist()
             data = ids.tobytes()
             out += [data[4 * a : 4 * b] for a, b in zip([0, *[e + 1 for e in ends[:-1]]], ends, strict=True)]
@@ -80,19 +82,18 @@ class Encoder:
 
     def learn(self, words: list[str]) -> None:
         kept = self.kept
-        marked = [w for w in words if len(w) > 1 and w[-1] in ".,;:!?" and w[:-1].isalpha()]
-        plain = list(set(words) - set(marked) | ({w[:-1] for w in marked} - kept.keys()))
-        after_break, after_space = [], []
-        for w in plain:
-            (after_break if w[:1] in ("\n", "\v") else after_space).append(w)
-        for w, ids in zip(after_space, self.together(" ", after_space), strict=True):
-            kept.add(w, ids, len(ids))
-        for w, ids in zip(after_break, self.together("", [w[1:] for w in after_break]), strict=True):
-            kept.add(w, self.newline + ids if w[0] == "\n" else ids, len(ids) + 4)
-        marks = {m: self.raw(m) for m in {w[-1] for w in marked}}
-        for w in marked:
-            ids = kept[w[:-1]] + marks[w[-1]]
-            kept.add(w, ids, len(ids))
+        marked = [w for w in words if w[-1:] in _MARKS and w[:-1].isalpha()]
+        stems = [w[:-1] for w in marked]
+        plain = set(words)
+        plain.difference_update(marked)
+        plain.update(w for w in stems if w not in kept)
+        after_break = [w for w in plain if w[:1] in ("\n", "\v")]
+        after_space = list(plain.difference(after_break))
+        kept.add_all(after_space, self.together(" ", after_space))
+        found = self.together("", [w[1:] for w in after_break])
+        kept.add_all(after_break, [self.newline + ids if w[0] == "\n" else ids for w, ids in zip(after_break, found, strict=True)])
+        marks = {m: self.raw(m) for m in _MARKS}
+        kept.add_all(marked, [kept[x] + marks[w[-1]] for x, w in zip(stems, marked, strict=True)])
 
     def texts(self, texts: pa.Array) -> list[bytes]:
         """Ids of each text; null is empty."""
@@ -112,8 +113,9 @@ class Encoder:
         plain = texts.take(pa.array(even))
         words = pc.split_pattern(pc.binary_join_element_wise(*(pa.scalar(x, pa.large_string()) if isinstance(x, str) else x for x in ("\v", pc.replace_substring(plain, "\n", " \n"), ""))), " ")
         coded = pc.list_flatten(words).dictionary_encode()
-        names = coded.dictionary.to_pylist()
-        ids = [self.kept.get(w) for w in names]
+        # no word has a space, so that all can be decoded at once
+        names = pc.binary_join(pa.ListArray.from_arrays([0, len(coded.dictionary)], coded.dictionary), pa.scalar(" ", pa.large_string()))[0].as_py().split(" ")
+        ids = list(map(self.kept.get, names))
         if new := [w for w, x in zip(names, ids, strict=True) if x is None]:
             self.learn(new)
             ids = [self.kept[w] if x is None else x for w, x in zip(names, ids, strict=True)]

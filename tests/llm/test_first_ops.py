@@ -283,6 +283,21 @@ def test_a_full_memo_keeps_recent_words_within_half_its_limit():
     assert 20 < len(memo) < 30 and memo.used < 6000
 
 
+def test_words_are_learned_in_bulk(monkeypatch):
+    """A batch's new words are kept together, not by a call a word, under the same reckoning."""
+    from crossaudit.llm.kept import Memo
+
+    one, all_at_once = Memo(1000), Memo(1000)
+    for w in ("a", "bcd", "é"):
+        one.add(w, w.encode(), len(w.encode()))
+    all_at_once.add_all(["a", "bcd", "é"], [b"a", b"bcd", "é".encode()])
+    assert one == all_at_once and one.used == all_at_once.used
+    monkeypatch.setattr(Memo, "add", lambda *_: pytest.fail("a call a word"))
+    enc = packing.Encoder(packing.vocabulary_path())
+    texts = ["Alpha beta. gamma\nbeta. .\n. Alpha", "beta", "x? ?x\nx?", "naïve \U0001f600, ÿ! beta"]
+    assert enc.texts(pa.array(texts)) == [enc.raw(t) for t in texts]
+
+
 def test_language_backs_off(spark):
     train = spark.createDataFrame([("the cat sat on the mat and the hat", "en"), ("der hund und die katze und das haus", "de")] * 5, "text string, lang string")
     asked = spark.createDataFrame([(1, "thethat"), (2, "undhaus"), (3, None), (4, "123 !"), (5, "")], "doc_id long, text string")
