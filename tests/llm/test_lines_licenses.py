@@ -199,3 +199,34 @@ def test_crowded_and_uncrowded_lines_meet(spark, group):
     frame = spark.createDataFrame(rows, "doc_id long, text string")
     got = {(r["doc"], p) for r in linededup.removed_lines(frame, group=group).collect() for p in r["places"]}
     assert got == brute_removed(rows)
+
+
+def test_prefixes_are_sorted_by_word_alone(spark, tiny, monkeypatch):
+    """One sort key of 64 bits is sorted by radix; lengths and hashes behind it made Spark compare rows, most of that step's time."""
+    from crossaudit.functions.storage import materialize
+
+    plans = {}
+
+    def kept(df, name, *by):
+        plans[name] = df._jdf.queryExecution().executedPlan().toString()
+        return materialize(df, name, *by)
+
+    monkeypatch.setattr(linededup, "materialize", kept)
+    linededup.removed_lines(spark.read.parquet(f"{tiny}/documents.parquet").limit(60)).count()
+    sorts = [line.split("Sort [", 1)[1].split("]", 1)[0] for line in plans["line-met"].splitlines() if "Sort [" in line]
+    assert sorts and all(keys.startswith("word") and "," not in keys for keys in sorts)
+
+
+@pytest.mark.parametrize("group", [1, 4, 64])
+def test_pairs_of_a_crowd_are_left_whole_to_the_crowded(spark, group):
+    """A line is paired at once, or it and all that it may be paired with are crowded; lengths that share a counter change nothing."""
+    rng = random.Random(group)
+    data = [(w, k, rng.choice([1, 2, 4, 5, 6, 7, 8, 9, 10, 25, 31, 60, 150, 151, 4000])) for w in range(6) for k in range(2 ** (w + 2))]
+    frame = spark.createDataFrame(data, "word long, sig long, n int")
+    rows = linededup._crowds(frame, linededup.NEAR, group).collect()
+    assert len(rows) == len(data)
+    for b in rows:
+        after = [a for a in rows if a["word"] == b["word"] and a["sig"] != b["sig"] and b["n"] <= a["n"] and a["n"] * 4 <= b["n"] * 5]
+        assert b["crowd"] or len(after) <= group
+        assert all(b["longer"] and a["shorter"] for a in after)
+        assert not b["crowd"] or (b["crowded"] and all(a["crowded"] for a in after))
